@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, media, mixing, neighbours, token_counts, toxicity
+from . import jaccard, language, media, mixing, neighbours, pii, token_counts, toxicity
 from .common import table
 
 
@@ -50,13 +50,21 @@ def op7_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neighbours.nearest(vectors, vectors.where(F.col("vec_id") % 100 == 0), k=10)
 
 
+def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.digest(table(spark, sf_dir, "documents"))
+
+
+def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.similar(table(spark, sf_dir, "documents"), width=3, top=90, bottom=100)
+
+
 def op10_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.text_media(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op3_source_mixing, op4_token_counts, op5_language, op6_toxicity, op7_neighbours, op10_media)}
+    return {f.__name__: f for f in (op3_source_mixing, op4_token_counts, op5_language, op6_toxicity, op7_neighbours, op8_personal_data, op9_jaccard_join, op10_media)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op8_personal_data": pii.oracle()}

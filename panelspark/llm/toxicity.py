@@ -49,7 +49,7 @@ def featured(batches):
 class ProximalLearner:
     """Per-coordinate follow-the-regularised-leader for the logistic loss."""
 
-    def __init__(self, bits: int = BITS, alpha: float = 0.3, beta: float = 1.0, l1: float = 1.5, l2: float = 0.5):
+    def __init__(self, bits: int = BITS, alpha: float = 1.0, beta: float = 1.0, l1: float = 10.0, l2: float = 0.0):
         self.alpha, self.beta, self.l1, self.l2 = alpha, beta, l1, l2
         self.z = np.zeros((1 << bits) + 1)
         self.n = np.zeros((1 << bits) + 1)
@@ -75,7 +75,8 @@ class ProximalLearner:
 
 
 def fit(rows: list, epochs: int = 4) -> dict:
-    learner = ProximalLearner()
+    # the penalty follows the number of toxic examples up to its full strength, so that small samples learn too
+    learner = ProximalLearner(l1=float(np.clip(sum(label for label, _ in rows) / 20, 1.5, 10.0)))
     order = np.random.default_rng(11)
     for _ in range(epochs if rows else 0):
         for i in order.permutation(len(rows)):
