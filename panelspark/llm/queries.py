@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import jaccard, language, media, mixing, neighbours, pii, repeats, token_counts, toxicity
+from . import jaccard, language, media, mixing, neighbours, pieces, pii, repeats, token_counts, toxicity
 from .common import table
 
 
@@ -24,6 +24,10 @@ def op1_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeats.without_repeats(table(spark, sf_dir, "documents"), length=50)
 
 
+def op2_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pieces.encode(table(spark, sf_dir, "documents"), tokenizer("piece_bpe_32k.model"))
+
+
 def op3_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = mixing.mixed(table(spark, sf_dir, "documents"), WEIGHTS, REST_WEIGHT, BLOCK_BYTES)
     return out.select("doc_id", *(F.col(f"_{c}").alias(c) for c in ("stream", "block", "slot", "release", "deadline", "place", "balanced")))
@@ -67,7 +71,7 @@ def op10_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_repeats, op3_source_mixing, op4_token_counts, op5_language, op6_toxicity, op7_neighbours, op8_personal_data, op9_jaccard_join, op10_media)}
+    return {f.__name__: f for f in (op1_repeats, op2_pieces, op3_source_mixing, op4_token_counts, op5_language, op6_toxicity, op7_neighbours, op8_personal_data, op9_jaccard_join, op10_media)}
 
 
 def oracle_sql() -> dict[str, str]:
