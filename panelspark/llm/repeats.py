@@ -28,7 +28,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ROOT, U, byte_view, shipped, slices
+from .common import ROOT, U, byte_view, mix, shipped, slices
 
 GRAM = 16
 LAST = (1 << 63) - 1
@@ -86,6 +86,11 @@ def window_runs(data: np.ndarray, offsets: np.ndarray, length: int):
     return m[starts].view(np.uint64) & U((1 << 52) - 1), starts, stops - starts, np.searchsorted(offsets, starts, side="right") - 1
 
 
+def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
+    """Keys are smallest hashes, so they crowd near zero: they are mixed before they are dealt out."""
+    return (mix(keys) % U(buckets)).astype(np.int64)
+
+
 def _pack(*arrays) -> bytes:
     return zstandard.ZstdCompressor(level=1).compress(b"".join(np.int64(len(a)).tobytes() + a.tobytes() for a in arrays))
 
@@ -114,8 +119,7 @@ def key_blobs(batches, length: int, buckets: int, groups: int):
 
     def flush():
         k, d = np.concatenate(keys), np.concatenate(docs)
-        b = (k * U(buckets)) >> U(52)
-        found, cuts, (k, d) = _dealt(b.astype(np.int64), k, d)
+        found, cuts, (k, d) = _dealt(_bucket(k, buckets), k, d)
         blobs = []
         all_ids, all_tids, all_groups = (np.concatenate(x) for x in (ids, tids, grp))
         for i in range(len(found)):
@@ -200,8 +204,7 @@ def stretches(docs: pa.Table, flags: pa.Table, length: int, buckets: int) -> pa.
         return pa.table({"bucket": pa.array([], pa.int64()), "blob": pa.array([], pa.binary())})
     k, text, size, doc, tid, start, grp = (np.concatenate(x) for x in out)
     ends = np.cumsum(size.astype(np.int64))
-    b = (k * U(buckets) >> U(52)).astype(np.int64)
-    found, cuts, (first, size, doc, tid, start, grp) = _dealt(b, ends - size, size, doc, tid, start, grp)
+    found, cuts, (first, size, doc, tid, start, grp) = _dealt(_bucket(k, buckets), ends - size, size, doc, tid, start, grp)
     blobs = []
     for i in range(len(found)):
         p = slice(cuts[i], cuts[i + 1])
