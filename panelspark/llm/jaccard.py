@@ -23,6 +23,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -110,22 +111,50 @@ def signatures(s: np.ndarray, levels: Levels) -> np.ndarray:
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
 
 
+def _planes(x: np.ndarray, n: int) -> bytes:
+    """The n low bytes of each number, byte by byte place: high places are nearly constant and compress away."""
+    return np.ascontiguousarray(x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :n].T).tobytes()
+
+
+def _from_planes(raw: bytes, m: int, n: int, at: int) -> np.ndarray:
+    out = np.zeros((m, 8), np.uint8)
+    out[:, :n] = np.frombuffer(raw, np.uint8, m * n, at).reshape(n, m).T
+    return out.view("<u8").ravel()
+
+
+def _pack_signatures(k: np.ndarray, c: np.ndarray, names: np.ndarray) -> bytes:
+    """Sorted signatures as differences, and the place of each class in a table of the classes used."""
+    used, place = np.unique(c, return_inverse=True)
+    head = np.array([len(k), len(used)], np.int64).tobytes()
+    body = head + names[used].tobytes() + _planes(np.diff(k, prepend=U(0)), 5) + _planes(place, 4)
+    return zstandard.ZstdCompressor(level=1).compress(body)
+
+
+def _unpack_signatures(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
+    raw = zstandard.ZstdDecompressor().decompress(blob)
+    m, n = np.frombuffer(raw, np.int64, 2)
+    names = np.frombuffer(raw, np.int64, n, 16)
+    at = 16 + 8 * int(n)
+    return np.cumsum(_from_planes(raw, int(m), 5, at), dtype=np.uint64), names[_from_planes(raw, int(m), 4, at + 5 * int(m)).astype(np.int64)]
+
+
 def packed(batches, width: int, top: int, bottom: int, buckets: int):
     """Signatures and classes as arrays, one row for each bucket and some megabytes of texts."""
     levels, seen = Levels(top, bottom), set()
     keys: list[np.ndarray] = []
-    classes: list[np.ndarray] = []
+    classes: list[int] = []
     held = 0
 
     def flush():
-        k, c = np.concatenate(keys), np.concatenate(classes)
+        k, c = np.concatenate(keys), np.repeat(np.arange(len(classes)), list(map(len, keys)))
         b = (k >> U(40)) % U(buckets)
-        order = np.argsort(b, kind="stable")
+        k = k & U((1 << 40) - 1)  # the bucket and 40 bits: what collides is told apart by the product
+        order = np.lexsort((k, b))
         k, c, b = k[order], c[order], b[order]
-        cuts = np.flatnonzero(np.diff(b)) + 1
-        ids = b[np.concatenate([[0], cuts])]
-        blobs = [x.tobytes() + y.tobytes() for x, y in zip(np.split(k, cuts), np.split(c, cuts), strict=True)]
-        return pa.RecordBatch.from_arrays([pa.array(ids.astype(np.int64)), pa.array(blobs, pa.binary())], ["bucket", "blob"])
+        cuts = np.concatenate([[0], np.flatnonzero(np.diff(b)) + 1, [len(b)]])
+        names = np.array(classes, np.int64)
+        blobs = [_pack_signatures(k[x:y], c[x:y], names) for x, y in zip(cuts[:-1], cuts[1:], strict=True)]
+        return pa.RecordBatch.from_arrays([pa.array(b[cuts[:-1]].astype(np.int64)), pa.array(blobs, pa.binary())], ["bucket", "blob"])
 
     for batch in batches:
         for _, s in doc_sets(batch.column(0), width):
@@ -137,8 +166,10 @@ def packed(batches, width: int, top: int, bottom: int, buckets: int):
             if len(seen) < 200_000:
                 seen.add(d)
             k = signatures(s, levels)
+            if not len(k):
+                continue
             keys.append(k)
-            classes.append(np.full(len(k), d, np.int64))
+            classes.append(d)
             held += len(k)
             if held > 1 << 21:
                 yield flush()
@@ -149,12 +180,8 @@ def packed(batches, width: int, top: int, bottom: int, buckets: int):
 
 def shared_parts(table: pa.Table) -> pa.Table:
     """A spanning forest of the classes that share a signature of one bucket."""
-    k, c = [], []
-    for blob in table.column("blob").to_pylist():
-        half = len(blob) // 2
-        k.append(np.frombuffer(blob, np.uint64, half // 8))
-        c.append(np.frombuffer(blob, np.int64, offset=half))
-    k, c = np.concatenate(k), np.concatenate(c)
+    parts = [_unpack_signatures(blob) for blob in table.column("blob").to_pylist()]
+    k, c = (np.concatenate(x) for x in zip(*parts, strict=True))
     order = np.argsort(k, kind="stable")
     k, c = k[order], c[order]
     same = np.flatnonzero((k[1:] == k[:-1]) & (c[1:] != c[:-1]))
