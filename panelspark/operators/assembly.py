@@ -33,12 +33,14 @@ def _point(s: str, p: Column, q: Column) -> list[Column]:
     return [F.col(f"{s}_a{x}") + p * (F.col(f"{s}_b{x}") - F.col(f"{s}_a{x}")) + q * (F.col(f"{s}_c{x}") - F.col(f"{s}_b{x}")) for x in "xyz"]
 
 
-def integrand(kernel: KernelSpec) -> tuple[Column, Column]:
-    """The kernel at the rule point of a row, times all weights."""
+def integrated(points: DataFrame, kernel: KernelSpec) -> DataFrame:
+    """Adds re and im, the kernel at the rule point of each row times all weights; stepwise, so that the difference and
+    the distance are computed once."""
     d = [x - y for x, y in zip(_point("a", F.col("s"), F.col("t")), _point("b", F.col("u"), F.col("v")), strict=True)]
-    re, im = kernel.columns(*d, *(F.col(f"b_n{x}") for x in "xyz"))
+    rows = points.withColumns({f"_d{a}": c for a, c in zip("xyz", d, strict=True)})
+    re, im = kernel.columns(*(F.col(f"_d{x}") for x in "xyz"), *(F.col(f"b_n{x}") for x in "xyz"))
     scale = F.col("w") * F.col("a_gram") * F.col("b_gram")
-    return re * scale, im * scale
+    return rows.withColumns({"re": re * scale, "im": im * scale})
 
 
 def entries(pairs: DataFrame, panels: DataFrame, kernel: KernelSpec, quad: QuadSpec = BASIC) -> DataFrame:
@@ -50,8 +52,7 @@ def entries(pairs: DataFrame, panels: DataFrame, kernel: KernelSpec, quad: QuadS
     near, far = aligned(rows.where("case > 0")), rows.where("case = 0")
     rules = F.broadcast(quadrature.rule_frame(panels.sparkSession, quad))
     points = far.unionByName(near).join(rules, "case")
-    re, im = integrand(kernel)
-    return points.select("i", "j", re.alias("re"), im.alias("im")).groupBy("i", "j").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
+    return integrated(points, kernel).groupBy("i", "j").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
 
 
 def batch_values(a: np.ndarray, b: np.ndarray, normal: np.ndarray, scale: np.ndarray, case: int, n: int, kernel: KernelSpec, most: int = 1 << 20) -> np.ndarray:
@@ -166,10 +167,9 @@ def p1_scatter(pairs: DataFrame, panels: DataFrame, kernel: KernelSpec, quad: Qu
     rows = with_geometry(pairs, panels)
     rows = rows.where("case = 0").unionByName(aligned(rows.where("case > 0")))
     points = rows.join(F.broadcast(quadrature.rule_frame(panels.sparkSession, quad)), "case")
-    re, im = integrand(kernel)
     hat = {"a": (1 - F.col("s"), F.col("s") - F.col("t"), F.col("t")), "b": (1 - F.col("u"), F.col("u") - F.col("v"), F.col("v"))}
-    local = [F.struct(F.col(f"a_v{p}").alias("vi"), F.col(f"b_v{q}").alias("vj"), (F.col("_re") * hat["a"][p] * hat["b"][q]).alias("re"), (F.col("_im") * hat["a"][p] * hat["b"][q]).alias("im")) for p in range(3) for q in range(3)]
-    rows = points.withColumns({"_re": re, "_im": im}).select(F.explode(F.array(*local)).alias("e")).select("e.*")
+    local = [F.struct(F.col(f"a_v{p}").alias("vi"), F.col(f"b_v{q}").alias("vj"), (F.col("re") * hat["a"][p] * hat["b"][q]).alias("re"), (F.col("im") * hat["a"][p] * hat["b"][q]).alias("im")) for p in range(3) for q in range(3)]
+    rows = integrated(points, kernel).select(F.explode(F.array(*local)).alias("e")).select("e.*")
     return rows.groupBy("vi", "vj").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
 
 

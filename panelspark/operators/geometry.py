@@ -17,41 +17,44 @@ def refinement(rows: int) -> int:
     return max(1, int((rows / 8) ** 0.5 + 1e-9))
 
 
-def _lattice(n: int) -> dict[str, Column]:
-    """Columns of the three signed lattice points of panel `pid`, oriented outward."""
-    face = F.floor(F.col("pid") / (n * n)).cast("long")
-    k = F.col("pid") - face * (n * n)
-    r = F.floor(F.sqrt(k.cast("double"))).cast("long")
-    slot = k - r * r
-    m = F.floor(slot / 2).cast("long")
-    up = slot % 2 == 0
-    sx, sy, sz = (1 - 2 * F.pmod(F.floor(face / d).cast("long"), F.lit(2)) for d in (1, 2, 4))
+def _lattice(rows: DataFrame, n: int) -> DataFrame:
+    """Adds the three signed lattice points p0a .. p2c of panel `pid`, oriented outward. Stepwise, so that no expression
+    is written out more than once in the plan."""
+    rows = rows.withColumn("face", F.floor(F.col("pid") / (n * n)).cast("long"))
+    rows = rows.withColumn("k", F.col("pid") - F.col("face") * (n * n))
+    rows = rows.withColumn("r", F.floor(F.sqrt(F.col("k").cast("double"))).cast("long"))
+    rows = rows.withColumn("slot", F.col("k") - F.col("r") * F.col("r"))
+    signs = {f"s{x}": 1 - 2 * F.pmod(F.floor(F.col("face") / d).cast("long"), F.lit(2)) for x, d in zip("abc", (1, 2, 4), strict=True)}
+    rows = rows.withColumns({"m": F.floor(F.col("slot") / 2).cast("long"), "up": F.col("slot") % 2 == 0, **signs})
+    r, m, up = F.col("r"), F.col("m"), F.col("up")
+    odd = F.col("sa") * F.col("sb") * F.col("sc") < 0
+    rows = rows.withColumns({
+        "second": F.when(up, F.array(r + 1 - m, m, n - r - 1)).otherwise(F.array(r - m, m + 1, n - r - 1)),
+        "third": F.when(up, F.array(r - m, m + 1, n - r - 1)).otherwise(F.array(r - m - 1, m + 1, n - r)),
+        "odd": odd,
+    })
     first = (r - m, m, n - r)
-    second = (F.when(up, r + 1 - m).otherwise(r - m), F.when(up, m).otherwise(m + 1), n - r - 1)
-    third = (F.when(up, r - m).otherwise(r - m - 1), m + 1, F.when(up, n - r - 1).otherwise(n - r))
-    odd = sx * sy * sz < 0
     out = {}
     for j, name in enumerate("abc"):
-        s = (sx, sy, sz)[j]
+        s, second, third = F.col(f"s{name}"), F.col("second")[j], F.col("third")[j]
         out[f"p0{name}"] = first[j] * s
-        out[f"p1{name}"] = F.when(odd, third[j]).otherwise(second[j]) * s
-        out[f"p2{name}"] = F.when(odd, second[j]).otherwise(third[j]) * s
-    return out
+        out[f"p1{name}"] = F.when(F.col("odd"), third).otherwise(second) * s
+        out[f"p2{name}"] = F.when(F.col("odd"), second).otherwise(third) * s
+    return rows.withColumns(out)
 
 
 def sphere_panels(spark: SparkSession, n: int, project: bool = True) -> DataFrame:
     """8 n^2 panels: pid, v0..v2 (vertex ids) and the nine coordinates; narrow over a range."""
     side = 2 * n + 1
-    rows = spark.range(8 * n * n).withColumnRenamed("id", "pid").withColumns(_lattice(n)) if n else spark.range(0)
-    cols = [F.col("pid")]
-    for j in range(3):
-        a, b, c = (F.col(f"p{j}{x}") for x in "abc")
-        cols.append(((a + n) * side * side + (b + n) * side + (c + n)).cast("long").alias(f"v{j}"))
+    rows = _lattice(spark.range(8 * n * n).withColumnRenamed("id", "pid"), n)
+    size, ids, coordinates = {}, {}, {}
     for j, name in enumerate("abc"):
-        a, b, c = (F.col(f"p{j}{x}").cast("double") for x in "abc")
-        size = F.sqrt(a * a + b * b + c * c) if project else F.lit(float(n))
-        cols += [((q / size) + 0.0).alias(f"{name}{axis}") for q, axis in zip((a, b, c), "xyz", strict=True)]
-    return rows.select(*cols)
+        p = [F.col(f"p{j}{x}") for x in "abc"]
+        d = [x.cast("double") for x in p]
+        ids[f"v{j}"] = ((p[0] + n) * side * side + (p[1] + n) * side + (p[2] + n)).cast("long")
+        size[f"size{j}"] = F.sqrt(d[0] * d[0] + d[1] * d[1] + d[2] * d[2]) if project else F.lit(float(n))
+        coordinates |= {f"{name}{axis}": q / F.col(f"size{j}") + 0.0 for q, axis in zip(d, "xyz", strict=True)}
+    return rows.withColumns({**size, **ids}).withColumns(coordinates).select("pid", "v0", "v1", "v2", *COORDS)
 
 
 def vertices(panels: DataFrame) -> DataFrame:
@@ -74,8 +77,9 @@ def with_metrics(panels: DataFrame) -> DataFrame:
     p = {x: tuple(F.col(f"{x}{axis}") for axis in "xyz") for x in "abc"}
     e1 = tuple(q - r for q, r in zip(p["b"], p["a"], strict=True))
     e2 = tuple(q - r for q, r in zip(p["c"], p["b"], strict=True))
-    n = cross(e1, e2)
-    out = panels.withColumns({"_nx": n[0], "_ny": n[1], "_nz": n[2]})
+    n = cross([F.col(f"_e1{a}") for a in "xyz"], [F.col(f"_e2{a}") for a in "xyz"])
+    out = panels.withColumns({f"_e{k}{a}": c for k, e in ((1, e1), (2, e2)) for a, c in zip("xyz", e, strict=True)})
+    out = out.withColumns({"_nx": n[0], "_ny": n[1], "_nz": n[2]})
     out = out.withColumn("gram", F.sqrt(F.col("_nx") ** 2 + F.col("_ny") ** 2 + F.col("_nz") ** 2)).where("gram > 0")
     new = {"area": F.col("gram") / 2}
     for axis in "xyz":
@@ -84,7 +88,7 @@ def with_metrics(panels: DataFrame) -> DataFrame:
         new[f"g{axis}"] = (corners[0] + corners[1] + corners[2]) / 3.0 + 0.0
         new[f"lo{axis}"] = F.least(*corners)
         new[f"hi{axis}"] = F.greatest(*corners)
-    return out.withColumns(new).drop("_nx", "_ny", "_nz")
+    return out.withColumns(new).drop("_nx", "_ny", "_nz", *[f"_e{k}{a}" for k in (1, 2) for a in "xyz"])
 
 
 def carried_panels(spark: SparkSession, table: DataFrame, key: str, value: str, n: int) -> DataFrame:
