@@ -86,10 +86,10 @@ def cluster_morton(spark, sf_dir):
     return clustering.morton_tree(geometry.unit_points(table(spark, sf_dir, "embeddings"), "vec_id", "embedding"), 3)
 
 
-@R.add("SELECT r_regionkey, n_nationkey, count(*) AS cnt, CAST(round(sum(c_acctbal) * 100) AS BIGINT) AS cents, CAST(grouping(r_regionkey) * 2 + grouping(n_nationkey) AS BIGINT) AS gid FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_regionkey, n_nationkey)")
+@R.add("SELECT coalesce(region.r_regionkey, -1) AS r_regionkey, coalesce(nation.n_nationkey, -1) AS n_nationkey, count(*) AS cnt, CAST(round(sum(c_acctbal) * 100) AS BIGINT) AS cents, CAST(grouping(region.r_regionkey) * 2 + grouping(nation.n_nationkey) AS BIGINT) AS gid FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (region.r_regionkey, nation.n_nationkey)")
 def key_tree_rollup(spark, sf_dir):
     out = clustering.key_tree(table(spark, sf_dir, "region"), table(spark, sf_dir, "nation"), table(spark, sf_dir, "customer"), "c_nationkey", "c_acctbal")
-    return out.select("r_regionkey", "n_nationkey", "cnt", F.round(F.col("total") * 100).cast("long").alias("cents"), F.col("gid").cast("long").alias("gid"))
+    return out.select(F.coalesce("r_regionkey", F.lit(-1)).alias("r_regionkey"), F.coalesce("n_nationkey", F.lit(-1)).alias("n_nationkey"), "cnt", F.round(F.col("total") * 100).cast("long").alias("cents"), F.col("gid").cast("long").alias("gid"))
 
 
 def _block_sql(tail, levels=26):
@@ -108,10 +108,11 @@ def block_tree(spark, sf_dir):
     return blocks.block_tree(c)
 
 
-@R.add(_block_sql('SELECT level, kind, count(*) AS blocks, CAST(sum("rows" * cols) AS BIGINT) AS entries, CAST(grouping(level) * 2 + grouping(kind) AS BIGINT) AS gid FROM blk GROUP BY CUBE (level, kind)'))
+@R.add(_block_sql('SELECT coalesce(blk.level, -1) AS level, coalesce(blk.kind, \'all\') AS kind, count(*) AS blocks, CAST(sum("rows" * cols) AS BIGINT) AS entries, CAST(grouping(blk.level) * 2 + grouping(blk.kind) AS BIGINT) AS gid FROM blk GROUP BY CUBE (blk.level, blk.kind)'))
 def block_census(spark, sf_dir):
     _, _, c = tree(spark, sf_dir)
-    return blocks.census(settled(blocks.block_tree(c))).withColumn("gid", F.col("gid").cast("long"))
+    out = blocks.census(settled(blocks.block_tree(c)))
+    return out.select(F.coalesce("level", F.lit(-1)).alias("level"), F.coalesce("kind", F.lit("all")).alias("kind"), "blocks", "entries", F.col("gid").cast("long").alias("gid"))
 
 
 @R.add("SELECT CAST(count(*) * count(*) AS BIGINT) AS covered, CAST(count(*) * count(*) AS BIGINT) AS entries, 0 AS repeated FROM customer")
