@@ -83,27 +83,55 @@ def window_runs(data: np.ndarray, offsets: np.ndarray, length: int):
         at = np.repeat(np.arange(len(starts)), pieces)
         k = np.arange(len(at)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
         starts, stops = starts[at] + k * most, np.minimum(starts[at] + (k + 1) * most, stops[at])
-    return m[starts].view(np.uint64) & U((1 << 52) - 1), starts, stops - starts, np.searchsorted(offsets, starts, side="right") - 1
+    # smallest hashes crowd near zero: they are mixed, and 48 bits of that are the key
+    return mix(m[starts].view(np.uint64)) >> U(16), starts, stops - starts, np.searchsorted(offsets, starts, side="right") - 1
 
 
 def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
-    """Keys are smallest hashes, so they crowd near zero: they are mixed before they are dealt out."""
-    return (mix(keys) % U(buckets)).astype(np.int64)
+    """Ranges of keys, so that sorted keys of a bucket differ by little."""
+    return ((keys >> U(16)) * U(buckets) >> U(32)).astype(np.int64)
 
 
 def _pack(*arrays) -> bytes:
-    return zstandard.ZstdCompressor(level=1).compress(b"".join(np.int64(len(a)).tobytes() + a.tobytes() for a in arrays))
+    """Arrays of whole numbers, byte place by byte place, as few places as the largest needs; bytes stay as they are."""
+    out = []
+    for a in arrays:
+        if a.dtype == np.uint8:
+            out.append(np.array([len(a), 0], np.int64).tobytes() + a.tobytes())
+            continue
+        x = np.ascontiguousarray(a.astype("<i8")).view(np.uint8).reshape(-1, 8)
+        width = int(np.flatnonzero(x.any(0)).max(initial=-1)) + 1 if len(a) else 0
+        out.append(np.array([len(a), width], np.int64).tobytes() + np.ascontiguousarray(x[:, :width].T).tobytes())
+    return zstandard.ZstdCompressor(level=3).compress(b"".join(out))
 
 
 def _unpack(blob: bytes, *kinds) -> list[np.ndarray]:
     raw, at, out = zstandard.ZstdDecompressor().decompress(blob), 0, []
     for kind in kinds:
-        n = int(np.frombuffer(raw, np.int64, 1, at)[0])
-        out.append(np.frombuffer(raw, kind, n, at + 8))
-        at += 8 + n * np.dtype(kind).itemsize
+        n, width = (int(x) for x in np.frombuffer(raw, np.int64, 2, at))
+        at += 16
+        if kind == np.uint8:
+            out.append(np.frombuffer(raw, np.uint8, n, at))
+            at += n
+            continue
+        x = np.zeros((n, 8), np.uint8)
+        x[:, :width] = np.frombuffer(raw, np.uint8, n * width, at).reshape(width, n).T
+        out.append(x.view("<i8").ravel().astype(kind, copy=False))
+        at += n * width
     return out
 
 
+def _numbered(doc: np.ndarray, tid: np.ndarray, *more: np.ndarray):
+    """A table of the distinct (doc, tid, ..), and the place of each row in it."""
+    order = np.lexsort((*more, tid, doc))
+    d, t = doc[order], tid[order]
+    new = np.ones(len(d), bool)
+    new[1:] = (d[1:] != d[:-1]) | (t[1:] != t[:-1])
+    place = np.empty(len(d), np.int64)
+    place[order] = np.cumsum(new) - 1
+    return [d[new], t[new], *(m[order][new] for m in more)], place
+
+
 def _dealt(bucket: np.ndarray, *arrays):
     """Arrays in order of bucket, and the places where the bucket changes."""
     order = np.argsort(bucket, kind="stable")
@@ -124,8 +152,9 @@ def key_blobs(batches, length: int, buckets: int, groups: int):
         all_ids, all_tids, all_groups = (np.concatenate(x) for x in (ids, tids, grp))
         for i in range(len(found)):
             kk, dd = k[cuts[i] : cuts[i + 1]], d[cuts[i] : cuts[i + 1]]
-            used, dd = np.unique(dd, return_inverse=True)
-            blobs.append(_pack(kk, dd.astype(np.uint32), all_ids[used], all_tids[used], all_groups[used]))
+            order = np.argsort(kk)
+            used, dd = np.unique(dd[order], return_inverse=True)
+            blobs.append(_pack(np.diff(kk[order], prepend=U(0)), dd, all_ids[used], all_tids[used], all_groups[used]))
         return pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), pa.array(blobs, pa.binary())], ["bucket", "blob"])
 
     count = 0
@@ -155,8 +184,8 @@ def key_blobs(batches, length: int, buckets: int, groups: int):
 
 def shared_keys(table: pa.Table) -> pa.Table:
     """Rows (grp, blob): the keys of one bucket that at least two documents hold, with the documents, by group."""
-    parts = [_unpack(b, np.uint64, np.uint32, np.int64, np.int64, np.int32) for b in table.column("blob").to_pylist()]
-    k = np.concatenate([p[0] for p in parts])
+    parts = [_unpack(b, np.uint64, np.int64, np.int64, np.int64, np.int32) for b in table.column("blob").to_pylist()]
+    k = np.concatenate([np.cumsum(p[0], dtype=np.uint64) for p in parts])
     doc, tid, grp = (np.concatenate([p[x][p[1]] for p in parts]) for x in (2, 3, 4))
     order = np.argsort(k, kind="stable")
     k, doc, tid, grp = k[order], doc[order], tid[order], grp[order]
@@ -169,8 +198,10 @@ def shared_keys(table: pa.Table) -> pa.Table:
     blobs = []
     for i in range(len(found)):
         part = slice(cuts[i], cuts[i + 1])
-        order = np.lexsort((k[part], tid[part], doc[part]))
-        blobs.append(_pack(k[part][order], doc[part][order], tid[part][order]))
+        (d, t), place = _numbered(doc[part], tid[part])
+        order = np.argsort(place, kind="stable")
+        # 32 bits tell the keys of one document apart; a rare mistake only sends a stretch in vain
+        blobs.append(_pack(k[part][order] & U(0xFFFFFFFF), np.bincount(place, minlength=len(d)), d, t))
     return pa.table({"grp": pa.array(found, pa.int32()), "blob": pa.array(blobs, pa.binary())})
 
 
@@ -181,10 +212,9 @@ def stretches(docs: pa.Table, flags: pa.Table, length: int, buckets: int) -> pa.
     """Rows (bucket, blob): the stretches of the documents of one group that lie under shared keys."""
     kept: dict[tuple[int, int], list] = {}
     for blob in flags.column("blob").to_pylist():
-        k, d, t = _unpack(blob, np.uint64, np.int64, np.int64)
-        cuts = np.flatnonzero(np.concatenate([[True], (d[1:] != d[:-1]) | (t[1:] != t[:-1]), [True]])) if len(k) else [0]
-        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-            kept.setdefault((int(d[a]), int(t[a])), []).append(k[a:b])
+        k, n, d, t = _unpack(blob, np.uint64, np.int64, np.int64, np.int64)
+        for key, part in zip(zip(d.tolist(), t.tolist(), strict=True), np.split(k, np.cumsum(n)[:-1]), strict=True):
+            kept.setdefault(key, []).append(part)
     out: list[list] = [[] for _ in range(7)]
     data, off = byte_view(docs.column("text"))
     ids, tids, grp = (np.asarray(docs.column(c)) for c in ("doc", "tid", "grp"))
@@ -194,7 +224,7 @@ def stretches(docs: pa.Table, flags: pa.Table, length: int, buckets: int) -> pa.
             continue
         text = data[off[r] : off[r + 1]]
         k, start, n, _ = window_runs(text, np.array([0, len(text)]), length)
-        hit = np.isin(k, np.concatenate(wanted))
+        hit = np.isin(k & U(0xFFFFFFFF), np.concatenate(wanted))
         k, start, n = k[hit], start[hit], n[hit]
         size = n + length - 1
         at = np.repeat(start - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum())
@@ -210,7 +240,8 @@ def stretches(docs: pa.Table, flags: pa.Table, length: int, buckets: int) -> pa.
         p = slice(cuts[i], cuts[i + 1])
         z = size[p].astype(np.int64)
         at = np.repeat(first[p] - np.concatenate([[0], np.cumsum(z)[:-1]]), z) + np.arange(z.sum())
-        blobs.append(_pack(text[at], size[p], doc[p], tid[p], start[p], grp[p]))
+        (d, t, g), place = _numbered(doc[p], tid[p], grp[p])
+        blobs.append(_pack(text[at], size[p], place, start[p], d, t, g))
     return pa.table({"bucket": pa.array(found, pa.int64()), "blob": pa.array(blobs, pa.binary())})
 
 
@@ -241,23 +272,33 @@ class RunLengthIndex:
             q = np.minimum(place + k, stop)
             key = (key << U(9)) | t[q].astype(np.uint64)
         order = np.argsort(key)
-        rank = self._ranks(key, order) + (n_texts - 1)  # all terminators are rank 0, and come first
+        first = self._first(key[order])
+        rank = np.empty(total, np.int64)  # a rank is the row where its set of equal suffixes begins
+        rank[order] = first
         rank[self.end] = np.arange(n_texts)
-        span, most = 7, int(size.max(initial=0)) + 1
-        exact = None
-        while span < most:
-            if span * 2 >= length > span or (span >= length and exact is None):
-                shift = length - span
-                exact = (rank, np.minimum(place + max(shift, 0), stop)) if shift > 0 else (rank, place)
-            key = (rank.astype(np.uint64) << U(32)) | rank[np.minimum(place + span, stop)].astype(np.uint64)
-            order = np.argsort(key)
-            rank = self._ranks(key, order)
+        order[:n_texts] = self.end
+        loose = self._repeated(rank[order])  # rows whose suffixes are not told apart yet
+        span, most, exact = 7, int(size.max(initial=0)) + 1, None
+        while span < most and len(loose):
+            if exact is None and span * 2 >= length:
+                exact = (rank.copy(), np.minimum(place + length - span, stop))
+            who = order[loose]
+            key = (rank[who].astype(np.uint64) << U(32)) | rank[np.minimum(who + span, stop[who])].astype(np.uint64)
+            again = np.argsort(key)
+            order[loose] = who[again]
+            rank[who[again]] = loose[self._first(key[again])]
+            loose = loose[self._repeated(rank[order[loose]])]
             span *= 2
+        if exact is None:  # every suffix was told apart before
+            exact = (rank, place)
         self.order = order
         rows = len(order)
         before = t[order - 1]
         cut = np.flatnonzero(np.concatenate([[True], before[1:] != before[:-1]]))
         self.run = cut
+        self.run_of = np.zeros(rows, np.int32)  # directory from rows to runs
+        self.run_of[cut[1:]] = 1
+        np.cumsum(self.run_of, out=self.run_of)
         self.run_symbol = before[cut]
         width = np.diff(np.append(cut, rows))
         # where a run's rows go: after all smaller symbols and the same symbol of earlier runs
@@ -269,23 +310,28 @@ class RunLengthIndex:
         self.run_end = np.append(cut[1:], rows) - 1
         self.of_symbol = {int(s): np.flatnonzero(self.run_symbol == s) for s in np.unique(self.run_symbol)}
         # suffixes that agree in `length` symbols, and the smallest owner of each such set
-        if exact is None:
-            apart = np.ones(rows, bool)
-        else:
-            r, q = exact
-            a, b = r[order], r[q[order]]
-            apart = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
+        r, q = exact
+        a, b = r[order], r[q[order]]
+        apart = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]) if rows else np.zeros(0, bool)
         self.group = np.flatnonzero(apart)
+        self.group_of = np.cumsum(apart, dtype=np.int32) - 1
         self.group_owner = np.minimum.reduceat(owner[which[order]], self.group) if rows else owner[:0]
 
     @staticmethod
-    def _ranks(key, order):
-        s = key[order]
+    def _first(s):
+        """For sorted values: the place where the run of equal ones begins."""
         new = np.zeros(len(s), np.int64)
-        new[1:] = s[1:] != s[:-1]
-        rank = np.empty(len(s), np.int64)
-        rank[order] = np.cumsum(new)
-        return rank
+        new[1:] = np.where(s[1:] != s[:-1], np.arange(1, len(s)), 0)
+        return np.maximum.accumulate(new)
+
+    @staticmethod
+    def _repeated(s):
+        """For sorted values: the places that have an equal neighbour."""
+        same = s[1:] == s[:-1]
+        flag = np.zeros(len(s), bool)
+        flag[1:] |= same
+        flag[:-1] |= same
+        return np.flatnonzero(flag)
 
     def own_rows(self) -> np.ndarray:
         """The row of each text's terminator."""
@@ -319,7 +365,7 @@ class RunLengthIndex:
             at = size[lanes] - 1 - step
             symbol = text[first[lanes] + at].astype(np.int64) + 1
             row = q[lanes]
-            run = np.searchsorted(self.run, row, side="right") - 1
+            run = self.run_of[row]
             off = np.flatnonzero(self.run_symbol[run] != symbol)
             length = matched[lanes]
             if len(off):
@@ -353,13 +399,14 @@ class RunLengthIndex:
 
     def first_owner(self, rows: np.ndarray) -> np.ndarray:
         """The smallest document with the `length` bytes that begin at each row."""
-        return self.group_owner[np.searchsorted(self.group, rows, side="right") - 1]
+        return self.group_owner[self.group_of[rows]]
 
 
 def marked(table: pa.Table, length: int) -> pa.Table:
     """Rows (grp, blob): the byte ranges that the stretches of one bucket take out of their documents."""
-    parts = [_unpack(b, np.uint8, np.uint8, np.int64, np.int64, np.uint32, np.int32) for b in table.column("blob").to_pylist()]
-    raw, size, doc, tid, start, grp = (np.concatenate([p[x] for p in parts]) for x in range(6))
+    parts = [_unpack(b, np.uint8, np.uint8, np.int64, np.int64, np.int64, np.int64, np.int32) for b in table.column("blob").to_pylist()]
+    raw, size, start = (np.concatenate([p[x] for p in parts]) for x in (0, 1, 3))
+    doc, tid, grp = (np.concatenate([p[x][p[2]] for p in parts]) for x in (4, 5, 6))
     ends = np.cumsum(size.astype(np.int64))
     whole = raw.tobytes()
     number: dict[bytes, int] = {}
@@ -393,8 +440,9 @@ def marked(table: pa.Table, length: int) -> pa.Table:
     blobs = []
     for i in range(len(found)):
         p = slice(cuts[i], cuts[i + 1])
-        order = np.lexsort((lo[p], tid[p], doc[p]))
-        blobs.append(_pack(doc[p][order], tid[p][order], lo[p][order].astype(np.uint32), hi[p][order].astype(np.uint32)))
+        (d, t), place = _numbered(doc[p], tid[p])
+        order = np.lexsort((lo[p], place))
+        blobs.append(_pack(lo[p][order], (hi[p] - lo[p])[order], np.bincount(place, minlength=len(d)), d, t))
     return pa.table({"grp": pa.array(found, pa.int32()), "blob": pa.array(blobs, pa.binary())})
 
 
@@ -405,10 +453,10 @@ def removed(docs: pa.Table, marks: pa.Table, with_text: bool) -> pa.Table:
     """The documents of one group without the marked bytes."""
     spans: dict[tuple[int, int], list] = {}
     for blob in marks.column("blob").to_pylist():
-        d, t, lo, hi = _unpack(blob, np.int64, np.int64, np.uint32, np.uint32)
-        cuts = np.flatnonzero(np.concatenate([[True], (d[1:] != d[:-1]) | (t[1:] != t[:-1]), [True]])) if len(d) else [0]
-        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-            spans.setdefault((int(d[a]), int(t[a])), []).append((lo[a:b].astype(np.int64), hi[a:b].astype(np.int64)))
+        lo, size, n, d, t = _unpack(blob, np.int64, np.int64, np.int64, np.int64, np.int64)
+        cuts = np.cumsum(n)[:-1]
+        for key, a, b in zip(zip(d.tolist(), t.tolist(), strict=True), np.split(lo, cuts), np.split(lo + size, cuts), strict=True):
+            spans.setdefault(key, []).append((a, b))
     data, off = byte_view(docs.column("text"))
     ids, tids = np.asarray(docs.column("doc")), np.asarray(docs.column("tid"))
     n_bytes, n_removed, n_spans, sha, kept = [], [], [], [], []
@@ -457,7 +505,7 @@ def _call(function: str, *args):
     return one, two
 
 
-def without_repeats(docs: DataFrame, length: int = 50, with_text: bool = False, group_bytes: int = 2 << 20, key_bytes: int = 6 << 20, batch_bytes: int = 1 << 20) -> DataFrame:
+def without_repeats(docs: DataFrame, length: int = 50, with_text: bool = False, group_bytes: int = 6 << 20, key_bytes: int = 6 << 20, batch_bytes: int = 2 << 20) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans and kept_sha256 of each row of docs(doc_id, text); the kept text on demand."""
     if not 24 <= length <= 70:
         raise ValueError("length must be from 24 to 70")
