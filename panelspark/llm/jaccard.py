@@ -4,8 +4,8 @@
 2. Candidates, exactly: two sets of sizes a and b whose Jaccard value reaches t differ in at most
    (a + b)(1 - t)/(1 + t) shingles. Cut the hash space into one part more than that bound for their size level, and at least
    one part is the same in both. A set signs each of its parts, at the key of its own size level and of the next, so that all
-   sizes that may link meet. Parts that are empty sign nothing; a set with empty parts signs by a further cut too, since two
-   sets whose unchanged parts are all empty both have such parts. A common line or passage fills no part alone, so
+   sizes that may link meet. Parts that are empty sign nothing, so there are some parts to spare; a set with more empty
+   parts than that signs by a further cut too, as does every set that may link with it by none but empty parts. A common line or passage fills no part alone, so
    frequent shingles make no crowds.
 3. The components of "share a part" are the blocks of a sparse matrix product: documents by shingles times its
    transpose gives all overlaps of a block at once. Pairs whose sizes rule the link out are discarded first, then those
@@ -20,6 +20,7 @@ component is named by its smallest doc_id.
 from __future__ import annotations
 
 import hashlib
+import math
 
 import numpy as np
 import pyarrow as pa
@@ -81,11 +82,18 @@ class Levels:
             self.ends.append((self.ends[-1] + 1) * self.bottom // self.top)
         return int(np.searchsorted(self.ends, n))
 
-    def parts(self, level: int) -> int:
-        """One more than the most shingles in which two linked sets of this level and the one below can differ."""
+    def parts(self, level: int) -> tuple[int, int]:
+        """The number of parts, and the most shingles in which two linked sets of this level and the one below differ.
+
+        More parts than one beyond that bound: about twice as many to spare as may be empty in the smallest such set.
+        """
         while len(self.ends) <= level:
             self.ends.append((self.ends[-1] + 1) * self.bottom // self.top)
-        return 2 * self.ends[level] * (self.bottom - self.top) // (self.bottom + self.top) + 1
+        differ = 2 * self.ends[level] * (self.bottom - self.top) // (self.bottom + self.top)
+        least, spare = (self.ends[level - 2] if level >= 2 else 0) + 1, 0
+        while differ and spare < 2 * (differ + 1 + spare) * math.exp(-least / (differ + 1 + spare)) and spare <= differ:
+            spare += 1
+        return differ + 1 + spare, differ
 
 
 def signatures(s: np.ndarray, levels: Levels) -> np.ndarray:
@@ -93,8 +101,8 @@ def signatures(s: np.ndarray, levels: Levels) -> np.ndarray:
     out = []
     home = levels.of(len(s))
     for level in (home, home + 1):
-        parts = levels.parts(level)
-        if parts < 2:  # only equal sets can link
+        parts, differ = levels.parts(level)
+        if not differ:  # only equal sets can link
             continue
         for cut in range(CUTS):
             x = s if cut == 0 else np.sort(mix(s + U(cut * 0x9E3779B9)))
@@ -104,9 +112,10 @@ def signatures(s: np.ndarray, levels: Levels) -> np.ndarray:
             count = np.diff(edges).astype(np.uint64)
             sign = mix((total[edges[1:]] - total[edges[:-1]]) + count * U(0x2545F491) + np.arange(parts, dtype=np.uint64) * U(0x9E3779B97F4A7C15) + U(level * 1_000_003 + cut))
             empty = count == 0
-            last = cut == CUTS - 1
-            out.append(sign if last else sign[~empty])
-            if last or not empty.any():
+            # linked sets agree in at least parts - differ parts; so many empty ones could be all of them
+            doubt = int(empty.sum()) >= parts - differ
+            out.append(sign if doubt and cut == CUTS - 1 else sign[~empty])
+            if not doubt:
                 break
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
 
