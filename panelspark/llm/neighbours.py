@@ -22,6 +22,7 @@ from .common import shipped
 
 SCHEMA = "query_id long, vec_id long, score double"
 LEAF = 48
+SPARE = 8
 
 
 class VantageTree:
@@ -57,9 +58,9 @@ class VantageTree:
         return at
 
     def search(self, queries: np.ndarray, own: np.ndarray, k: int, factor: float):
-        """Row indices of distinct vectors and distances, k + 1 a query, as (query, vector) candidates."""
-        best_d = np.full((len(queries), k + 1), np.inf)
-        best_i = np.full((len(queries), k + 1), -1)
+        """Distances and row indices of distinct vectors: k and some to spare, so that near ties are seen."""
+        best_d = np.full((len(queries), k + SPARE), np.inf)
+        best_i = np.full((len(queries), k + SPARE), -1)
         if self.root >= 0:
             self._visit(self.root, queries, np.arange(len(queries)), best_d, best_i, factor)
         return best_d, best_i
@@ -120,8 +121,13 @@ def shard_search(key, rows: pa.Table, queries: pa.Table, k: int, factor: float)
         for a in range(len(chosen)):
             near = best_i[a][best_i[a] >= 0]
             exact = np.sqrt(((distinct[near] - q[a]) ** 2).sum(1))
-            cand = [(e, i) for e, n in zip(exact, near, strict=True) for i in groups[n] if i != own[a]]
-            for e, i in sorted(cand)[:k]:
+            cand = sorted((e, i) for e, n in zip(exact, near, strict=True) for i in groups[n] if i != own[a])[:k]
+            if len(near) == k + SPARE and cand and cand[-1][0] >= exact.max() - 1e-6:
+                # more vectors tie with the last place than were kept: this query looks at all that are as near
+                exact = np.sqrt(((distinct - q[a]) ** 2).sum(1))
+                near = np.flatnonzero(exact <= cand[-1][0])
+                cand = sorted((e, i) for e, n in zip(exact[near], near, strict=True) for i in groups[n] if i != own[a])[:k]
+            for e, i in cand:
                 out_q.append(own[a])
                 out_v.append(i)
                 out_d.append(e)
