@@ -315,6 +315,13 @@ def _grouped(function: str):
 
 
 def representatives(docs: DataFrame, width: int = 5, top: int = 80, bottom: int = 100) -> DataFrame:
-    """docs without those that are linked with a smaller doc_id: one of each component stays (repeated ids: one row)."""
-    named = similar(docs, width, top, bottom).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.dropDuplicates(["doc_id"]).join(named, "doc_id", "left_semi").select(*docs.columns)
+    """docs without those that are linked with a smaller doc_id: one of each component stays (repeated ids: one row).
+
+    Rows with a null doc_id name no document and stay. The texts are shuffled once here; they are grouped by id only
+    where the ids say that some row is repeated.
+    """
+    ids = settled(similar(docs, width, top, bottom).where("doc_id = component_id").groupBy("doc_id").agg(F.count("*").alias("n")))
+    kept = docs.join(ids.select("doc_id"), "doc_id", "left_semi")
+    if not ids.where("n > 1").isEmpty():
+        kept = kept.dropDuplicates(["doc_id"])
+    return kept.select(*docs.columns).unionByName(docs.where(F.col("doc_id").isNull()))
