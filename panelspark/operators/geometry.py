@@ -73,24 +73,33 @@ def cross(a, b):
 
 
 def with_metrics(panels: DataFrame) -> DataFrame:
-    """Adds gram (twice the area), area, the unit normal, the centroid and the box. Panels without area are rejected."""
+    """Adds gram (twice the area), area, the unit normal, the centroid and the box.
+
+    Panels without area get a null normal; `sound` rejects them. No filter stands here: pushed below the steps of a
+    generated mesh it would write all of them out into one huge condition.
+    """
     p = {x: tuple(F.col(f"{x}{axis}") for axis in "xyz") for x in "abc"}
     e1 = tuple(q - r for q, r in zip(p["b"], p["a"], strict=True))
     e2 = tuple(q - r for q, r in zip(p["c"], p["b"], strict=True))
     n = cross([F.col(f"_e1{a}") for a in "xyz"], [F.col(f"_e2{a}") for a in "xyz"])
     out = panels.withColumns({f"_e{k}{a}": c for k, e in ((1, e1), (2, e2)) for a, c in zip("xyz", e, strict=True)})
     out = out.withColumns({"_nx": n[0], "_ny": n[1], "_nz": n[2]})
-    out = out.withColumn("gram", F.sqrt(F.col("_nx") ** 2 + F.col("_ny") ** 2 + F.col("_nz") ** 2)).where("gram > 0")
+    out = out.withColumn("gram", F.sqrt(F.col("_nx") * F.col("_nx") + F.col("_ny") * F.col("_ny") + F.col("_nz") * F.col("_nz")))
     new = {"area": F.col("gram") / 2}
     for axis in "xyz":
         corners = [F.col(f"{x}{axis}") for x in "abc"]
-        new[f"n{axis}"] = F.col(f"_n{axis}") / F.col("gram") + 0.0
+        new[f"n{axis}"] = F.try_divide(F.col(f"_n{axis}"), F.col("gram")) + 0.0
         new[f"g{axis}"] = (corners[0] + corners[1] + corners[2]) / 3.0 + 0.0
         new[f"lo{axis}"] = F.least(*corners)
         new[f"hi{axis}"] = F.greatest(*corners)
     return out.withColumns(new).drop("_nx", "_ny", "_nz", *[f"_e{k}{a}" for k in (1, 2) for a in "xyz"])
 
 
+def sound(panels: DataFrame) -> DataFrame:
+    """Panels of an outside mesh that have an area."""
+    return panels.where("gram > 0")
+
+
 def carried_panels(spark: SparkSession, table: DataFrame, key: str, value: str, n: int) -> DataFrame:
     """The panels of refinement n, each with the value of the k-th row of the table by key as its density.
 

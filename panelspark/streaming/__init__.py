@@ -16,10 +16,19 @@ EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, valu
 
 def items(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
     """A file source of events as work items; the time column is made a timestamp for watermarks."""
-    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+    folder_, _, name = path.rstrip("/").rpartition("/")
+    reader = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger)
+    # one file of a folder is picked by its name: a stream reads folders
+    raw = reader.option("pathGlobFilter", name).parquet(folder_) if _is_file(spark, path) else reader.parquet(path)
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def _is_file(spark: SparkSession, path: str) -> bool:
+    jvm = spark._jvm
+    p = jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(p).isFile()
+
+
 def packer(limit: int):
     """State of a case: the open list (its number and size). Emits each item with its list; a batch is put in id order."""
 
