@@ -44,7 +44,8 @@ def doc_sets(column, width: int):
         first = np.searchsorted(row, np.arange(j - i + 1))
         gram = np.zeros(len(h), np.uint64)
         for k in range(width):
-            gram[: len(h) - k] = mix(gram[: len(h) - k] * U(3) + h[k:] + U(k))
+            m = max(0, len(h) - k)
+            gram[:m] = mix(gram[:m] * U(3) + h[k : k + m] + U(k))
         for r in range(j - i):
             a, b = first[r], first[r + 1]
             if b - a >= width:

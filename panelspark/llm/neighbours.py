@@ -146,12 +146,12 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, factor: float =
 
     Shards hold about shard_rows vectors, whatever the size of the table; each meets the query set in blocks.
     """
-    rows, asked = usable(vectors), usable(queries)
+    rows, asked = usable(vectors), usable(queries).dropDuplicates()
     shards = max(1, -(-rows.count() // shard_rows))
     blocks = max(1, -(-asked.count() // block_rows))
     keyed = rows.withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)))
     if blocks > 1:
-        keyed = keyed.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).cast("long"))
+        keyed = keyed.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
     else:
         keyed = keyed.withColumn("block", F.lit(0).cast("long"))
     sent = asked.withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(blocks))).withColumn("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))))

@@ -4,7 +4,6 @@ import math
 
 import brute
 import pytest
-from conftest import DATA  # noqa: F401  the fixture file of the folder above
 from pyspark.sql import functions as F
 
 from panelspark.llm import components, jaccard, media, mixing, neighbours, pieces, pii, queries, repeats, token_counts
