@@ -1,7 +1,7 @@
 """Queries against their SQL on the smallest tables, golden values and invariants."""
 
 import pytest
-from conftest import same_rows
+from helpers import same_rows
 from pyspark.sql import functions as F
 
 from panelspark import catalog

@@ -3,7 +3,7 @@
 import subprocess
 import sys
 
-from conftest import ROOT
+from helpers import ROOT
 
 
 def test_entry_points_import():
