@@ -83,18 +83,24 @@ class Levels:
             self.ends.append((self.ends[-1] + 1) * self.bottom // self.top)
         return int(np.searchsorted(self.ends, n))
 
-    def parts(self, level: int) -> tuple[int, int]:
-        """The number of parts, and the most shingles in which two linked sets of this level and the one below differ.
+    def parts(self, level: int) -> tuple[int, int, bool]:
+        """The number of parts, how many of them may be no help, and whether each is signed without one third at a time.
 
-        More parts than one beyond that bound: about twice as many to spare as may be empty in the smallest such set.
+        Linked sets of this level and the one below differ in at most `differ` shingles. If that leaves six shingles for
+        each of differ + 1 parts, each part signs as a whole, and at most `differ` parts are touched. Otherwise there
+        are half as many parts: at most differ / 2 of them are touched twice, and one touched once still agrees in two of
+        its thirds. Some parts are to spare: about twice as many as may be empty in the smallest such set.
         """
         while len(self.ends) <= level:
             self.ends.append((self.ends[-1] + 1) * self.bottom // self.top)
         differ = 2 * self.ends[level] * (self.bottom - self.top) // (self.bottom + self.top)
         least, spare = (self.ends[level - 2] if level >= 2 else 0) + 1, 0
-        while differ and spare < 2 * (differ + 1 + spare) * math.exp(-least / (differ + 1 + spare)) and spare <= differ:
+        thirds = least < 6 * (differ + 1)
+        lost = differ // 2 if thirds else differ
+        share = 2 / 3 if thirds else 1.0
+        while differ and spare < (6 if thirds else 2) * (lost + 1 + spare) * math.exp(-share * least / (lost + 1 + spare)) and spare <= lost:
             spare += 1
-        return differ + 1 + spare, differ
+        return (lost + 1 + spare if differ else 0), lost, thirds
 
 
 def signatures(s: np.ndarray, levels: Levels) -> np.ndarray:
@@ -102,20 +108,28 @@ def signatures(s: np.ndarray, levels: Levels) -> np.ndarray:
     out = []
     home = levels.of(len(s))
     for level in (home, home + 1):
-        parts, differ = levels.parts(level)
-        if not differ:  # only equal sets can link
+        parts, lost, thirds = levels.parts(level)
+        if not parts:  # only equal sets can link
             continue
+        cells = parts * (3 if thirds else 1)
         for cut in range(CUTS):
             x = s if cut == 0 else np.sort(mix(s + U(cut * 0x9E3779B9)))
-            edges = np.searchsorted((x >> U(32)) * U(parts) >> U(32), np.arange(parts + 1, dtype=np.uint64))
+            edges = np.searchsorted((x >> U(32)) * U(cells) >> U(32), np.arange(cells + 1, dtype=np.uint64))
             total = np.zeros(len(x) + 1, np.uint64)
             np.cumsum(mix(x ^ U(0x5851F42D4C957F2D)), out=total[1:])
             count = np.diff(edges).astype(np.uint64)
-            sign = mix((total[edges[1:]] - total[edges[:-1]]) + count * U(0x2545F491) + np.arange(parts, dtype=np.uint64) * U(0x9E3779B97F4A7C15) + U(level * 1_000_003 + cut))
-            empty = count == 0
-            # linked sets agree in at least parts - differ parts; so many empty ones could be all of them
-            doubt = int(empty.sum()) >= parts - differ
-            out.append(sign if doubt and cut == CUTS - 1 else sign[~empty])
+            content = (total[edges[1:]] - total[edges[:-1]]) + count * U(0x2545F491)
+            if thirds:  # everything of a part but one third
+                count, content = (a.reshape(-1, 3) for a in (count, content))
+                count, content = (a.sum(1, dtype=np.uint64)[:, None] - a for a in (count, content))
+                weak = int((count == 0).any(1).sum())
+                count, content = count.ravel(), content.ravel()
+            else:
+                weak = int((count == 0).sum())
+            sign = mix(content + np.arange(len(content), dtype=np.uint64) * U(0x9E3779B97F4A7C15) + U(level * 1_000_003 + cut))
+            # at least parts - lost parts agree; so many weak ones could be all of them
+            doubt = weak >= parts - lost
+            out.append(sign if doubt and cut == CUTS - 1 else sign[count > 0])
             if not doubt:
                 break
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
@@ -276,7 +290,7 @@ def similar(docs: DataFrame, width: int = 3, top: int = 90, bottom: int = 100, b
     rows = settled(docs.select("doc_id", "text").mapInArrow(shipped(here, "described", width), "doc_id long, n_shingles long, class long"))
     classes = rows.where("n_shingles > 0").groupBy("class").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"))
     total = classes.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    # about 2 * 2 (1 - t) / (1 + t) / t signatures of 16 bytes for each shingle
+    # about 2 * 2 (1 - t) / (1 + t) / t, or half as many again, signatures of 16 bytes for each shingle
     buckets = int(max(8, total * 4 * (bottom - top) / (bottom + top) * bottom / top * 16 // bucket_bytes + 1))
     blobs = docs.select("text").mapInArrow(shipped(here, "packed", width, top, bottom, buckets), "bucket long, blob binary")
     candidates = blobs.groupBy("bucket").applyInArrow(_grouped("shared_parts"), "u long, v long")
