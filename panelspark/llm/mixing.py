@@ -96,3 +96,19 @@ def interleaved(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_b
     out = mixed(docs, weights, rest, block_bytes)
     last = F.coalesce("_slot", F.lit(1 << 62))
     return out.repartitionByRange(last, "_place").sortWithinPartitions(last, "_place").select(*docs.columns)
+
+
+def oracle(weights: dict[str, int], rest: int, block_bytes: int, shards: int = 256, seed: int = 0) -> str:
+    """The schedule of `documents` in SQL; only the period of the schedule, a table of the weights, is given."""
+    weights = {**weights, REST: rest}
+    period = sum(weights.values())
+    plan = ", ".join(f"('{s}', {j}, {r}, {d}, {t})" for s, j, r, d, t in period_schedule(weights))
+    named = ", ".join(f"'{s}'" for s in weights if s != REST)
+    each = ", ".join(f"('{s}', {w})" for s, w in weights.items())
+    return f"""WITH plan(s, j, r, d, t) AS (VALUES {plan}), shares(s, w) AS (VALUES {each}),
+a AS (SELECT doc_id, CASE WHEN source IN ({named}) THEN source ELSE '{REST}' END AS stream, md5('{seed}:' || doc_id) AS h, coalesce(strlen(text), 0) AS bytes, md5(coalesce(text, '')) AS m FROM documents),
+b AS (SELECT *, CAST(sum(bytes) OVER (PARTITION BY stream ORDER BY CAST('0x' || substr(h, 1, 4) AS BIGINT) % {shards}, h, doc_id, bytes, m ROWS UNBOUNDED PRECEDING) - bytes AS BIGINT) AS place FROM a),
+spent AS (SELECT min(floor(total / {block_bytes}) / w * {period}) AS spent FROM (SELECT stream, sum(bytes) AS total FROM a GROUP BY stream) JOIN shares ON s = stream WHERE w > 0),
+c AS (SELECT *, place // {block_bytes} AS block FROM b JOIN shares ON s = stream)
+SELECT doc_id, stream, block, t + block // w * {period} AS slot, r + block // w * {period} AS release, d + block // w * {period} AS deadline, place, t + block // w * {period} < spent AS balanced
+FROM c JOIN plan ON plan.s = stream AND plan.j = block % w, spent"""

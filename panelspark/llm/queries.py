@@ -75,4 +75,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_personal_data": pii.oracle()}
+    return {"op3_source_mixing": mixing.oracle(WEIGHTS, REST_WEIGHT, BLOCK_BYTES), "op8_personal_data": pii.oracle()}
