@@ -39,11 +39,14 @@ def _share(size: Column, k: Column, rounds: Column) -> Column:
     return F.aggregate(steps, size, halve)
 
 
-def fold(sizes, limit: int) -> list[int]:
-    """List number of each size, in order; all sizes are below the limit or single units."""
+def fold(sizes, limit: int, closes=None) -> list[int]:
+    """List number of each size, in order; all sizes are below the limit or single units.
+
+    closes: where an oversized item begins, which closes the open list before it is split.
+    """
     out, number, filled = [], 0, 0
-    for s in sizes:
-        if filled and filled + s >= limit:
+    for s, c in zip(sizes, closes if closes is not None else [False] * len(sizes), strict=True):
+        if filled and (c or filled + s >= limit):
             number, filled = number + 1, 0
         filled += s
         out.append(number)
@@ -60,7 +63,8 @@ def greedy(items: DataFrame, limit: int, order: list[str], producer: str = "prod
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values([*order, "piece"], kind="stable")
-        return pdf.assign(list=fold(pdf["bytes"].tolist(), limit))
+        begins = (pdf["piece"] == 0) & (pdf["piece"].shift(-1) == 1)
+        return pdf.assign(list=fold(pdf["bytes"].tolist(), limit, begins.tolist()))
 
     return pieces.groupBy(producer).applyInPandas(run, schema)
 

@@ -28,9 +28,9 @@ def package_split(spark, sf_dir):
     return packages.split_oversized(items(spark, sf_dir), LIMIT).select("item", "piece", "bytes")
 
 
-@R.add(f"""WITH RECURSIVE {SPLIT_CTE}, q AS (SELECT *, row_number() OVER (PARTITION BY producer ORDER BY item, piece) AS k FROM split),
+@R.add(f"""WITH RECURSIVE {SPLIT_CTE}, q AS (SELECT *, row_number() OVER (PARTITION BY producer ORDER BY item, piece) AS k, piece = 0 AND coalesce(lead(piece) OVER (PARTITION BY producer ORDER BY item, piece), 0) = 1 AS opens FROM split),
 w(producer, item, piece, bytes, k, list, filled) AS (SELECT producer, item, piece, bytes, k, CAST(0 AS BIGINT), bytes FROM q WHERE k = 1
-UNION ALL SELECT q.producer, q.item, q.piece, q.bytes, q.k, CASE WHEN w.filled + q.bytes >= {LIMIT} THEN w.list + 1 ELSE w.list END, CASE WHEN w.filled + q.bytes >= {LIMIT} THEN q.bytes ELSE w.filled + q.bytes END FROM w JOIN q ON q.producer = w.producer AND q.k = w.k + 1)
+UNION ALL SELECT q.producer, q.item, q.piece, q.bytes, q.k, CASE WHEN q.opens OR w.filled + q.bytes >= {LIMIT} THEN w.list + 1 ELSE w.list END, CASE WHEN q.opens OR w.filled + q.bytes >= {LIMIT} THEN q.bytes ELSE w.filled + q.bytes END FROM w JOIN q ON q.producer = w.producer AND q.k = w.k + 1)
 SELECT producer, list, count(*) AS items, CAST(sum(bytes) AS BIGINT) AS bytes FROM w GROUP BY producer, list""")
 def package_greedy(spark, sf_dir):
     return packages.greedy(items(spark, sf_dir), LIMIT, ["item"]).groupBy("producer", "list").agg(F.count("*").alias("items"), F.sum("bytes").alias("bytes"))
