@@ -1,13 +1,17 @@
-"""Subword encoding and decoding: an Aho-Corasick automaton over the pieces drives a one-pass Viterbi search.
+"""Subword encoding and decoding, by the rule of the model: merges by rank, or the greatest sum of scores.
 
-The automaton reports, at each end position, every piece that ends there by following its output links; each one relaxes
+A model of merges (type BPE; its scores are minus the rank) starts from single characters and always joins the adjacent
+pair whose piece has the best score, the leftmost among equals, until no pair is a piece. A heap holds the pairs of
+long units; short ones are scanned.
+
+For a model of scores, an Aho-Corasick automaton over the pieces drives a one-pass Viterbi search. The automaton reports, at each end position, every piece that ends there by following its output links; each one relaxes
 the best score of that position, so one pass over the text finds the segmentation with the greatest sum of scores.
 A character that no piece covers falls back to its UTF-8 bytes at a score below all pieces. Among equal scores the
 longer last piece wins, as in the public library's search.
 
-Where no piece holds a word mark after another character, the best segmentation of a text is the best segmentation of its
-units one by one, so each distinct unit is searched once and kept in a bounded cache. Scores are those of the model
-file; a model of merges is read as scores by rank.
+Where no piece holds a word mark after another character, no merge crosses the start of a unit and the best segmentation
+of a text is that of its units one by one, so each distinct unit is searched once and kept in a bounded cache. Scores
+are those of the model file.
 
 Null and empty texts have no pieces. Decoding gives back the text, with a literal word mark read as a space. Texts
 of any length take memory in proportion to themselves. Repeated rows give repeated results.
@@ -16,6 +20,7 @@ of any length take memory in proportion to themselves. Repeated rows give repeat
 from __future__ import annotations
 
 import re
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -26,6 +31,8 @@ from .common import shipped, texts
 
 MARK = "▁"
 CACHE = 400_000
+SHORT = 40
+NEVER = float("inf")
 
 
 class PieceCodec:
@@ -49,6 +56,12 @@ class PieceCodec:
         for i, piece, score in normal:
             self.automaton.add_word(piece, (len(piece), score, i))
         self.automaton.make_automaton()
+        kind = model.trainer_spec.model_type
+        if kind not in (1, 2) or any(p.type in (4, 5) for p in model.pieces):
+            raise ValueError("only models of scores or merges without user-defined or unused pieces are supported")
+        self.rank = {p: -s for _, p, s in normal}.get
+        self.ids = {p: i for i, p, _ in normal}
+        self.search = self.merged if kind == 2 else self.best
         held = [p for _, p, _ in normal]
         decomposes = not any(MARK in p.lstrip(MARK) for p in held)
         alone = "\n\t\r" if not any(c in p for p in held for c in "\n\t\r") else ""
@@ -82,6 +95,51 @@ class PieceCodec:
         out.reverse()
         return out
 
+    def merged(self, unit: str) -> list[int]:
+        """The ids that the merges end with."""
+        rank = self.rank
+        part = list(unit) if len(unit) <= SHORT else self.heaped(unit)
+        ranks = [rank(a + b, NEVER) for a, b in zip(part, part[1:])] if len(unit) <= SHORT else []
+        while ranks:
+            best = min(ranks)
+            if best == NEVER:
+                break
+            k = ranks.index(best)
+            part[k] += part.pop(k + 1)
+            del ranks[k]
+            if k:
+                ranks[k - 1] = rank(part[k - 1] + part[k], NEVER)
+            if k < len(ranks):
+                ranks[k] = rank(part[k] + part[k + 1], NEVER)
+        out, ids = [], self.ids
+        for p in part:
+            if p in ids:
+                out.append(ids[p])
+            else:
+                out.extend(self.byte_ids.get(b, self.unknown) for b in p.encode())
+        return out
+
+    def heaped(self, unit: str) -> list[str]:
+        """The parts of a long unit after all merges, in n log n steps."""
+        part, n, rank = list(unit), len(unit), self.rank
+        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+        heap = [(found, k, 2) for k in range(n - 1) if (found := rank(unit[k : k + 2])) is not None]
+        heapify(heap)
+        while heap:
+            _, k, size = heappop(heap)
+            right = after[k]
+            if not part[k] or right == n or len(part[k]) + len(part[right]) != size:
+                continue  # one of the two has been merged since
+            part[k] += part[right]
+            part[right] = ""
+            after[k] = after[right]
+            if after[k] < n:
+                before[after[k]] = k
+            for a, b in ((before[k], k), (k, after[k])):
+                if a >= 0 and b < n and (found := rank(part[a] + part[b])) is not None:
+                    heappush(heap, (found, a, len(part[a]) + len(part[b])))
+        return [p for p in part if p]
+
     def encode(self, text: str) -> np.ndarray:
         if not text:
             return np.zeros(0, np.int32)
@@ -94,7 +152,7 @@ class PieceCodec:
                 cache.clear()
                 new = set(units)
             for u in new:
-                cache[u] = np.array(self.best(u), np.int32).tobytes()
+                cache[u] = np.array(self.search(u), np.int32).tobytes()
             found = [cache[u] for u in units]
         return np.frombuffer(b"".join(found), np.int32)
 

@@ -48,6 +48,19 @@ def test_pieces_find_the_best_score_and_decode():
             assert got + run * c.worst == pytest.approx(brute.best_score(u, score, c.worst))
 
 
+def test_pieces_equal_the_library():
+    import sentencepiece
+
+    library = sentencepiece.SentencePieceProcessor(model_file=MODEL)
+    c = pieces.PieceCodec(MODEL)
+    rng = random.Random(5)
+    texts = [*ODD, "the quick thtionshing of 12345", "Ünïcode straße", "▁" * 37 + "a" + " " * 21, "unseparated" * 400]
+    texts += ["".join(rng.choice("  abehinorst.\n▁é€") for _ in range(rng.randrange(400))) for _ in range(200)]
+    assert [c.pieces[i] for i in c.encode("the")] == ["▁the"]
+    for t in texts:
+        assert c.encode(t).tolist() == library.encode(t), t
+
+
 def test_run_length_index_and_statistics():
     rng = np.random.default_rng(3)
     for trial in range(20):
