@@ -2,7 +2,8 @@
 sources are interleaved by their target weights, and the texts become subword pieces.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that its predecessor kept. All but the last return the
-columns of documents. Tests compare the stages with brute-force versions; SQL cannot express them together.
+columns of documents; the mixing stage adds slot and place, which the last stage hands on: the scheduled order of the
+result is ORDER BY slot, place. Tests compare the stages with brute-force versions; SQL cannot express them together.
 """
 
 from __future__ import annotations
@@ -31,13 +32,13 @@ def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, in the order of the schedule."""
-    return mixing.interleaved(docs, queries.WEIGHTS, queries.REST_WEIGHT, queries.BLOCK_BYTES)
+    """All documents, in the order of the schedule, with slot and place."""
+    return mixing.scheduled(docs, queries.WEIGHTS, queries.REST_WEIGHT, queries.BLOCK_BYTES)
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, n_pieces, ids and round_trip of each document."""
-    return pieces.encode(docs, queries.tokenizer("piece_bpe_32k.model"))
+    """doc_id, n_pieces, ids and round_trip of each document, with slot and place where docs have them."""
+    return pieces.encode(docs, queries.tokenizer("piece_bpe_32k.model"), keep=tuple(c for c in ("slot", "place") if c in docs.columns))
 
 
 STAGES = [

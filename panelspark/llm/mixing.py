@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 REST = "(rest)"
+LAST = 1 << 62
 
 
 def period_schedule(weights: dict[str, int]) -> list[tuple[str, int, int, int, int]]:
@@ -91,11 +92,18 @@ def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes:
     )
 
 
+def scheduled(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes: int = 1 << 20) -> DataFrame:
+    """The rows of docs with slot and place, sorted by them; as columns, the order survives files that are read in any order.
+
+    Streams of weight 0 have the slot LAST.
+    """
+    out = mixed(docs, weights, rest, block_bytes).select(*docs.columns, F.coalesce("_slot", F.lit(LAST)).alias("slot"), F.col("_place").alias("place"))
+    return out.repartitionByRange("slot", "place").sortWithinPartitions("slot", "place")
+
+
 def interleaved(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes: int = 1 << 20) -> DataFrame:
     """The rows of docs, all of them and with their own columns only, sorted into the scheduled order."""
-    out = mixed(docs, weights, rest, block_bytes)
-    last = F.coalesce("_slot", F.lit(1 << 62))
-    return out.repartitionByRange(last, "_place").sortWithinPartitions(last, "_place").select(*docs.columns)
+    return scheduled(docs, weights, rest, block_bytes).select(*docs.columns)
 
 
 def oracle(weights: dict[str, int], rest: int, block_bytes: int, shards: int = 256, seed: int = 0) -> str:

@@ -196,7 +196,9 @@ def encoded(batches, path: str, check: bool):
             same.append(c.decode(found.tolist()) == t.replace(MARK, " ") if check else None)
         sizes = np.cumsum([0, *map(len, ids)]).astype(np.int32)
         flat = pa.array(np.concatenate(ids) if ids else np.zeros(0, np.int32), pa.int32())
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.diff(sizes).astype(np.int64)), pa.ListArray.from_arrays(pa.array(sizes), flat), pa.array(same, pa.bool_())], ["doc_id", "n_pieces", "ids", "round_trip"])
+        kept = range(2, batch.num_columns)
+        columns = [batch.column(0), pa.array(np.diff(sizes).astype(np.int64)), pa.ListArray.from_arrays(pa.array(sizes), flat), pa.array(same, pa.bool_()), *(batch.column(k) for k in kept)]
+        yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n_pieces", "ids", "round_trip", *(batch.schema.names[k] for k in kept)])
 
 
 def decoded(batches, path: str):
@@ -206,9 +208,11 @@ def decoded(batches, path: str):
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.string())], ["doc_id", "text"])
 
 
-def encode(docs: DataFrame, model_path: str, check: bool = True) -> DataFrame:
-    """doc_id, n_pieces, ids and round_trip (decoding gave back the text) of each row of docs(doc_id, text). Narrow."""
-    return docs.select("doc_id", "text").mapInArrow(shipped("panelspark.llm.pieces", "encoded", model_path, check), "doc_id long, n_pieces long, ids array<int>, round_trip boolean")
+def encode(docs: DataFrame, model_path: str, check: bool = True, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, n_pieces, ids and round_trip (decoding gave back the text) of each row of docs(doc_id, text), and the columns of `keep`. Narrow."""
+    rows = docs.select("doc_id", "text", *keep)
+    kept = "".join(f", `{c}` {rows.schema[c].dataType.simpleString()}" for c in keep)
+    return rows.mapInArrow(shipped("panelspark.llm.pieces", "encoded", model_path, check), f"doc_id long, n_pieces long, ids array<int>, round_trip boolean{kept}")
 
 
 def decode(rows: DataFrame, model_path: str) -> DataFrame:

@@ -130,3 +130,15 @@ def test_pipeline(spark, data):
     assert masked.columns == docs.columns and masked.count() == docs.count()
     assert stages["source mixing"](spark, docs, data).count() == docs.count()
     assert all(r["round_trip"] for r in stages["subword pieces"](spark, docs, data).collect())
+
+
+def test_pipeline_keeps_the_schedule(spark, data, docs):
+    import corpus_pipeline
+    from panelspark.llm.common import settled
+
+    stages = dict(corpus_pipeline.STAGES)
+    for rows in (docs, spark.read.parquet(f"{data}/documents.parquet")):
+        mixed = settled(stages["source mixing"](spark, rows, data))  # written and read again, as run() does
+        out = settled(stages["subword pieces"](spark, mixed.repartition(7), data)).orderBy("slot", "place", "doc_id")
+        want = mixing.mixed(rows, queries.WEIGHTS, queries.REST_WEIGHT, queries.BLOCK_BYTES).orderBy("_slot", "_place", "doc_id")
+        assert [tuple(r) for r in out.select("doc_id", "slot", "place").collect()] == [tuple(r) for r in want.select("doc_id", "_slot", "_place").collect()]
