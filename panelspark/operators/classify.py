@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+from math import comb
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -58,17 +61,25 @@ def aligned(pairs: DataFrame) -> DataFrame:
     return rows.withColumns(new).drop("_ca", "_cb", "_common")
 
 
-def id_triple_classes(rows: DataFrame, ids: list[str]) -> DataFrame:
-    """Classes of ordered pairs of rows (key `r`) by how many of their ids are equal, column by column.
+def shared_id_counts(rows: DataFrame, ids: list[str]) -> DataFrame:
+    """Ordered pairs of rows by how many of their ids are equal, column by column, without making a pair.
 
-    An equi-join on each id column; the pair then counts its equal columns, and class 0 is the rest of N^2.
+    A group of n rows that agree in a set of columns has n^2 pairs. The sum of these over all sets of k columns counts a pair
+    with m equal ids binomial(m, k) times; the pairs of each class follow from the widest set down. Nulls are equal to nothing.
     """
-    hits = None
-    for c in ids:
-        a, b = rows.select(F.col("r").alias("i"), F.col(c).alias("id")), rows.select(F.col("r").alias("j"), F.col(c).alias("id"))
-        one = a.join(b, "id").select("i", "j")
-        hits = one if hits is None else hits.unionAll(one)
-    near = hits.groupBy("i", "j").agg(F.count("*").cast("int").alias("case")).groupBy("case").agg(F.count("*").alias("pairs"))
-    total = rows.agg(F.count("*").alias("n"))
-    rest = near.agg(F.coalesce(F.sum("pairs"), F.lit(0)).alias("near")).crossJoin(total).select(F.lit(0).alias("case"), (F.col("n") * F.col("n") - F.col("near")).alias("pairs"))
-    return near.unionByName(rest)
+    sums, count = [], {}
+    for k in range(len(ids) + 1):
+        count[k] = F.lit(0).cast("decimal(38,0)")
+        for chosen in combinations(ids, k):
+            groups = rows.dropna(subset=list(chosen)) if chosen else rows
+            n = groups.groupBy(*chosen).agg(F.count("*").cast("decimal(18,0)").alias("n"))
+            sums.append(n.agg(F.coalesce(F.sum(F.col("n") * F.col("n")), F.lit(0)).cast("decimal(38,0)").alias(f"s{len(sums)}")))
+            count[k] += F.col(f"s{len(sums) - 1}")
+    one = sums[0]
+    for s in sums[1:]:
+        one = one.crossJoin(F.broadcast(s))
+    exact = {}
+    for k in range(len(ids), -1, -1):
+        exact[k] = count[k] - sum((exact[m] * F.lit(comb(m, k)) for m in range(k + 1, len(ids) + 1)), F.lit(0))
+    cases = F.array(*[F.struct(F.lit(k).alias("case"), e.cast("long").alias("pairs")) for k, e in exact.items()])
+    return one.select(F.explode(cases).alias("c")).select("c.*").where("pairs > 0 or case = 0")

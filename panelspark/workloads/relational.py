@@ -89,16 +89,19 @@ for _k, _s in _SETS.items():
     q(_sql, f"agg_{_k}", lambda s, d, t=_sql: (T(s, d, "lineitem").createOrReplaceTempView("lineitem"), s.sql(t))[1])
 
 
-def win(s, d):
-    return T(s, d, "events").where("user_id < 40").select("event_id", "user_id", "ts", "value"), Window.partitionBy("user_id").orderBy("ts", "event_id")
+def win(s, d, users="true"):
+    return T(s, d, "events").where(users).select("event_id", "user_id", "ts", "value"), Window.partitionBy("user_id").orderBy("ts", "event_id")
 
 
 def _window(name, sql, make):
-    def run(s, d):
-        rows, w = win(s, d)
-        return rows.select("event_id", *make(w))
+    """`name` has the users that its SQL has, `name`_all every user."""
+    for key, users in ((name, "user_id < 40"), (f"{name}_all", "true")):
+
+        def run(s, d, users=users):
+            rows, w = win(s, d, users)
+            return rows.select("event_id", *make(w))
 
-    q(f"SELECT event_id, {sql} FROM events WHERE user_id < 40 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", name, run)
+        q(f"SELECT event_id, {sql} FROM events WHERE {users} WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", key, run)
 
 
 _window("win_rank", "row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr", lambda w: [F.row_number().over(w).cast("long").alias("rn"), F.rank().over(w).cast("long").alias("rk"), F.dense_rank().over(w).cast("long").alias("dr")])

@@ -57,3 +57,22 @@ def test_config_refuses_wide_admissibility():
         EngineConfig(eta=2.0)
     with pytest.raises(ValueError):
         EngineConfig(norm="l1")
+
+
+@pytest.mark.parametrize("name", ["win_rank_all", "win_lag_gap_all", "win_moving_avg_all", "win_ntile_all", "win_cume_all", "win_first_last_all"])
+def test_windows_see_every_user(spark, data, duck, name):
+    got = catalog.queries()[name](spark, data)
+    assert got.count() == spark.read.parquet(f"{data}/events.parquet").count()
+    assert same_rows(got, duck.execute(catalog.oracle_sql()[name]).df())
+
+
+def test_shared_ids_of_all_rows(spark, tmp_path):
+    rows = [(k * 7 % 400, k % 5, k % 3, 1, 1.0, float(k)) for k in range(90)] + [(900, None, 1, 1, 1.0, 1.0), (900, None, 2, 1, 1.0, 1.0)]
+    spark.createDataFrame(rows, "l_orderkey long, l_partkey long, l_suppkey long, l_linenumber int, l_quantity double, l_extendedprice double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    want = {}
+    for a in rows:
+        for b in rows:
+            k = sum(x is not None and x == y for x, y in zip(a[:3], b[:3], strict=True))
+            want[k] = want.get(k, 0) + 1
+    got = {r["common"]: r["pairs"] for r in catalog.queries()["lineitem_shared_ids_all"](spark, str(tmp_path)).collect()}
+    assert got == want
