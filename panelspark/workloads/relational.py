@@ -66,9 +66,9 @@ def asof(s, d):
 q("SELECT event_id, coalesce(lv, -1) AS last_view FROM (SELECT *, last_value(CASE WHEN event_type = 'view' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS lv FROM events) WHERE event_type = 'purchase'", "join_asof_density", asof)
 
 
-def overlap(s, d):
+def overlap(s, d, length="least(n_chars, 5000)"):
     """Package lifetimes [start, start + length) of one producer that overlap: join on time buckets, counted once."""
-    p = T(s, d, "documents").select("doc_id", "source", (F.col("doc_id") * 100).alias("a"), (F.col("doc_id") * 100 + F.least("n_chars", F.lit(5000))).alias("b"))
+    p = T(s, d, "documents").select("doc_id", "source", (F.col("doc_id") * 100).alias("a"), (F.col("doc_id") * 100 + F.expr(length)).alias("b"))
     k = p.withColumn("bucket", F.explode(F.sequence(F.floor(F.col("a") / 2500), F.floor(F.col("b") / 2500))))
     o = k.select(F.col("doc_id").alias("other"), "source", F.col("a").alias("a2"), F.col("b").alias("b2"), "bucket")
     once = F.floor(F.greatest("a", "a2") / 2500) == F.col("bucket")
@@ -76,6 +76,7 @@ def overlap(s, d):
 
 
 q("WITH p AS (SELECT doc_id, source, doc_id * 100 AS a, doc_id * 100 + least(n_chars, 5000) AS b FROM documents) SELECT x.doc_id, y.doc_id AS other FROM p x JOIN p y ON x.source = y.source AND x.doc_id < y.doc_id AND x.a < y.b AND y.a < x.b", "join_interval_overlap", overlap)
+q("WITH p AS (SELECT doc_id, source, doc_id * 100 AS a, doc_id * 100 + n_chars AS b FROM documents) SELECT x.doc_id, y.doc_id AS other FROM p x JOIN p y ON x.source = y.source AND x.doc_id < y.doc_id AND x.a < y.b AND y.a < x.b", "join_interval_overlap_all", lambda s, d: overlap(s, d, "n_chars"))
 
 q("SELECT l_returnflag, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY 1", "agg_distinct", lambda s, d: T(s, d, "lineitem").groupBy("l_returnflag").agg(F.countDistinct("l_suppkey").alias("suppliers")))
 q("SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, count(*) FILTER (WHERE value > 100) AS large FROM events GROUP BY 1", "agg_filtered", lambda s, d: T(s, d, "events").groupBy("user_id").agg(F.count_if(F.col("event_type") == "click").alias("clicks"), F.count_if(F.col("value") > 100).alias("large")))

@@ -76,3 +76,17 @@ def test_shared_ids_of_all_rows(spark, tmp_path):
             want[k] = want.get(k, 0) + 1
     got = {r["common"]: r["pairs"] for r in catalog.queries()["lineitem_shared_ids_all"](spark, str(tmp_path)).collect()}
     assert got == want
+
+
+def test_overlaps_of_whole_lifetimes(spark, tmp_path):
+    import duckdb
+
+    rows = [(0, "a", 128_657), (3, "a", 10), (60, "a", 100), (700, "a", 5_001), (760, "a", 0), (1286, "a", 9), (1287, "a", 9), (61, "b", 6_000), (121, "b", 1)]
+    spark.createDataFrame(rows, "doc_id long, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    want = sorted((i, j) for i, s, n in rows for j, t, m in rows if s == t and i < j and i * 100 < j * 100 + m and j * 100 < i * 100 + n)
+    got = catalog.queries()["join_interval_overlap_all"](spark, str(tmp_path))
+    assert (0, 1286) in want and (0, 1287) not in want
+    assert sorted(map(tuple, got.collect())) == want
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    assert same_rows(got, con.execute(catalog.oracle_sql()["join_interval_overlap_all"]).df())
