@@ -109,6 +109,15 @@ def carried_panels(spark: SparkSession, table: DataFrame, key: str, value: str,
     return panels.join(numbered(table.select(key, value), [key, value]).select(F.col("_row").alias("pid"), F.col(value).cast("double").alias("density")), "pid")
 
 
+def folded_panels(spark: SparkSession, table: DataFrame, key: str, value: str, n: int) -> DataFrame:
+    """The panels of refinement n, with every row of the table on one: row k by key adds its value to panel k mod 8 n^2.
+
+    A panel without a row has the density 0.
+    """
+    rows = numbered(table.select(key, value), [key, value]).groupBy(F.pmod("_row", F.lit(8 * n * n)).alias("pid")).agg(F.sum(F.col(value).cast("double")).alias("density"))
+    return with_metrics(sphere_panels(spark, n)).join(rows, "pid", "left").withColumn("density", F.coalesce("density", F.lit(0.0)))
+
+
 def numbered(rows: DataFrame, order: list[str], parts: int = 16) -> DataFrame:
     """Adds `_row` (from 0) in the given order, by counting ranges first: two shuffles of the keys, no global sort task."""
     spread = rows.repartitionByRange(parts, *order).withColumn("_part", F.spark_partition_id())

@@ -262,14 +262,20 @@ def _density(table_name, key, value):
     return f"d AS (SELECT row_number() OVER (ORDER BY {key}, {value}) - 1 AS pid, CAST({value} AS DOUBLE) AS density FROM {table_name})"
 
 
+def folded_density(table_name, key, value, n=N):
+    return f"d AS (SELECT k % {8 * n * n} AS pid, sum(density) AS density FROM (SELECT row_number() OVER (ORDER BY {key}, {value}) - 1 AS k, CAST({value} AS DOUBLE) AS density FROM {table_name}) GROUP BY 1)"
+
+
 def _potential(name, table_name, key, value):
-    sql = matrix_sql(slp(), tail=f", {_density(table_name, key, value)} SELECT i, {O.scaled('sum(re * density)', 5, 'potential')} FROM e JOIN d ON d.pid = j GROUP BY i")
+    """`name` has one row on each panel, as its SQL, `name`_all every row of the table."""
+    for query, density, carried, digits in ((name, _density, geometry.carried_panels, 5), (f"{name}_all", folded_density, geometry.folded_panels, 4)):
+        sql = matrix_sql(slp(), tail=f", {density(table_name, key, value)} SELECT i, {O.scaled('sum(re * density)', digits, 'potential')} FROM e JOIN d ON d.pid = j GROUP BY i")
 
-    def run(spark, sf_dir):
-        panels = geometry.carried_panels(spark, table(spark, sf_dir, table_name), key, value, N)
-        return assembly.row_sums(assembly.one_pass(panels, slp()), panels).select("i", scaled(F.col("re"), 5, "potential"))
+        def run(spark, sf_dir, carried=carried, digits=digits):
+            panels = carried(spark, table(spark, sf_dir, table_name), key, value, N)
+            return assembly.row_sums(assembly.one_pass(panels, slp()), panels).select("i", scaled(F.col("re"), digits, "potential"))
 
-    R.add(sql, name)(run)
+        R.add(sql, query)(run)
 
 
 _potential("potential_of_price", "part", "p_partkey", "p_retailprice")

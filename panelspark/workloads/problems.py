@@ -8,7 +8,7 @@ from .. import oracles as O
 from ..operators import assembly, fields, geometry, measures, solve
 from ..operators.kernels import dlp, slp
 from ..plans.scratch import settled
-from .mesh import matrix_sql, part_mesh, small_mesh
+from .mesh import folded_density, matrix_sql, part_mesh, small_mesh
 from .registry import Registry, scaled, table
 
 R = Registry()
@@ -118,7 +118,20 @@ d AS (SELECT row_number() OVER (ORDER BY p_partkey, p_retailprice) - 1 AS pid, p
 y AS (SELECT ax + s * (kx - ax) + t * (cx - kx) AS yx, ay + s * (ky - ay) + t * (cy - ky) AS yy, az + s * (kz - az) + t * (cz - kz) AS yz, w * gram * density AS w FROM p JOIN d USING (pid), tr)
 SELECT tid, {O.scaled(f'sum(w / ({O.FOUR_PI} * sqrt(pow(x - yx, 2) + pow(y - yy, 2) + pow(z - yz, 2))))', 4, 'potential')} FROM tg, y GROUP BY tid""")
 def representation_eval(spark, sf_dir):
-    panels = geometry.carried_panels(spark, table(spark, sf_dir, "part"), "p_partkey", "p_retailprice", 4)
+    """One part on each panel, as its SQL; representation_eval_all has every part."""
+    return _representation(spark, sf_dir, geometry.carried_panels)
+
+
+@R.add(f"""WITH {O.panels(4)}, {TARGETS}, {O.line(3, 'gl')}, tr AS (SELECT a.x AS s, a.x * b.x AS t, a.w * b.w * a.x AS w FROM gl a, gl b),
+{folded_density("part", "p_partkey", "p_retailprice")},
+y AS (SELECT ax + s * (kx - ax) + t * (cx - kx) AS yx, ay + s * (ky - ay) + t * (cy - ky) AS yy, az + s * (kz - az) + t * (cz - kz) AS yz, w * gram * density AS w FROM p JOIN d USING (pid), tr)
+SELECT tid, {O.scaled(f'sum(w / ({O.FOUR_PI} * sqrt(pow(x - yx, 2) + pow(y - yy, 2) + pow(z - yz, 2))))', 4, 'potential')} FROM tg, y GROUP BY tid""")
+def representation_eval_all(spark, sf_dir):
+    return _representation(spark, sf_dir, geometry.folded_panels)
+
+
+def _representation(spark, sf_dir, carried):
+    panels = carried(spark, table(spark, sf_dir, "part"), "p_partkey", "p_retailprice", 4)
     t = fields.targets_from(table(spark, sf_dir, "supplier"), "s_suppkey", "s_acctbal")
     density = panels.select(F.col("pid").alias("i"), F.col("density").alias("re"), F.lit(0.0).alias("im"))
     return fields.evaluate(t, panels.drop("density"), density, slp()).select("tid", scaled(F.col("re"), 4, "potential"))

@@ -90,3 +90,15 @@ def test_overlaps_of_whole_lifetimes(spark, tmp_path):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
     assert same_rows(got, con.execute(catalog.oracle_sql()["join_interval_overlap_all"]).df())
+
+
+@pytest.mark.parametrize("name", ["potential_of_price_all", "potential_of_balance_all", "representation_eval_all"])
+def test_potentials_of_all_rows(spark, data, duck, name):
+    assert same_rows(catalog.queries()[name](spark, data), duck.execute(catalog.oracle_sql()[name]).df())
+
+
+def test_folded_panels_lose_no_row(spark):
+    for n in (5, 300):
+        rows = spark.range(n).select(F.col("id").alias("k"), (F.col("id") * 1.5 + 1).alias("v"))
+        got = geometry.folded_panels(spark, rows, "k", "v", 4).select("pid", "density").collect()
+        assert {r["pid"]: r["density"] for r in got} == {p: sum(k * 1.5 + 1 for k in range(p, n, 128)) for p in range(128)}
