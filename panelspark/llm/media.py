@@ -91,10 +91,12 @@ def _png(b: bytes, at: int):
 
 def _jpeg(b: bytes, at: int):
     place = at + 2
-    while place + 4 <= len(b) and b[place] == 0xFF:
+    while place + 2 <= len(b) and b[place] == 0xFF:
         kind = b[place + 1]
         if kind == 0xD9:
             return "jpeg", place + 2, {}
+        if place + 4 > len(b):
+            return None
         n = struct.unpack_from(">H", b, place + 2)[0]
         if n < 2 or place + 2 + n > len(b):
             return None

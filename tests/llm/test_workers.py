@@ -159,6 +159,13 @@ def test_media_round_trip_and_carving():
     assert media.sniff(png[:-1]) == [] and media.sniff(b"BM" + b"\0" * 60) == []
 
 
+def test_jpeg_may_end_with_the_value():
+    jpeg = b"\xff\xd8\xff\xe0\x00\x04ab\xff\xda\x00\x03\x01scan\xff\x00\xff\xd0data\xff\xd9"
+    for before, after in ((b"", b""), (b"noise", b""), (b"noise", b"tail")):
+        assert [(k, a, e) for k, a, e, _ in media.sniff(before + jpeg + after)] == [("jpeg", len(before), len(before) + len(jpeg))]
+    assert media.sniff(jpeg[:-1]) == [] and media.sniff(jpeg[:-2]) == [] and media.sniff(jpeg[:-2] + b"\xff\xe0") == []
+
+
 def test_trees_are_exact_with_factor_one():
     rng = np.random.default_rng(2)
     x = np.round(rng.normal(size=(700, 6)), 1)
