@@ -293,8 +293,19 @@ def potential_of_events(spark, sf_dir):
 u AS (SELECT i, x / sqrt(x*x+y*y+z*z) AS x, y / sqrt(x*x+y*y+z*z) AS y, z / sqrt(x*x+y*y+z*z) AS z, c FROM q WHERE x*x+y*y+z*z > 0)
 SELECT a.i, {O.scaled(f'sum(b.c / ({O.FOUR_PI} * sqrt((a.x-b.x)*(a.x-b.x) + (a.y-b.y)*(a.y-b.y) + (a.z-b.z)*(a.z-b.z))))', 6, 'potential')} FROM u a JOIN u b ON a.i <> b.i GROUP BY a.i""")
 def point_potential(spark, sf_dir):
-    """Direct sum over point charges: a small point set by design (the dense form that compression replaces)."""
-    e = table(spark, sf_dir, "embeddings").where("vec_id < 300")
+    """Direct sum over the point charges of its SQL (the dense form that compression replaces)."""
+    return _charges(table(spark, sf_dir, "embeddings").where("vec_id < 300"))
+
+
+@R.add(f"""WITH q AS (SELECT vec_id AS i, CAST(embedding[1] AS DOUBLE) AS x, CAST(embedding[2] AS DOUBLE) AS y, CAST(embedding[3] AS DOUBLE) AS z, 1.0 + label AS c FROM embeddings),
+u AS (SELECT i, x / sqrt(x*x+y*y+z*z) AS x, y / sqrt(x*x+y*y+z*z) AS y, z / sqrt(x*x+y*y+z*z) AS z, c FROM q WHERE x*x+y*y+z*z > 0)
+SELECT a.i, {O.scaled(f'sum(b.c / ({O.FOUR_PI} * sqrt((a.x-b.x)*(a.x-b.x) + (a.y-b.y)*(a.y-b.y) + (a.z-b.z)*(a.z-b.z))))', 6, 'potential')} FROM u a JOIN u b ON a.i <> b.i GROUP BY a.i""")
+def point_potential_all(spark, sf_dir):
+    """All points; the square of their number by nature."""
+    return _charges(table(spark, sf_dir, "embeddings"))
+
+
+def _charges(e):
     pts = geometry.unit_points(e, "vec_id", "embedding").join(e.select(F.col("vec_id").alias("i"), (F.lit(1.0) + F.col("label")).alias("c")), "i")
     b = pts.select(F.col("i").alias("j"), *[F.col(a).alias(f"{a}2") for a in "xyz"], "c")
     d = [F.col(a) - F.col(f"{a}2") for a in "xyz"]

@@ -156,14 +156,16 @@ def separation_check(spark, sf_dir):
     return far.agg(F.count("*").alias("far"), F.sum((d < h - 1e-12).cast("long")).alias("too_near"))
 
 
-def sphere_points(spark, sf_dir, most=300):
-    """A small point set by design: the dense comparison needs all pairs."""
-    return geometry.unit_points(table(spark, sf_dir, "embeddings").where(F.col("vec_id") < most), "vec_id", "embedding")
+FEW = "vec_id < 300"  # the points of the dense SQL of h2_matvec and green_factor
 
 
-def compressed(spark, sf_dir, eps=1e-5):
+def sphere_points(spark, sf_dir, which="true"):
+    return geometry.unit_points(table(spark, sf_dir, "embeddings").where(which), "vec_id", "embedding")
+
+
+def compressed(spark, sf_dir, eps=1e-5, which="true"):
     cfg = EngineConfig(leaf_size=LEAF, aca_eps=eps)
-    pts = settled(sphere_points(spark, sf_dir))
+    pts = settled(sphere_points(spark, sf_dir, which))
     member = settled(clustering.geometric_tree(pts, LEAF))
     c = settled(clustering.boxes(member, clustering.point_extents(pts)))
     blk = settled(blocks.block_tree(c))
@@ -175,8 +177,18 @@ UNIT = "q AS (SELECT vec_id AS i, CAST(embedding[1] AS DOUBLE) AS x, CAST(embedd
 
 @R.add(f"WITH {UNIT} SELECT a.i, CAST(round(sum(1.0 / ({O.FOUR_PI} * sqrt(pow(a.x-b.x,2) + pow(a.y-b.y,2) + pow(a.z-b.z,2)))) * 10) AS BIGINT) AS y10 FROM u a JOIN u b ON a.i <> b.i GROUP BY a.i")
 def h2_matvec(spark, sf_dir):
-    """The compressed product with ones agrees with the dense sum to the printed digit."""
-    pts, member, c, blk, cfg = compressed(spark, sf_dir, 1e-8)
+    """The compressed product with ones agrees with the dense sum to the printed digit. The points of its SQL."""
+    return _product(spark, sf_dir, FEW)
+
+
+@R.add()
+def h2_matvec_all(spark, sf_dir):
+    """All points. Without SQL: the tests compare with the dense sum on a fixture."""
+    return _product(spark, sf_dir, "true")
+
+
+def _product(spark, sf_dir, which):
+    pts, member, c, blk, cfg = compressed(spark, sf_dir, 1e-8, which)
     h = h2.build(member, c, blk, h2.point_rows(pts), slp(), cfg)
     y = h2.matvec(h, pts.select("i", F.lit(1.0).alias("value")))
     return y.select("i", F.round(F.col("value") * 10).cast("long").alias("y10"))
@@ -218,8 +230,17 @@ def aca_blocks(spark, sf_dir):
 
 @R.add(f"WITH {UNIT}, c AS (SELECT min(x) lx, max(x) hx, min(y) ly, max(y) hy, min(z) lz, max(z) hz FROM u WHERE z > 0.8), d AS (SELECT *, greatest(hx-lx, hy-ly, hz-lz) AS delta FROM c), {O.line(4, 'gl')}, f AS (SELECT axis, sign, p.x AS a, q.x AS b, p.w * q.w AS uw FROM gl p, gl q, (VALUES (0), (1), (2)) AS ax(axis), (VALUES (0), (1)) AS sg(sign)), nd AS (SELECT lx - delta/2 + (CASE axis WHEN 0 THEN sign WHEN 1 THEN b ELSE a END) * (hx - lx + delta) AS zx, ly - delta/2 + (CASE axis WHEN 1 THEN sign WHEN 2 THEN b ELSE a END) * (hy - ly + delta) AS zy, lz - delta/2 + (CASE axis WHEN 2 THEN sign WHEN 0 THEN b ELSE a END) * (hz - lz + delta) AS zz, CASE axis WHEN 0 THEN 2*sign-1 ELSE 0 END AS mx, CASE axis WHEN 1 THEN 2*sign-1 ELSE 0 END AS my, CASE axis WHEN 2 THEN 2*sign-1 ELSE 0 END AS mz, uw * CASE axis WHEN 0 THEN (hy-ly+delta)*(hz-lz+delta) WHEN 1 THEN (hz-lz+delta)*(hx-lx+delta) ELSE (hx-lx+delta)*(hy-ly+delta) END AS w, delta FROM f, d), e AS (SELECT i, sqrt(w) AS rw, delta, x - zx AS dx, y - zy AS dy, z - zz AS dz, mx, my, mz FROM u, nd WHERE z > 0.8) SELECT i, {O.scaled(f'sum(rw / ({O.FOUR_PI} * sqrt(dx*dx+dy*dy+dz*dz)))', 8, 'plus')}, {O.scaled(f'sum(rw * delta * (dx*mx+dy*my+dz*mz) / ({O.FOUR_PI} * (dx*dx+dy*dy+dz*dz) * sqrt(dx*dx+dy*dy+dz*dz)))', 8, 'minus')} FROM e GROUP BY i")
 def green_factor(spark, sf_dir):
-    """Row sums of both parts of the row factor of one cap of points."""
-    pts = sphere_points(spark, sf_dir).where("z > 0.8").withColumn("node", F.lit(1).cast("long"))
+    """Row sums of both parts of the row factor of one cap of the points of its SQL."""
+    return _cap(spark, sf_dir, FEW)
+
+
+@R.add(f"WITH {UNIT.replace(' WHERE ' + FEW, '')}, c AS (SELECT min(x) lx, max(x) hx, min(y) ly, max(y) hy, min(z) lz, max(z) hz FROM u WHERE z > 0.8), d AS (SELECT *, greatest(hx-lx, hy-ly, hz-lz) AS delta FROM c), {O.line(4, 'gl')}, f AS (SELECT axis, sign, p.x AS a, q.x AS b, p.w * q.w AS uw FROM gl p, gl q, (VALUES (0), (1), (2)) AS ax(axis), (VALUES (0), (1)) AS sg(sign)), nd AS (SELECT lx - delta/2 + (CASE axis WHEN 0 THEN sign WHEN 1 THEN b ELSE a END) * (hx - lx + delta) AS zx, ly - delta/2 + (CASE axis WHEN 1 THEN sign WHEN 2 THEN b ELSE a END) * (hy - ly + delta) AS zy, lz - delta/2 + (CASE axis WHEN 2 THEN sign WHEN 0 THEN b ELSE a END) * (hz - lz + delta) AS zz, CASE axis WHEN 0 THEN 2*sign-1 ELSE 0 END AS mx, CASE axis WHEN 1 THEN 2*sign-1 ELSE 0 END AS my, CASE axis WHEN 2 THEN 2*sign-1 ELSE 0 END AS mz, uw * CASE axis WHEN 0 THEN (hy-ly+delta)*(hz-lz+delta) WHEN 1 THEN (hz-lz+delta)*(hx-lx+delta) ELSE (hx-lx+delta)*(hy-ly+delta) END AS w, delta FROM f, d), e AS (SELECT i, sqrt(w) AS rw, delta, x - zx AS dx, y - zy AS dy, z - zz AS dz, mx, my, mz FROM u, nd WHERE z > 0.8) SELECT i, {O.scaled(f'sum(rw / ({O.FOUR_PI} * sqrt(dx*dx+dy*dy+dz*dz)))', 8, 'plus')}, {O.scaled(f'sum(rw * delta * (dx*mx+dy*my+dz*mz) / ({O.FOUR_PI} * (dx*dx+dy*dy+dz*dz) * sqrt(dx*dx+dy*dy+dz*dz)))', 8, 'minus')} FROM e GROUP BY i")
+def green_factor_all(spark, sf_dir):
+    return _cap(spark, sf_dir, "true")
+
+
+def _cap(spark, sf_dir, which):
+    pts = sphere_points(spark, sf_dir, which).where("z > 0.8").withColumn("node", F.lit(1).cast("long"))
     member = pts.select("i", "node", F.lit(0).alias("level"))
     c = clustering.boxes(member, clustering.point_extents(pts))
     a = green.point_factor(pts, green.box_nodes(c, 4))
@@ -231,7 +252,7 @@ def green_lowrank_error(spark, sf_dir):
     """Relative error of the un-pivoted form between two opposite caps, by the number of Gauss points."""
     import numpy as np
 
-    pts = sphere_points(spark, sf_dir, 500).where("abs(z) > 0.8").toPandas()  # two small caps
+    pts = sphere_points(spark, sf_dir).where("abs(z) > 0.8").toPandas()  # the dense error of all points of two caps is taken on the driver
     a, b = pts[pts.z > 0][["x", "y", "z"]].to_numpy(), pts[pts.z < 0][["x", "y", "z"]].to_numpy()
     exact = slp().values(a[:, None] - b[None])
     rows = []

@@ -102,3 +102,29 @@ def test_folded_panels_lose_no_row(spark):
         rows = spark.range(n).select(F.col("id").alias("k"), (F.col("id") * 1.5 + 1).alias("v"))
         got = geometry.folded_panels(spark, rows, "k", "v", 4).select("pid", "density").collect()
         assert {r["pid"]: r["density"] for r in got} == {p: sum(k * 1.5 + 1 for k in range(p, n, 128)) for p in range(128)}
+
+
+@pytest.fixture(scope="module")
+def spread(spark, tmp_path_factory):
+    """More points than the dense SQL of the compression queries has."""
+    import numpy as np
+
+    d = str(tmp_path_factory.mktemp("spread"))
+    x = np.random.default_rng(7).normal(size=(420, 3))
+    spark.createDataFrame([(k, k % 3, [float(a) for a in v]) for k, v in enumerate(x)], "vec_id long, label int, embedding array<double>").write.parquet(f"{d}/embeddings.parquet")
+    return d, x / np.linalg.norm(x, axis=1)[:, None]
+
+
+def test_compression_takes_all_points(spark, spread):
+    import numpy as np
+
+    d, u = spread
+    r = np.linalg.norm(u[:, None] - u[None], axis=2)
+    np.fill_diagonal(r, np.inf)
+    g = 1 / (4 * np.pi * r)
+    got = {x["i"]: x["y10"] for x in catalog.queries()["h2_matvec_all"](spark, d).collect()}
+    assert len(got) == 420 and all(abs(got[k] - 10 * y) <= 0.5 + 1e-3 for k, y in enumerate(g.sum(1)))
+    direct = {x["i"]: x["potential"] for x in catalog.queries()["point_potential_all"](spark, d).collect()}
+    assert len(direct) == 420 and all(abs(direct[k] - 1e6 * y) <= 1 for k, y in enumerate(g @ (1.0 + np.arange(420) % 3)))
+    assert catalog.queries()["green_factor_all"](spark, d).count() == (u[:, 2] > 0.8).sum()
+    assert catalog.queries()["monopole_far"](spark, d).first()["points"] == 420
