@@ -32,6 +32,31 @@ def shipped(module: str, function: str, *args):
     return run
 
 
+def grouped(module: str, function: str, *args):
+    """The same for functions of one Arrow table, or of two for cogroups; the number of parameters tells Spark no keys are wanted."""
+    root = ROOT
+
+    def called(*tables):
+        import importlib
+        import sys
+
+        if root not in sys.path:
+            sys.path.insert(0, root)
+        made = getattr(importlib.import_module(module), function)
+        return made(*tables, *args)
+
+    def one(table):
+        return called(table)
+
+    def two(left, right):
+        return called(left, right)
+
+    import inspect
+
+    wanted = len(inspect.signature(getattr(importlib.import_module(module), function)).parameters) - len(args)
+    return two if wanted == 2 else one
+
+
 def table(spark, sf_dir: str, name: str):
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -40,6 +65,8 @@ def scratch(spark) -> str:
     """A fresh folder that all executors share: below spark.checkpoint.dir, or a temporary one where that is unset."""
     base = spark.conf.get("spark.checkpoint.dir", None) or os.environ.get("PANELSPARK_SCRATCH")
     if not base:
+        if not spark.conf.get("spark.master", "local").split("[")[0] == "local":
+            raise RuntimeError("on a cluster, spark.checkpoint.dir must name a folder that all executors share")
         base = tempfile.gettempdir() + "/panelspark-scratch"
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
 
@@ -48,7 +75,17 @@ def settled(df):
     """The rows of df, written to the shared scratch folder and read again: cuts the lineage, survives lost executors."""
     path = scratch(df.sparkSession)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.settled_at = path
+    return out
+
+
+def discard(*steps):
+    """Deletes the files of settled frames that no later step reads."""
+    for step in steps:
+        jvm, path = step.sparkSession._jvm, step.settled_at
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(step.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(where, True)
 
 
 def texts(column) -> list[str]:
@@ -133,7 +170,3 @@ def word_ranges(data: np.ndarray, offsets: np.ndarray):
     after[:-1] = inside[1:]
     ends = np.flatnonzero(inside & (~after | first[1:])) + 1
     return starts, ends, np.searchsorted(offsets, starts, side="right") - 1
-
-
-def load(module: str):
-    return importlib.import_module(module)

@@ -44,6 +44,36 @@ def test_jaccard(spark, docs):
     assert kept == {i for i, c in brute.components(pairs(), 3, 90).items() if i == c}
 
 
+def test_jaccard_in_sub_blocks(spark):
+    import random
+
+    rng = random.Random(4)
+    words = [f"w{k}" for k in range(400)]
+    rows = []
+    for group in range(6):
+        base = [rng.choice(words) for _ in range(60)]
+        for _ in range(14):
+            copy = list(base)
+            for _ in range(rng.randrange(4)):
+                copy[rng.randrange(60)] = rng.choice(words)
+            rows.append((len(rows), " ".join(copy)))
+    rng.shuffle(rows)
+    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    for width, top in ((3, 90), (5, 80)):
+        want = brute.components(rows, width, top)
+        for block_rows in (3, 512):
+            got = {r["doc_id"]: r["component_id"] for r in jaccard.similar(frame, width, top, 100, block_rows=block_rows, bucket_bytes=2000).collect()}
+            assert got == want
+        assert len(set(want.values())) < len(rows)
+
+
+def test_jaccard_links_through_a_null_id(spark):
+    a = " ".join(f"w{k}" for k in range(100))
+    rows = [(1, a + " x"), (None, a), (3, "y " + a), (None, None), (None, "alone and of no name"), (9, None)]
+    got = {(r["doc_id"], r["n_shingles"]): r["component_id"] for r in jaccard.similar(spark.createDataFrame(rows, "doc_id long, text string"), 3, 98, 100).collect()}
+    assert got == {(1, 99): 1, (None, 98): 1, (3, 99): 1, (None, 0): None, (None, 3): None, (9, 0): 9}
+
+
 def test_components(spark):
     links = [(1, 2), (2, 3), (10, 11), (7, 7), (3, 9)] + [(100, 100 + k) for k in range(1, 60)] + [(200 + k, 201 + k) for k in range(30)]
     got = {r["node"]: r["root"] for r in components.components(spark.createDataFrame(links, "u long, v long")).collect()}

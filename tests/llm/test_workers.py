@@ -4,6 +4,7 @@ import random
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import pytest
 
 import brute
@@ -100,25 +101,81 @@ def test_window_keys_depend_on_content_only():
     assert (keys[0] == keys[1]).all() and (keys[0] == keys[2]).all()
 
 
-@pytest.mark.parametrize("top", [80, 90])
-def test_linked_sets_share_a_signature(top):
-    rng = np.random.default_rng(5)
-    levels = jaccard.Levels(top, 100)
-    for trial in range(600):
+def near_sets(rng, top, trials):
+    """Random sets, each with one that may or may not link with it."""
+    out = []
+    for trial in range(trials):
         n = int(rng.integers(3, 60)) if trial % 2 else int(rng.integers(60, 500))
         a = np.unique(rng.integers(0, 2**64, n, dtype=np.uint64))
-        d = n * (100 - top) // (100 + top)
-        b = np.unique(np.concatenate([a[d:], rng.integers(0, 2**64, int(rng.integers(0, d + 1)), dtype=np.uint64)]))
-        i = len(np.intersect1d(a, b))
-        if i < len(a) and 100 * i >= top * (len(a) + len(b) - i):
-            assert len(np.intersect1d(jaccard.signatures(a, levels), jaccard.signatures(b, levels)))
-
-
-def test_signature_blobs_round_trip():
-    k = np.sort(np.random.default_rng(0).integers(0, 1 << 40, 1000).astype(np.uint64))
-    c, names = np.arange(1000) % 7, np.arange(7) * 10 - 30
-    a, b = jaccard._unpack_signatures(jaccard._pack_signatures(k, c, names))
-    assert (a == k).all() and (b == names[c]).all()
+        d = n * (100 - top) // (100 + top) + int(rng.integers(0, 2))
+        out += [a, np.unique(np.concatenate([a[d:], rng.integers(0, 2**64, int(rng.integers(0, d + 1)), dtype=np.uint64)]))]
+    return out
+
+
+def linked(a, b, top):
+    i = len(np.intersect1d(a, b))
+    return 100 * i >= top * (len(a) + len(b) - i)
+
+
+@pytest.mark.parametrize("top", [80, 90])
+def test_linked_sets_share_a_prefix_column(top):
+    rng = np.random.default_rng(5)
+    sets = near_sets(rng, top, 300)
+    names = rng.permutation(len(sets)) + 1
+    parts = [pa.table({"class": pa.array(names[p::3]), "part": pa.array([p] * len(names[p::3]), pa.int64()), "items": pa.array([s.tobytes() for s in sets[p::3]])}) for p in range(3)]
+    counted = pa.concat_tables([jaccard.part_columns(t, 7) for t in parts])
+    group = lambda t, key: [t.filter(pa.compute.equal(t.column(key), k)) for k in sorted(set(t.column(key).to_pylist()))]
+    totals = pa.concat_tables([jaccard.column_totals(t) for t in group(counted, "bucket")])
+    found = pa.concat_tables([jaccard.prefixes(t, totals.filter(pa.compute.equal(totals.column("part"), p)), top, 100, 7) for p, t in enumerate(parts)])
+    links = [(u, v) for u, v in zip(found.column("u").to_pylist(), found.column("v").to_pylist(), strict=True) if u is not None]
+    for t in group(found.filter(pa.compute.is_valid(found.column("blob"))), "bucket"):
+        made = jaccard.chained(t, top, 100)
+        links += zip(made.column("u").to_pylist(), made.column("v").to_pylist(), strict=True)
+    forest = Forest()
+    for u, v in links:
+        forest.join(u, v)
+    kept, expected = set(found.column("class").to_pylist()), 0
+    for k in range(0, len(sets), 2):
+        if linked(sets[k], sets[k + 1], top) and len(sets[k]):
+            expected += 1
+            assert forest.find(int(names[k])) == forest.find(int(names[k + 1])) and {int(names[k]), int(names[k + 1])} <= kept
+    assert 100 < expected < 300
+
+
+def test_columns_of_one_class_are_counted_from_below():
+    texts = ["a b c d e f g", "a b c d x y z", "a b c d e f g", None, "", "q r"]
+    batch = pa.RecordBatch.from_arrays([pa.array(texts)], ["text"])
+    sets = {jaccard.digest(s): s for _, s in jaccard.doc_sets(pa.array(texts), 3) if len(s)}
+    for share in (256, 100):
+        rows = [b for part in ([batch], [batch.slice(2)]) for b in jaccard.columns_of(part, 3, share, 2)]
+        table = pa.Table.from_batches(rows)
+        back = [jaccard.own_columns(table.filter(pa.compute.equal(table.column("bucket"), b)), 3) for b in sorted(set(table.column("bucket").to_pylist()))]
+        both = pa.concat_tables(back)
+        got = {}
+        for p in sorted(set(both.column("part").to_pylist())):
+            got |= dict(zip(*jaccard.own_totals(both.filter(pa.compute.equal(both.column("part"), p))).to_pydict().values(), strict=True))
+        for c, s in sets.items():
+            others = [x for d, x in sets.items() if d != c]
+            mine = [x for x in s if not any(x in o for o in others) and int(x) & 255 < share]
+            assert got.get(c, 0) == len(mine)
+
+
+def test_products_count_overlaps():
+    rng = np.random.default_rng(7)
+    for trial in range(12):
+        base = rng.integers(0, 2**64, 300, dtype=np.uint64)
+        sets = [np.unique(rng.choice(base, int(rng.integers(0, 90)))) for _ in range(int(rng.integers(1, 90)))]
+        got = jaccard.overlaps(sets, (4, 16, 1000, 1)[trial % 4], 50)
+        want = [[len(np.intersect1d(a, b)) for b in sets] for a in sets]
+        off = ~np.eye(len(sets), dtype=bool)
+        assert (got[off] == np.array(want)[off]).all()
+
+
+def test_packed_arrays_round_trip():
+    rng = np.random.default_rng(0)
+    k, c = np.sort(rng.integers(0, 2**64, 1000, dtype=np.uint64)), rng.integers(-(2**63), 2**63, 1000)
+    a, b = jaccard.unpack(jaccard.pack(k, c))
+    assert (a == k).all() and (b == c).all() and len(jaccard.unpack(jaccard.pack(k[:0], c[:0]))[0]) == 0
 
 
 def test_forest():
