@@ -236,6 +236,63 @@ def test_trees_are_exact_with_factor_one():
         assert [(s, v) for s, v in zip(g.score, g.vec_id, strict=True)] == want
 
 
+def test_smaller_factors_prune_more():
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(40, 8))[rng.integers(0, 40, 3000)] + 0.02 * rng.normal(size=(3000, 8))  # tight groups
+    q = x[::60]
+    done = [neighbours.recall_and_work(x, q, 10, f) for f in (1.0, 0.5, 0.1)]
+    assert done[0][0] == 1.0 and done[1][0] >= 0.9
+    assert 0.5 > done[0][1] > done[1][1] > done[2][1]
+    noise = rng.normal(size=(2000, 64))
+    done = [neighbours.recall_and_work(noise, noise[::40], 10, f) for f in (1.0, 0.2, 0.1)]
+    assert done[0][0] == 1.0 and done[0][0] >= done[1][0] >= done[2][0] and done[2][1] < done[0][1]
+
+
+def plain_votes(rows, names, side_of, text_vector):
+    """One-versus-one machines in plain loops: votes by pairs, then sums of margins, then names."""
+    votes, sums = dict.fromkeys(names, 0), dict.fromkeys(names, 0.0)
+    for n, a in enumerate(names):
+        for b in names[n + 1 :]:
+            mine = [(side_of(lang) == a, v) for lang, v in rows if side_of(lang) in (a, b)]
+            sign = np.array([1.0 if s else -1.0 for s, _ in mine])
+            w = language.linear_svm([(np.flatnonzero(v), v[np.flatnonzero(v)]) for _, v in mine], sign)
+            m = float(w[:-1] @ text_vector + w[-1])
+            votes[a] += m > 0
+            votes[b] += m < 0
+            sums[a] += m
+            sums[b] -= m
+    return max(names, key=lambda x: (votes[x], sums[x], x))
+
+
+def plain_vector(text):
+    """Shares of byte n-grams, one at a time."""
+    data = np.frombuffer(text.lower().encode(), np.uint8)
+    v = np.zeros(1 << language.BITS)
+    for order in language.ORDERS:
+        for k in range(len(data) - order + 1):
+            v[language.codes(data[k : k + order], order)[0]] += 1
+    return v / (np.linalg.norm(v) or 1.0)
+
+
+def test_language_equals_plain_votes():
+    rng = random.Random(9)
+    vocabulary = {"en": "the of and with house".split(), "de": "der und mit haus nicht".split(), "nl": "het en met huis niet".split(), "fr": "les des que avec maison".split(), "es": "los que con casa una".split()}
+    texts = [(lang, " ".join(rng.choice(words) for _ in range(12))) for lang, words in vocabulary.items() for _ in range(8)]
+    model = language.fit([(lang, *language.gram_shares(np.frombuffer(t.encode(), np.uint8))) for lang, t in texts])
+    rows = [(lang, plain_vector(t)) for lang, t in texts]
+    asked = [" ".join(rng.choice(vocabulary[lang] + vocabulary[rng.choice(list(vocabulary))]) for _ in range(9)) for lang in list(vocabulary) * 3] + ["THE HOUSE", "zzz"]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(asked))), pa.array(asked), pa.array([True] * len(asked))], ["doc_id", "text", "has_letter"])
+    got = next(language.predicted([batch], model)).column(1).to_pylist()
+    family = language.FAMILY
+    for t, lang in zip(asked, got, strict=True):
+        v = plain_vector(t)
+        f = plain_votes(rows, sorted({family[x] for x in vocabulary}), family.get, v)
+        members = sorted(x for x in vocabulary if family[x] == f)
+        assert lang == plain_votes([r for r in rows if family[r[0]] == f], members, lambda x: x, v)
+    alone = pa.RecordBatch.from_arrays([pa.array(range(5)), pa.array(["the house of the", "der und nicht", "het huis niet", "les maison avec des", "los casa una"]), pa.array([True] * 5)], ["doc_id", "text", "has_letter"])
+    assert next(language.predicted([alone], model)).column(1).to_pylist() == ["en", "de", "nl", "fr", "es"]
+
+
 def test_svm_separates_and_ties_are_stable():
     def sample(alphabet, n):
         rng = np.random.default_rng(n)
