@@ -2,18 +2,18 @@
 
 A match of `length` bytes is a repeat where the same bytes also start in a document with a smaller doc_id.
 
-1. Every window of `length` bytes has a key: the smallest hash of the 16-byte strings inside it. Equal windows have equal
-   keys, and neighbouring windows mostly share theirs, so a document becomes short runs of windows with one key.
-   Keys that occur in one document only cannot be part of a repeat and go no further.
-2. The stretches of text under the other keys meet by key. For each batch of them, the index is built over their
-   distinct contents: the transform as runs, with text positions sampled at the ends of the runs, and the
-   smallest document of every set of suffixes that agree in `length` bytes.
-3. Each distinct stretch streams its matching statistics, from right to left, many stretches in step: one
-   last-to-first step on runs for each byte, a jump to the nearest sampled run end where the byte differs. Windows whose match
-   is long enough and that a smaller document holds are marked.
-4. The marks come back to the documents by groups, are merged, and the covered bytes are taken out.
-
-Common passages: stretches of equal content are one text of the index, however many documents hold them. Null texts are
+1. Documents are dealt into groups. Every window of `length` bytes has a key: the smallest hash of the 16-byte strings
+   inside it. Equal windows have equal keys, and neighbouring windows mostly share theirs, so a document becomes short
+   runs of windows with one key. A group sends each key once, and hears which keys another document holds too.
+2. The stretches of text under those keys meet by key; a group sends each distinct content once, with the smallest
+   document that holds it there. For each batch of contents the index is built: the transform as runs, text positions
+   sampled at the ends of the runs, and runs of rows with the smallest document of their first `length` bytes.
+3. Each content streams its matching statistics from nothing, from right to left, many in step: a last-to-first step on
+   runs where the byte agrees, else a jump to the nearest sampled run end that carries it. Windows whose match is long
+   enough and that a smaller document holds are marked.
+4. The answers go back to the groups, content by content; there the covered bytes are taken out of every holder.
+
+Common passages: whatever number of documents hold a key or a content, a group sends it once. Null texts are
 empty. Rows with the same doc_id do not remove from each other. A null doc_id counts as larger than all others.
 Texts shorter than `length` stay whole. Extra columns are ignored.
 """
@@ -28,10 +28,12 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ROOT, U, byte_view, mix, shipped, slices
+from .common import U, byte_view, grouped, mix, slices
 
 GRAM = 16
+MOST = 35  # windows of a run
 LAST = (1 << 63) - 1
+SEVERAL = -(1 << 63)  # in place of a document
 
 
 # ---- windows and their keys
@@ -77,12 +79,11 @@ def window_runs(data: np.ndarray, offsets: np.ndarray, length: int):
     fresh[1:] |= ~sound[:-1]
     starts = np.flatnonzero(fresh & sound)
     stops = np.flatnonzero(sound & np.append(fresh[1:] | ~sound[1:], True)) + 1
-    most = 35
-    pieces = (stops - starts + most - 1) // most
+    pieces = (stops - starts + MOST - 1) // MOST
     if len(pieces) and pieces.max() > 1:
         at = np.repeat(np.arange(len(starts)), pieces)
         k = np.arange(len(at)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
-        starts, stops = starts[at] + k * most, np.minimum(starts[at] + (k + 1) * most, stops[at])
+        starts, stops = starts[at] + k * MOST, np.minimum(starts[at] + (k + 1) * MOST, stops[at])
     # smallest hashes crowd near zero: they are mixed, and 48 bits of that are the key
     return mix(m[starts].view(np.uint64)) >> U(16), starts, stops - starts, np.searchsorted(offsets, starts, side="right") - 1
 
@@ -121,135 +122,135 @@ def _unpack(blob: bytes, *kinds) -> list[np.ndarray]:
     return out
 
 
-def _numbered(doc: np.ndarray, tid: np.ndarray, *more: np.ndarray):
-    """A table of the distinct (doc, tid, ..), and the place of each row in it."""
-    order = np.lexsort((*more, tid, doc))
-    d, t = doc[order], tid[order]
-    new = np.ones(len(d), bool)
-    new[1:] = (d[1:] != d[:-1]) | (t[1:] != t[:-1])
-    place = np.empty(len(d), np.int64)
-    place[order] = np.cumsum(new) - 1
-    return [d[new], t[new], *(m[order][new] for m in more)], place
-
-
-def _dealt(bucket: np.ndarray, *arrays):
-    """Arrays in order of bucket, and the places where the bucket changes."""
-    order = np.argsort(bucket, kind="stable")
-    bucket = bucket[order]
-    cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(bucket)]])
-    return bucket[cuts[:-1]] if len(bucket) else bucket, cuts, [a[order] for a in arrays]
-
-
-def key_blobs(batches, length: int, buckets: int, groups: int):
-    """Rows (bucket, blob): the distinct (key, row) of some megabytes of documents."""
-    held = 0
-    keys, docs, ids, tids, grp = [], [], [], [], []
-
-    def flush():
-        k, d = np.concatenate(keys), np.concatenate(docs)
-        found, cuts, (k, d) = _dealt(_bucket(k, buckets), k, d)
-        blobs = []
-        all_ids, all_tids, all_groups = (np.concatenate(x) for x in (ids, tids, grp))
-        for i in range(len(found)):
-            kk, dd = k[cuts[i] : cuts[i + 1]], d[cuts[i] : cuts[i + 1]]
-            order = np.argsort(kk)
-            used, dd = np.unique(dd[order], return_inverse=True)
-            blobs.append(_pack(np.diff(kk[order], prepend=U(0)), dd, all_ids[used], all_tids[used], all_groups[used]))
-        return pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), pa.array(blobs, pa.binary())], ["bucket", "blob"])
-
-    count = 0
-    for batch in batches:
-        data, off = byte_view(batch.column(3))
-        bid = np.asarray(batch.column(0))
-        ids.append(bid)
-        tids.append(np.asarray(batch.column(1)))
-        grp.append(np.asarray(batch.column(2)).astype(np.int32))
-        for i, j in slices(off, 1 << 17):
-            k, _, _, row = window_runs(data[off[i] : off[j]], off[i : j + 1] - off[i], length)
-            if len(k):
-                order = np.lexsort((k, row))
-                k, row = k[order], row[order]
-                new = np.ones(len(k), bool)
-                new[1:] = (k[1:] != k[:-1]) | (row[1:] != row[:-1])
-                keys.append(k[new])
-                docs.append((row[new] + i + count).astype(np.uint32))
-                held += int(new.sum())
-        count += batch.num_rows
-        if held > 1 << 21:
-            yield flush()
-            keys, docs, ids, tids, grp, held, count = [], [], [], [], [], 0, 0
-    if held:
-        yield flush()
+def _cuts(x: np.ndarray) -> np.ndarray:
+    """The starts of the runs of equal values, and the length."""
+    return np.concatenate([[0], np.flatnonzero(x[1:] != x[:-1]) + 1, [len(x)]]) if len(x) else np.zeros(1, np.int64)
+
+
+# ---- what a group of documents sends
+
+
+class Group:
+    """The documents of one group in order, their bytes, and the runs of windows: key, start, number of windows, row."""
+
+    def __init__(self, docs: pa.Table, length: int):
+        order = np.lexsort((np.asarray(docs.column("tid")), np.asarray(docs.column("doc"))))
+        self.docs = docs.take(pa.array(order))
+        self.doc = np.asarray(self.docs.column("doc"))
+        self.data, self.off = byte_view(self.docs.column("text"))
+        self.length = length
+        runs = []
+        for i, j in slices(self.off, 1 << 17):
+            k, start, n, row = window_runs(self.data[self.off[i] : self.off[j]], self.off[i : j + 1] - self.off[i], length)
+            runs.append((k, start + self.off[i], n, row + i))
+        self.key, self.start, self.n, self.row = (np.concatenate(x) if runs else np.zeros(0, np.int64) for x in (zip(*runs, strict=True) if runs else [()] * 4))
+        self.key = self.key.astype(np.uint64)
+
+    def keys(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct keys, ascending, with the smallest and the largest document of each."""
+        order = np.argsort(self.key, kind="stable")
+        k, d = self.key[order], self.doc[self.row[order]]
+        at = _cuts(k)[:-1]
+        return (k[at], np.minimum.reduceat(d, at), np.maximum.reduceat(d, at)) if len(k) else (k, d, d)
+
+    def keep(self, bits: list[tuple[int, bytes]], buckets: int) -> None:
+        """Leaves the runs under keys that several documents hold; bits: by bucket, a bit for each distinct key."""
+        distinct, place = np.unique(self.key, return_inverse=True)
+        shared = np.zeros(len(distinct), bool)
+        b = _bucket(distinct, buckets)
+        for bucket, blob in bits:
+            lo, hi = np.searchsorted(b, [bucket, bucket + 1])
+            shared[lo:hi] = np.unpackbits(np.frombuffer(blob, np.uint8), count=hi - lo)
+        hit = shared[place]
+        self.key, self.start, self.n, self.row = self.key[hit], self.start[hit], self.n[hit], self.row[hit]
+
+    def contents(self) -> None:
+        """Numbers the distinct contents of the runs in order of key and hash: `content` of each run, `first` run of each."""
+        size = self.n + self.length - 1
+        width = -(-(MOST + self.length - 1) // 8) * 8
+        h = np.zeros(len(size), np.uint64)
+        padded = np.concatenate([self.data, np.zeros(width, np.uint8)])
+        for lo in range(0, len(size), 1 << 14):
+            z = size[lo : lo + (1 << 14)]
+            cell = padded[self.start[lo : lo + (1 << 14), None] + np.arange(width)]
+            cell[np.arange(width) >= z[:, None]] = 0
+            x = z.astype(np.uint64)
+            for word in cell.view(np.uint64).T:
+                x = mix(x ^ word) * U(0x9E3779B97F4A7C15) + word
+            h[lo : lo + (1 << 14)] = x
+        order = np.lexsort((h, self.key))
+        new = np.ones(len(order), bool)
+        new[1:] = (h[order][1:] != h[order][:-1]) | (self.key[order][1:] != self.key[order][:-1])
+        self.content = np.empty(len(order), np.int64)
+        self.content[order] = np.cumsum(new) - 1
+        self.first = order[new]
+        at = np.flatnonzero(new)
+        self.holder = np.minimum.reduceat(self.doc[self.row[order]], at) if len(at) else self.doc[:0]
+
+
+def group_keys(docs: pa.Table, length: int, buckets: int) -> pa.Table:
+    """Rows (bucket, grp, blob): the distinct keys of one group, and of each the only document, or that there are several."""
+    k, low, high = Group(docs, length).keys()
+    low = np.where(low == high, low, SEVERAL)
+    b = _bucket(k, buckets)
+    cuts, blobs = _cuts(b), []
+    for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+        used, place = np.unique(low[x:y], return_inverse=True)
+        blobs.append(_pack(np.diff(k[x:y], prepend=U(0)), place, used))
+    return pa.table({"bucket": pa.array(b[cuts[:-1]], pa.int64()), "grp": pa.array(np.full(len(blobs), docs.column("grp")[0].as_py()), pa.int32()), "blob": pa.array(blobs, pa.binary())})
 
 
 def shared_keys(table: pa.Table) -> pa.Table:
-    """Rows (grp, blob): the keys of one bucket that at least two documents hold, with the documents, by group."""
-    parts = [_unpack(b, np.uint64, np.int64, np.int64, np.int64, np.int32) for b in table.column("blob").to_pylist()]
+    """Rows (grp, bucket, kind, blob): for each group, one bit a key: whether at least two documents hold it."""
+    parts = [_unpack(b, np.uint64, np.int64, np.int64) for b in table.column("blob").to_pylist()]
     k = np.concatenate([np.cumsum(p[0], dtype=np.uint64) for p in parts])
-    doc, tid, grp = (np.concatenate([p[x][p[1]] for p in parts]) for x in (2, 3, 4))
+    doc = np.concatenate([p[2][p[1]] for p in parts])
     order = np.argsort(k, kind="stable")
-    k, doc, tid, grp = k[order], doc[order], tid[order], grp[order]
-    cuts = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]])) if len(k) else np.zeros(0, np.int64)
-    if not len(k):
-        return pa.table({"grp": pa.array([], pa.int32()), "blob": pa.array([], pa.binary())})
-    several = np.minimum.reduceat(doc, cuts) != np.maximum.reduceat(doc, cuts)
-    keep = np.repeat(several, np.diff(np.append(cuts, len(k))))
-    found, cuts, (k, doc, tid) = _dealt(grp[keep], k[keep], doc[keep], tid[keep])
-    blobs = []
-    for i in range(len(found)):
-        part = slice(cuts[i], cuts[i + 1])
-        (d, t), place = _numbered(doc[part], tid[part])
-        order = np.argsort(place, kind="stable")
-        # 32 bits tell the keys of one document apart; a rare mistake only sends a stretch in vain
-        blobs.append(_pack(k[part][order] & U(0xFFFFFFFF), np.bincount(place, minlength=len(d)), d, t))
-    return pa.table({"grp": pa.array(found, pa.int32()), "blob": pa.array(blobs, pa.binary())})
-
-
-# ---- stretches of text under shared keys
-
-
-def stretches(docs: pa.Table, flags: pa.Table, length: int, buckets: int) -> pa.Table:
-    """Rows (bucket, blob): the stretches of the documents of one group that lie under shared keys."""
-    kept: dict[tuple[int, int], list] = {}
-    for blob in flags.column("blob").to_pylist():
-        k, n, d, t = _unpack(blob, np.uint64, np.int64, np.int64, np.int64)
-        for key, part in zip(zip(d.tolist(), t.tolist(), strict=True), np.split(k, np.cumsum(n)[:-1]), strict=True):
-            kept.setdefault(key, []).append(part)
-    out: list[list] = [[] for _ in range(7)]
-    data, off = byte_view(docs.column("text"))
-    ids, tids, grp = (np.asarray(docs.column(c)) for c in ("doc", "tid", "grp"))
-    for r in range(docs.num_rows):
-        wanted = kept.get((int(ids[r]), int(tids[r])))
-        if wanted is None:
-            continue
-        text = data[off[r] : off[r + 1]]
-        k, start, n, _ = window_runs(text, np.array([0, len(text)]), length)
-        hit = np.isin(k & U(0xFFFFFFFF), np.concatenate(wanted))
-        k, start, n = k[hit], start[hit], n[hit]
-        size = n + length - 1
-        at = np.repeat(start - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum())
-        for x, y in zip(out, (k, text[at], size.astype(np.uint8), np.full(len(k), ids[r]), np.full(len(k), tids[r]), start.astype(np.uint32), np.full(len(k), grp[r], np.int32)), strict=True):
-            x.append(y)
-    if not out[0]:
-        return pa.table({"bucket": pa.array([], pa.int64()), "blob": pa.array([], pa.binary())})
-    k, text, size, doc, tid, start, grp = (np.concatenate(x) for x in out)
-    ends = np.cumsum(size.astype(np.int64))
-    found, cuts, (first, size, doc, tid, start, grp) = _dealt(_bucket(k, buckets), ends - size, size, doc, tid, start, grp)
-    blobs = []
-    for i in range(len(found)):
-        p = slice(cuts[i], cuts[i + 1])
-        z = size[p].astype(np.int64)
-        at = np.repeat(first[p] - np.concatenate([[0], np.cumsum(z)[:-1]]), z) + np.arange(z.sum())
-        (d, t, g), place = _numbered(doc[p], tid[p], grp[p])
-        blobs.append(_pack(text[at], size[p], place, start[p], d, t, g))
-    return pa.table({"bucket": pa.array(found, pa.int64()), "blob": pa.array(blobs, pa.binary())})
+    at, d = _cuts(k[order])[:-1], doc[order]
+    low, high = np.minimum.reduceat(d, at), np.maximum.reduceat(d, at)
+    shared = np.empty(len(k), bool)
+    shared[order] = np.repeat((low != high) | (low == SEVERAL), np.diff(np.append(at, len(k))))
+    ends = np.cumsum([0] + [len(p[0]) for p in parts])
+    blobs = [np.packbits(shared[x:y]).tobytes() for x, y in zip(ends[:-1], ends[1:], strict=True)]
+    return pa.table({"grp": table.column("grp"), "bucket": table.column("bucket"), "kind": pa.array(np.zeros(len(blobs)), pa.int32()), "blob": pa.array(blobs, pa.binary())})
+
+
+def _rows(table: pa.Table, kind: int) -> list[tuple[int, bytes]]:
+    return sorted((b, blob) for b, k, blob in zip(table.column("bucket").to_pylist(), table.column("kind").to_pylist(), table.column("blob").to_pylist(), strict=True) if k == kind)
+
+
+def _stretches(docs: pa.Table, told: pa.Table, length: int, buckets: int) -> Group:
+    group = Group(docs, length)
+    group.keep(_rows(told, 0), buckets)
+    group.contents()
+    return group
+
+
+def stretches(docs: pa.Table, told: pa.Table, length: int, buckets: int, batches: int) -> pa.Table:
+    """Rows (bucket, grp, blob): the distinct contents of one group under shared keys, each with its smallest document."""
+    if not docs.num_rows:
+        return pa.table({"bucket": pa.array([], pa.int64()), "grp": pa.array([], pa.int32()), "blob": pa.array([], pa.binary())})
+    group = _stretches(docs, told, length, buckets)
+    b = _bucket(group.key[group.first], batches)
+    start, size = group.start[group.first], group.n[group.first] + length - 1
+    cuts, blobs = _cuts(b), []
+    for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+        z = size[x:y]
+        at = np.repeat(start[x:y] - np.concatenate([[0], np.cumsum(z)[:-1]]), z) + np.arange(z.sum())
+        used, place = np.unique(group.holder[x:y], return_inverse=True)
+        blobs.append(_pack(group.data[at], z.astype(np.uint8), place, used))
+    return pa.table({"bucket": pa.array(b[cuts[:-1]], pa.int64()), "grp": pa.array(np.full(len(blobs), docs.column("grp")[0].as_py()), pa.int32()), "blob": pa.array(blobs, pa.binary())})
 
 
 # ---- the index
 
 
 class RunLengthIndex:
-    """Over short texts of at most 105 bytes: the transform as runs, samples at run ends, and who holds each long match first."""
+    """Over short texts of at most 105 bytes: the transform as runs, samples at run ends, and who holds each long match first.
+
+    What is kept beside the texts has one entry a run: of equal symbols in the transform, or of rows with one owner. The full
+    order of the suffixes lives only while the index is built. `jumps` counts the jumps of all statistics.
+    """
 
     def __init__(self, text: np.ndarray, size: np.ndarray, owner: np.ndarray, length: int):
         """text: all bytes in a row; size: of each text; owner: the smallest document that holds each text."""
@@ -262,7 +263,6 @@ class RunLengthIndex:
         body = np.ones(total, bool)
         body[self.end] = False
         t[body] = text.astype(np.int64) + 1
-        self.text = t
         which = np.repeat(np.arange(n_texts), size + 1)
         stop = self.end[which]
         # ranks by 7 symbols, then twice as many again and again; each terminator is a symbol of its own
@@ -291,14 +291,10 @@ class RunLengthIndex:
             span *= 2
         if exact is None:  # every suffix was told apart before
             exact = (rank, place)
-        self.order = order
         rows = len(order)
         before = t[order - 1]
-        cut = np.flatnonzero(np.concatenate([[True], before[1:] != before[:-1]]))
+        cut = np.flatnonzero(np.concatenate([[True], before[1:] != before[:-1]])) if rows else np.zeros(0, np.int64)
         self.run = cut
-        self.run_of = np.zeros(rows, np.int32)  # directory from rows to runs
-        self.run_of[cut[1:]] = 1
-        np.cumsum(self.run_of, out=self.run_of)
         self.run_symbol = before[cut]
         width = np.diff(np.append(cut, rows))
         # where a run's rows go: after all smaller symbols and the same symbol of earlier runs
@@ -306,16 +302,19 @@ class RunLengthIndex:
         goes = np.empty(len(cut), np.int64)
         goes[by_symbol] = np.cumsum(width[by_symbol]) - width[by_symbol]
         self.run_goes = goes
-        self.sample_first, self.sample_last = order[cut], order[np.append(cut[1:], rows) - 1]
-        self.run_end = np.append(cut[1:], rows) - 1
-        self.of_symbol = {int(s): np.flatnonzero(self.run_symbol == s) for s in np.unique(self.run_symbol)}
-        # suffixes that agree in `length` symbols, and the smallest owner of each such set
+        self.run_end = np.append(cut[1:], rows)[: len(cut)] - 1
+        self.sample_first, self.sample_last = order[cut], order[self.run_end]
+        self.by_symbol = by_symbol
+        self.symbol_key = self.run_symbol[by_symbol] * len(cut) + by_symbol
+        # suffixes that agree in `length` symbols, and runs of rows whose sets have one smallest owner
         r, q = exact
         a, b = r[order], r[q[order]]
-        apart = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]) if rows else np.zeros(0, bool)
-        self.group = np.flatnonzero(apart)
-        self.group_of = np.cumsum(apart, dtype=np.int32) - 1
-        self.group_owner = np.minimum.reduceat(owner[which[order]], self.group) if rows else owner[:0]
+        apart = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])) if rows else np.zeros(0, np.int64)
+        first = np.minimum.reduceat(owner[which[order]], apart) if rows else owner[:0]
+        change = np.flatnonzero(np.concatenate([[True], first[1:] != first[:-1]])) if rows else apart
+        self.owner_run, self.owner = apart[change], first[change]
+        self.text = t.astype(np.uint16)
+        self.jumps = 0
 
     @staticmethod
     def _first(s):
@@ -333,191 +332,156 @@ class RunLengthIndex:
         flag[:-1] |= same
         return np.flatnonzero(flag)
 
-    def own_rows(self) -> np.ndarray:
-        """The row of each text's terminator."""
-        return np.arange(len(self.size))
-
-    def _common(self, a: np.ndarray, b: np.ndarray, most: int) -> np.ndarray:
-        """Symbols from text positions a and b on that agree, up to most; terminators agree with nothing."""
-        n, out, alive = len(self.text), np.zeros(len(a), np.int64), np.ones(len(a), bool)
-        for k in range(most):
-            x, y = self.text[np.minimum(a + k, n - 1)], self.text[np.minimum(b + k, n - 1)]
-            alive &= (x == y) & (x > 0) & (a + k < n) & (b + k < n)
-            if not alive.any():
-                break
-            out += alive
+    def _common(self, a: np.ndarray, b: np.ndarray, most: np.ndarray) -> np.ndarray:
+        """Symbols from text positions a and b on that agree, up to most of each; terminators agree with nothing."""
+        stop = lambda x: self.end[np.searchsorted(self.end, x)] - x
+        most = np.minimum(most, np.minimum(stop(a), stop(b)))
+        out = most.copy()
+        for lo in range(0, len(a), 1 << 13):
+            part = slice(lo, lo + (1 << 13))
+            reach = np.arange(int(most[part].max(initial=0)))
+            if len(reach):
+                n = len(self.text) - 1
+                differ = self.text[np.minimum(a[part, None] + reach, n)] != self.text[np.minimum(b[part, None] + reach, n)]
+                out[part] = np.where(differ.any(1), np.minimum(differ.argmax(1), most[part]), most[part])
         return out
 
-    def statistics(self, text: np.ndarray, size: np.ndarray, rows: np.ndarray | None = None):
-        """For each position of many texts, from right to left in step: the length of a longest match (capped) and its row.
+    def statistics(self, text: np.ndarray, size: np.ndarray):
+        """For each position of many texts, from right to left in step: the length of a longest match and its row.
 
-        rows: where each text's terminator stands, if it has one in the index; else the matching starts from nothing.
         Yields (lanes, position, length, row).
         """
         size = size.astype(np.int64)
         first = np.cumsum(size) - size
-        cap = int(self.size.max(initial=0)) + 1
         lanes = np.argsort(-size, kind="stable")
-        q = (np.zeros(len(size), np.int64) if rows is None else rows.copy())
-        matched = np.zeros(len(size), np.int64)
+        q, matched = np.zeros(len(size), np.int64), np.zeros(len(size), np.int64)
+        place = np.full(len(size), self.end[0] if len(self.end) else 0)  # the text position of each row q
         for step in range(int(size.max(initial=0))):
             lanes = lanes[: np.searchsorted(-size[lanes], -step, side="left")]
             at = size[lanes] - 1 - step
             symbol = text[first[lanes] + at].astype(np.int64) + 1
-            row = q[lanes]
-            run = self.run_of[row]
+            row, where, length = q[lanes], place[lanes], matched[lanes]
+            run = np.searchsorted(self.run, row, side="right") - 1
             off = np.flatnonzero(self.run_symbol[run] != symbol)
-            length = matched[lanes]
             if len(off):
-                row, run, length = self._jump(row.copy(), run.copy(), length.copy(), symbol, off, cap)
+                run[off], row[off], where[off], length[off] = self._jump(run[off], where[off], length[off], symbol[off])
             known = length >= 0
-            moved = self.run_goes[run] + row - self.run[run]
-            q[lanes] = np.where(known, moved, 0)
-            matched[lanes] = np.where(known, np.minimum(length + 1, cap), 0)
+            q[lanes] = np.where(known, self.run_goes[run] + row - self.run[run], 0)
+            place[lanes] = np.where(known, where - 1, self.end[0])
+            matched[lanes] = np.where(known, length + 1, 0)
             yield lanes, at, matched[lanes], q[lanes]
 
-    def _jump(self, row, run, length, symbol, off, cap):
-        """The nearest run ends that carry the wanted symbol, whichever agrees longer with the match so far."""
-        for s in np.unique(symbol[off]):
-            sel = off[symbol[off] == s]
-            runs = self.of_symbol.get(int(s))
-            if runs is None:
-                length[sel] = -1
-                continue
-            here = self.order[row[sel]]
-            nxt = np.searchsorted(runs, run[sel])
-            up, down = runs[np.maximum(nxt - 1, 0)], runs[np.minimum(nxt, len(runs) - 1)]
-            a = np.minimum(self._common(here, self.sample_last[up], cap), length[sel])
-            b = np.minimum(self._common(here, self.sample_first[down], cap), length[sel])
-            a[nxt == 0] = -1
-            b[nxt == len(runs)] = -1
-            better = a >= b
-            run[sel] = np.where(better, up, down)
-            row[sel] = np.where(better, self.run_end[up], self.run[down])
-            length[sel] = np.maximum(a, b)
-        return row, run, length
+    def _jump(self, run, where, length, symbol):
+        """The nearest run ends that carry the wanted symbol, whichever agrees longer with the match so far; length -1 where
+        no run carries it."""
+        self.jumps += len(run)
+        n = len(self.run)
+        nxt = np.searchsorted(self.symbol_key, symbol * n + run)
+        down, up = np.minimum(nxt, n - 1), np.maximum(nxt - 1, 0)
+        has_down = (nxt < n) & (self.run_symbol[self.by_symbol[down]] == symbol)
+        has_up = (nxt > 0) & (self.run_symbol[self.by_symbol[up]] == symbol)
+        down, up = self.by_symbol[down], self.by_symbol[up]
+        a = np.where(has_up, self._common(where, self.sample_last[up], length), -1)
+        b = np.where(has_down, self._common(where, self.sample_first[down], length), -1)
+        better = a >= b
+        return np.where(better, up, down), np.where(better, self.run_end[up], self.run[down]), np.where(better, self.sample_last[up], self.sample_first[down]), np.maximum(a, b)
 
     def first_owner(self, rows: np.ndarray) -> np.ndarray:
         """The smallest document with the `length` bytes that begin at each row."""
-        return self.group_owner[self.group_of[rows]]
+        return self.owner[np.searchsorted(self.owner_run, rows, side="right") - 1]
 
 
 def marked(table: pa.Table, length: int) -> pa.Table:
-    """Rows (grp, blob): the byte ranges that the stretches of one bucket take out of their documents."""
-    parts = [_unpack(b, np.uint8, np.uint8, np.int64, np.int64, np.int64, np.int64, np.int32) for b in table.column("blob").to_pylist()]
-    raw, size, start = (np.concatenate([p[x] for p in parts]) for x in (0, 1, 3))
-    doc, tid, grp = (np.concatenate([p[x][p[2]] for p in parts]) for x in (4, 5, 6))
-    ends = np.cumsum(size.astype(np.int64))
-    whole = raw.tobytes()
+    """Rows (grp, bucket, kind, blob): for each content of one bucket, who holds it first, and for those first holders the
+    windows that smaller documents hold within other contents."""
+    parts = [_unpack(b, np.uint8, np.uint8, np.int64, np.int64) for b in table.column("blob").to_pylist()]
     number: dict[bytes, int] = {}
-    same = np.fromiter((number.setdefault(whole[e - z : e], len(number)) for e, z in zip(ends.tolist(), size.tolist(), strict=True)), np.int64, len(size))
+    same = []
+    for raw, size, _, _ in parts:
+        whole, ends = raw.tobytes(), np.cumsum(size.astype(np.int64))
+        same.append(np.fromiter((number.setdefault(whole[e - z : e], len(number)) for e, z in zip(ends.tolist(), size.tolist(), strict=True)), np.int64, len(size)))
+    holder = [p[3][p[2]] for p in parts]
     owner = np.full(len(number), LAST)
-    np.minimum.at(owner, same, doc)
+    np.minimum.at(owner, np.concatenate(same), np.concatenate(holder))
     text = np.frombuffer(b"".join(number), np.uint8)
     sizes = np.fromiter(map(len, number), np.int64, len(number))
     index = RunLengthIndex(text, sizes, owner, length)
-    out = [[], [], [], [], []]
-    # later holders of a text lose all its windows
-    late = doc > owner[same]
-    for x, y in zip(out, (doc[late], tid[late], grp[late], start[late], start[late] + size[late]), strict=True):
-        x.append(y.astype(np.int64))
-    # the first holders lose the windows that smaller documents hold within other texts
     flag = np.zeros((len(sizes), int(sizes.max()) - length + 1), bool)
-    for lanes, at, matched, row in index.statistics(text, sizes, index.own_rows()):
+    for lanes, at, matched, row in index.statistics(text, sizes):
         long_ = np.flatnonzero((at + length <= sizes[lanes]) & (matched >= length))
         if len(long_):
             who = lanes[long_]
             flag[who, at[long_]] = index.first_owner(row[long_]) < owner[who]
-    some = flag.any(1)
-    early = np.flatnonzero(~late & some[same])
-    if len(early):
-        lane, place = np.nonzero(flag[same[early]])
-        pick = early[lane]
-        for x, y in zip(out, (doc[pick], tid[pick], grp[pick], start[pick] + place, start[pick] + place + length), strict=True):
-            x.append(y.astype(np.int64))
-    doc, tid, grp, lo, hi = (np.concatenate(x) for x in out)
-    found, cuts, (doc, tid, lo, hi) = _dealt(grp, doc, tid, lo, hi)
     blobs = []
-    for i in range(len(found)):
-        p = slice(cuts[i], cuts[i + 1])
-        (d, t), place = _numbered(doc[p], tid[p])
-        order = np.lexsort((lo[p], place))
-        blobs.append(_pack(lo[p][order], (hi[p] - lo[p])[order], np.bincount(place, minlength=len(d)), d, t))
-    return pa.table({"grp": pa.array(found, pa.int32()), "blob": pa.array(blobs, pa.binary())})
+    for number_, held in zip(same, holder, strict=True):
+        first = owner[number_]
+        used, place = np.unique(first, return_inverse=True)
+        content, window = np.nonzero(flag[number_] & (first == held)[:, None])
+        blobs.append(_pack(place, used, content, window))
+    return pa.table({"grp": table.column("grp"), "bucket": table.column("bucket"), "kind": pa.array(np.ones(len(blobs)), pa.int32()), "blob": pa.array(blobs, pa.binary())})
 
 
 # ---- back to the documents
 
 
-def removed(docs: pa.Table, marks: pa.Table, with_text: bool) -> pa.Table:
+def removed(docs: pa.Table, told: pa.Table, length: int, buckets: int, batches: int, with_text: bool) -> pa.Table:
     """The documents of one group without the marked bytes."""
-    spans: dict[tuple[int, int], list] = {}
-    for blob in marks.column("blob").to_pylist():
-        lo, size, n, d, t = _unpack(blob, np.int64, np.int64, np.int64, np.int64, np.int64)
-        cuts = np.cumsum(n)[:-1]
-        for key, a, b in zip(zip(d.tolist(), t.tolist(), strict=True), np.split(lo, cuts), np.split(lo + size, cuts), strict=True):
-            spans.setdefault(key, []).append((a, b))
-    data, off = byte_view(docs.column("text"))
-    ids, tids = np.asarray(docs.column("doc")), np.asarray(docs.column("tid"))
+    if docs.num_rows:
+        group = _stretches(docs, told, length, buckets)
+    else:
+        group = Group(docs, length)
+        group.contents()
+    owner, flags = np.full(len(group.first), LAST), []
+    b = _bucket(group.key[group.first], batches)
+    for bucket, blob in _rows(told, 1):
+        place, used, content, window = _unpack(blob, np.int64, np.int64, np.int64, np.int64)
+        lo, hi = np.searchsorted(b, [bucket, bucket + 1])
+        owner[lo:hi] = used[place]
+        flags.append((content + lo, window))
+    doc = group.doc[group.row]
+    late = doc > owner[group.content]
+    lo, hi = [group.start[late]], [group.start[late] + group.n[late] + length - 1]
+    if flags:  # first holders lose single windows
+        content, window = (np.concatenate(x) for x in zip(*flags, strict=True))
+        early = np.flatnonzero(doc == owner[group.content])
+        early = early[np.argsort(group.content[early], kind="stable")]
+        x, y = (np.searchsorted(group.content[early], content, side=side) for side in ("left", "right"))
+        run = early[np.repeat(x - np.concatenate([[0], np.cumsum(y - x)[:-1]]), y - x) + np.arange((y - x).sum())]
+        at = group.start[run] + np.repeat(window, y - x)
+        lo.append(at)
+        hi.append(at + length)
+    lo, hi = np.concatenate(lo), np.concatenate(hi)
+    n = len(group.data)
+    edge = np.bincount(lo, minlength=n + 1) - np.bincount(hi, minlength=n + 1)
+    gone = np.cumsum(edge[:n]) > 0
     n_bytes, n_removed, n_spans, sha, kept = [], [], [], [], []
-    for r in range(docs.num_rows):
-        text = data[off[r] : off[r + 1]]
-        found = spans.get((int(ids[r]), int(tids[r])))
-        count = 0
-        if found:
-            edge = np.zeros(len(text) + 1, np.int64)
-            np.add.at(edge, np.concatenate([a for a, _ in found]), 1)
-            np.add.at(edge, np.concatenate([b for _, b in found]), -1)
-            gone = np.cumsum(edge[:-1]) > 0
-            count = int(gone[0]) + int(np.count_nonzero(gone[1:] & ~gone[:-1]))
-            rest = text[~gone]
-        else:
-            rest = text
-        rest_bytes = rest.tobytes()
-        n_bytes.append(len(text))
-        n_removed.append(len(text) - len(rest))
-        n_spans.append(count)
+    for x, y in zip(group.off[:-1], group.off[1:], strict=True):
+        text, cut = group.data[x:y], gone[x:y]
+        rest_bytes = text[~cut].tobytes()
+        n_bytes.append(y - x)
+        n_removed.append(y - x - len(rest_bytes))
+        n_spans.append(int(cut[:1].sum()) + int(np.count_nonzero(cut[1:] & ~cut[:-1])))
         sha.append(hashlib.sha256(rest_bytes).hexdigest())
         kept.append(rest_bytes.decode("utf-8", "ignore") if with_text else None)
-    out = {"doc_id": docs.column("doc_id"), "n_bytes": pa.array(n_bytes, pa.int64()), "n_removed": pa.array(n_removed, pa.int64()), "n_spans": pa.array(n_spans, pa.int64()), "kept_sha256": pa.array(sha, pa.string())}
+    out = {"doc_id": group.docs.column("doc_id"), "n_bytes": pa.array(n_bytes, pa.int64()), "n_removed": pa.array(n_removed, pa.int64()), "n_spans": pa.array(n_spans, pa.int64()), "kept_sha256": pa.array(sha, pa.string())}
     if with_text:
         out["text"] = pa.array(kept, pa.string())
     return pa.table(out)
 
 
-def _call(function: str, *args):
-    root = ROOT
-
-    def load():
-        import importlib
-        import sys
-
-        if root not in sys.path:
-            sys.path.insert(0, root)
-        return getattr(importlib.import_module("panelspark.llm.repeats"), function)
-
-    def one(table):
-        return load()(table, *args)
-
-    def two(left, right):
-        return load()(left, right, *args)
-
-    return one, two
-
-
 def without_repeats(docs: DataFrame, length: int = 50, with_text: bool = False, group_bytes: int = 6 << 20, key_bytes: int = 6 << 20, batch_bytes: int = 2 << 20) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans and kept_sha256 of each row of docs(doc_id, text); the kept text on demand."""
     if not 24 <= length <= 70:
         raise ValueError("length must be from 24 to 70")
     here = "panelspark.llm.repeats"
-    rows = docs.select("doc_id", F.coalesce("doc_id", F.lit(LAST)).alias("doc"), F.coalesce("text", F.lit("")).alias("text"))
     total = docs.agg(F.coalesce(F.sum(F.octet_length("text").cast("long")), F.lit(0))).first()[0]
     groups, buckets, batches = (max(8, -(-int(x) // y)) for x, y in ((total, group_bytes), (total, key_bytes), (total * 1.2, batch_bytes)))
-    rows = rows.withColumn("tid", F.xxhash64("text")).withColumn("grp", F.pmod(F.xxhash64("doc"), F.lit(groups)).cast("int"))
-    keys = rows.select("doc", "tid", "grp", "text").mapInArrow(shipped(here, "key_blobs", length, buckets, groups), "bucket long, blob binary")
-    flags = keys.groupBy("bucket").applyInArrow(_call("shared_keys")[0], "grp int, blob binary")
-    texts = rows.select("doc_id", "doc", "tid", "text", "grp")
-    found = texts.groupBy("grp").cogroup(flags.groupBy("grp")).applyInArrow(_call("stretches", length, batches)[1], "bucket long, blob binary")
-    marks = found.groupBy("bucket").applyInArrow(_call("marked", length)[0], "grp int, blob binary")
+    rows = docs.select("doc_id", F.coalesce("doc_id", F.lit(LAST)).alias("doc"), F.coalesce("text", F.lit("")).alias("text")).withColumn("tid", F.xxhash64("text"))
+    texts = rows.withColumn("grp", F.pmod(F.xxhash64("doc", "tid"), F.lit(groups)).cast("int")).select("doc_id", "doc", "tid", "text", "grp")
+    answer = "grp int, bucket long, kind int, blob binary"
+    keys = texts.groupBy("grp").applyInArrow(grouped(here, "group_keys", length, buckets), "bucket long, grp int, blob binary")
+    shared = keys.groupBy("bucket").applyInArrow(grouped(here, "shared_keys"), answer)
+    found = texts.groupBy("grp").cogroup(shared.groupBy("grp")).applyInArrow(grouped(here, "stretches", length, buckets, batches), "bucket long, grp int, blob binary")
+    marks = found.groupBy("bucket").applyInArrow(grouped(here, "marked", length), answer)
     kind = "doc_id " + docs.schema["doc_id"].dataType.simpleString() + ", n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", text string" if with_text else "")
-    return texts.groupBy("grp").cogroup(marks.groupBy("grp")).applyInArrow(_call("removed", with_text)[1], kind)
+    return texts.groupBy("grp").cogroup(shared.unionByName(marks).groupBy("grp")).applyInArrow(grouped(here, "removed", length, buckets, batches, with_text), kind)

@@ -71,7 +71,7 @@ def test_run_length_index_and_statistics():
         owner = rng.integers(0, 9, len(segs))
         text, size = np.frombuffer(b"".join(segs), np.uint8), np.array([len(s) for s in segs])
         index = repeats.RunLengthIndex(text, size, owner, length)
-        for lanes, at, matched, row in index.statistics(text, size, index.own_rows()):
+        for lanes, at, matched, row in index.statistics(text, size):
             for a, b, m, r in zip(lanes, at, matched, row, strict=True):
                 if b + length <= size[a]:
                     gram = segs[a][b : b + length]
@@ -87,6 +87,23 @@ def test_run_length_index_and_statistics():
                 assert want == m
 
 
+def test_index_jumps_and_its_memory_follows_runs():
+    rng = np.random.default_rng(6)
+    base = bytes(rng.integers(97, 123, 5000, dtype=np.uint8))
+    sizes = []
+    for copies in (2, 40):
+        segs = [base[a : a + 84] for a in range(0, 4900, 70) for _ in range(copies)]
+        segs = [s[:40] + bytes([65 + k % copies % 26]) + s[41:] if k % copies else s for k, s in enumerate(segs)]
+        text, size = np.frombuffer(b"".join(segs), np.uint8), np.array([len(s) for s in segs])
+        index = repeats.RunLengthIndex(text, size, np.arange(len(segs)) // copies, 50)
+        assert sum(len(lanes) for lanes, *_ in index.statistics(text, size)) == len(text)
+        assert index.jumps > len(segs)
+        kept = sum(x.nbytes for k, x in vars(index).items() if isinstance(x, np.ndarray) and k not in ("text", "size", "end", "start"))
+        assert kept < 100 * (len(index.run) + len(index.owner_run))
+        sizes.append((len(text), len(index.run)))
+    assert sizes[1][0] == 20 * sizes[0][0] and sizes[1][1] < 7 * sizes[0][1]  # the text grows, the runs hardly do
+
+
 def test_window_keys_depend_on_content_only():
     rng = np.random.default_rng(1)
     text = rng.integers(97, 101, 400, dtype=np.uint8)
