@@ -245,11 +245,31 @@ def stretches(docs: pa.Table, told: pa.Table, length: int, buckets: int, batches
 # ---- the index
 
 
+class RunStarts:
+    """A bit for each row, set where a run begins, and the runs before every 64 rows: the run of any row by counting bits."""
+
+    def __init__(self, starts: np.ndarray, rows: int):
+        bits = np.zeros(-(-(rows + 1) // 64) * 64, bool)
+        bits[starts] = True
+        self.words = np.packbits(bits, bitorder="little").view("<u8")
+        self.before = np.concatenate([[0], np.cumsum(np.bitwise_count(self.words), dtype=np.int32)[:-1]]).astype(np.int32)
+
+    def of(self, rows: np.ndarray) -> np.ndarray:
+        at = rows >> 6
+        mask = U(0xFFFFFFFFFFFFFFFF) >> (63 - (rows & 63)).astype(np.uint64)
+        return self.before[at] + np.bitwise_count(self.words[at] & mask).astype(np.int64) - 1
+
+    @property
+    def nbytes(self) -> int:
+        return self.words.nbytes + self.before.nbytes
+
+
 class RunLengthIndex:
     """Over short texts of at most 105 bytes: the transform as runs, samples at run ends, and who holds each long match first.
 
-    What is kept beside the texts has one entry a run: of equal symbols in the transform, or of rows with one owner. The full
-    order of the suffixes lives only while the index is built. `jumps` counts the jumps of all statistics.
+    What is kept beside the texts has one entry a run, of equal symbols in the transform or of rows with one owner, and under
+    two bits a row to find runs. The full order of the suffixes lives only while the index is built. `jumps` counts the
+    jumps of all statistics.
     """
 
     def __init__(self, text: np.ndarray, size: np.ndarray, owner: np.ndarray, length: int):
@@ -258,6 +278,7 @@ class RunLengthIndex:
         self.length, self.size = length, size
         total = int(size.sum()) + n_texts
         self.end = np.cumsum(size + 1) - 1  # where each text's terminator is
+        self.ends = RunStarts(np.concatenate([[0], self.end + 1]), total)
         self.start = self.end - size
         t = np.zeros(total, np.int64)
         body = np.ones(total, bool)
@@ -295,6 +316,7 @@ class RunLengthIndex:
         before = t[order - 1]
         cut = np.flatnonzero(np.concatenate([[True], before[1:] != before[:-1]])) if rows else np.zeros(0, np.int64)
         self.run = cut
+        self.runs = RunStarts(cut, rows)
         self.run_symbol = before[cut]
         width = np.diff(np.append(cut, rows))
         # where a run's rows go: after all smaller symbols and the same symbol of earlier runs
@@ -312,7 +334,7 @@ class RunLengthIndex:
         apart = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])) if rows else np.zeros(0, np.int64)
         first = np.minimum.reduceat(owner[which[order]], apart) if rows else owner[:0]
         change = np.flatnonzero(np.concatenate([[True], first[1:] != first[:-1]])) if rows else apart
-        self.owner_run, self.owner = apart[change], first[change]
+        self.owner_runs, self.owner = RunStarts(apart[change], rows), first[change]
         self.text = t.astype(np.uint16)
         self.jumps = 0
 
@@ -334,7 +356,7 @@ class RunLengthIndex:
 
     def _common(self, a: np.ndarray, b: np.ndarray, most: np.ndarray) -> np.ndarray:
         """Symbols from text positions a and b on that agree, up to most of each; terminators agree with nothing."""
-        stop = lambda x: self.end[np.searchsorted(self.end, x)] - x
+        stop = lambda x: self.end[self.ends.of(x)] - x
         most = np.minimum(most, np.minimum(stop(a), stop(b)))
         out = most.copy()
         for lo in range(0, len(a), 1 << 13):
@@ -361,7 +383,7 @@ class RunLengthIndex:
             at = size[lanes] - 1 - step
             symbol = text[first[lanes] + at].astype(np.int64) + 1
             row, where, length = q[lanes], place[lanes], matched[lanes]
-            run = np.searchsorted(self.run, row, side="right") - 1
+            run = self.runs.of(row)
             off = np.flatnonzero(self.run_symbol[run] != symbol)
             if len(off):
                 run[off], row[off], where[off], length[off] = self._jump(run[off], where[off], length[off], symbol[off])
@@ -388,7 +410,7 @@ class RunLengthIndex:
 
     def first_owner(self, rows: np.ndarray) -> np.ndarray:
         """The smallest document with the `length` bytes that begin at each row."""
-        return self.owner[np.searchsorted(self.owner_run, rows, side="right") - 1]
+        return self.owner[self.owner_runs.of(rows)]
 
 
 def marked(table: pa.Table, length: int) -> pa.Table:

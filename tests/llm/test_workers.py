@@ -99,7 +99,8 @@ def test_index_jumps_and_its_memory_follows_runs():
         assert sum(len(lanes) for lanes, *_ in index.statistics(text, size)) == len(text)
         assert index.jumps > len(segs)
         kept = sum(x.nbytes for k, x in vars(index).items() if isinstance(x, np.ndarray) and k not in ("text", "size", "end", "start"))
-        assert kept < 100 * (len(index.run) + len(index.owner_run))
+        assert kept < 100 * (len(index.run) + len(index.owner))
+        assert index.runs.nbytes + index.owner_runs.nbytes < len(index.text)
         sizes.append((len(text), len(index.run)))
     assert sizes[1][0] == 20 * sizes[0][0] and sizes[1][1] < 7 * sizes[0][1]  # the text grows, the runs hardly do
 
