@@ -28,10 +28,22 @@ def shipped(module: str, function: str, *args):
         if root not in sys.path:
             sys.path.insert(0, root)
         yield from getattr(importlib.import_module(module), function)(batches, *args)
+        importlib.import_module("panelspark.llm.common").give_back()
 
     return run
 
 
+def give_back() -> None:
+    """Workers are used again: what a task has freed goes back to the system, where the C library can do that."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:
+        pass
+
+
 def grouped(module: str, function: str, *args):
     """The same for functions of one Arrow table, or of two for cogroups; the number of parameters tells Spark no keys are wanted."""
     root = ROOT
@@ -42,8 +54,9 @@ def grouped(module: str, function: str, *args):
 
         if root not in sys.path:
             sys.path.insert(0, root)
-        made = getattr(importlib.import_module(module), function)
-        return made(*tables, *args)
+        made = getattr(importlib.import_module(module), function)(*tables, *args)
+        importlib.import_module("panelspark.llm.common").give_back()
+        return made
 
     def one(table):
         return called(table)
@@ -141,13 +154,22 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U(32))
 
 
-def range_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit content hashes of many byte ranges of one buffer, by one prefix sum."""
-    n = len(data)
-    up, down = _powers(n + 1)
-    total = np.zeros(n + 1, np.uint64)
-    np.cumsum((data.astype(np.uint64) + U(1)) * up[:n], out=total[1:])
-    return mix((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+def range_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, most: int = 1 << 19) -> np.ndarray:
+    """64-bit content hashes of many byte ranges of one buffer, by prefix sums. The ranges ascend; they are taken in pieces
+    that span `most` bytes (or one longer range), so that a long text needs no more than a short one."""
+    out = np.empty(len(starts), np.uint64)
+    i = 0
+    while i < len(starts):
+        base = int(starts[i])
+        j = max(i + 1, int(np.searchsorted(ends[i:], base + most, side="right")) + i)
+        lo, hi = starts[i:j] - base, ends[i:j] - base
+        n = int(hi.max())
+        up, down = _powers(n + 1)
+        total = np.zeros(n + 1, np.uint64)
+        np.cumsum((data[base : base + n].astype(np.uint64) + U(1)) * up[:n], out=total[1:])
+        out[i:j] = mix((total[hi] - total[lo]) * down[lo] + (hi - lo).astype(np.uint64))
+        i = j
+    return out
 
 
 def lowered(data: np.ndarray) -> np.ndarray:

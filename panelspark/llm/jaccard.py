@@ -449,11 +449,14 @@ def similar(docs: DataFrame, width: int = 3, top: int = 90, bottom: int = 100, b
 def representatives(docs: DataFrame, width: int = 5, top: int = 80, bottom: int = 100) -> DataFrame:
     """docs without those that are linked with a smaller doc_id: one of each component stays (repeated ids: one row).
 
-    Rows with a null doc_id name no document and stay. The texts are shuffled once here; they are grouped by id only
-    where the ids say that some row is repeated.
+    Rows with a null doc_id name no document and stay. The ids that go, and those of several rows that stay, are counted; while
+    they are few they are broadcast and no text is shuffled.
     """
-    ids = settled(similar(docs, width, top, bottom).where("doc_id = component_id").groupBy("doc_id").agg(F.count("*").alias("n")))
-    kept = docs.join(ids.select("doc_id"), "doc_id", "left_semi")
-    if not ids.where("n > 1").isEmpty():
-        kept = kept.dropDuplicates(["doc_id"])
-    return kept.select(*docs.columns).unionByName(docs.where(F.col("doc_id").isNull()))
+    stays = F.col("doc_id") == F.col("component_id")
+    ids = settled(similar(docs, width, top, bottom).where(F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.sum(stays.cast("int")).alias("n")).where("n <> 1"))
+    gone, several = ids.where("n = 0").count(), ids.where("n > 1").count()
+    kept = docs.join(_small(ids.select("doc_id"), gone + several), "doc_id", "left_anti").select(*docs.columns)
+    if several:
+        repeated = docs.join(_small(ids.where("n > 1").select("doc_id"), several), "doc_id", "left_semi").select(*docs.columns)
+        kept = kept.unionByName(repeated.dropDuplicates(["doc_id"]))
+    return kept

@@ -13,6 +13,7 @@ from __future__ import annotations
 import hashlib
 import struct
 import zlib
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -145,14 +146,20 @@ def _bmp(b: bytes, at: int):
     return ("bmp", at + size, {}) if ok else None
 
 
+@lru_cache(maxsize=8)
+def _last(b: bytes, mark: bytes, end: int | None = None) -> int:
+    """Where a mark stands last; remembered, so that many starts in one value cost one search."""
+    return b.rfind(mark, 0, len(b) if end is None else end)
+
+
 def _pdf(b: bytes, at: int):
-    end = b.rfind(b"%%EOF", at)
-    return ("pdf", end + 5, {}) if end > 0 and b.find(b"startxref", at, end) > 0 else None
+    end = _last(b, b"%%EOF")
+    return ("pdf", end + 5, {}) if end > at and _last(b, b"startxref", end) > at else None
 
 
 def _zip(b: bytes, at: int):
-    end = b.rfind(b"PK\x05\x06", at)
-    if end < 0 or end + 22 > len(b):
+    end = _last(b, b"PK\x05\x06")
+    if end < at or end + 22 > len(b):
         return None
     size, start, note = struct.unpack_from("<IIH", b, end + 12)
     return ("zip", end + 22 + note, {}) if at + start + size == end and end + 22 + note <= len(b) else None
@@ -210,11 +217,14 @@ CHECKS = {"riff": _riff, "png": _png, "jpeg": _jpeg, "gif": _gif, "bmp": _bmp, "
 
 def sniff(b: bytes) -> list[tuple[str, int, int, dict]]:
     """Confirmed media as (type, start, end, parts) in order of start; what lies inside another is listed too."""
-    found = []
+    found, packed = [], 0
     for last, (kind, n, before) in automaton().iter(b.decode("latin-1")):
         at = last - n + 1 - before
+        if kind == "gzip" and at < packed:  # bytes of a stream that has been decoded
+            continue
         if at >= 0 and (got := CHECKS[kind](b, at)):
             found.append((got[0], at, got[1], got[2]))
+            packed = max(packed, got[1]) if kind == "gzip" else packed
     return found
 
 
@@ -280,3 +290,21 @@ def corrected(rows: DataFrame, key: str, declared: str, content: str) -> DataFra
 
     picked = rows.select(F.col(key).cast("long").alias("id"), F.col(declared).cast("string").alias("declared"), F.col(content).cast("binary").alias("content"))
     return picked.mapInArrow(shipped("panelspark.llm.media", "sniffed"), "id long, media_type string, declared_ok boolean, embedded array<struct<type: string, start: long, end: long>>")
+
+
+def carved_out(batches):
+    for batch in batches:
+        out = []
+        for r, b in enumerate(batch.column(1).to_pylist()):
+            out += [(r, n, k, a, e, b[a:e]) for n, (k, a, e, _) in enumerate(x for x in sniff(b or b"") if x[1] > 0)]
+        rows, number, kinds, starts, ends, content = zip(*out, strict=True) if out else [()] * 6
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int64())), pa.array(number, pa.int32()), pa.array(kinds, pa.string()), pa.array(starts, pa.int64()), pa.array(ends, pa.int64()), pa.array(content, pa.binary())], ["id", "number", "media_type", "start", "end", "content"])
+
+
+def carved(rows: DataFrame, key: str, content: str) -> DataFrame:
+    """The media embedded in binary rows: (id, number, media_type, start, end, content), one row each, in order of start; what
+    starts at byte 0 is the value itself and is left out. Null and unknown values give no rows."""
+    from pyspark.sql import functions as F
+
+    picked = rows.select(F.col(key).cast("long").alias("id"), F.col(content).cast("binary").alias("content"))
+    return picked.mapInArrow(shipped("panelspark.llm.media", "carved_out"), "id long, number int, media_type string, start long, end long, content binary")

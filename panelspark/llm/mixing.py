@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 
 REST = "(rest)"
 LAST = 1 << 62
+ADDED = ("_stream", "_block", "_slot", "_release", "_deadline", "_place", "_balanced")
 
 
 def period_schedule(weights: dict[str, int]) -> list[tuple[str, int, int, int, int]]:
@@ -45,7 +46,8 @@ def period_schedule(weights: dict[str, int]) -> list[tuple[str, int, int, int, i
 
 
 def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes: int = 1 << 20, shards: int = 256, seed: int = 0) -> DataFrame:
-    """The columns of docs with stream, block, slot, release, deadline, place and balanced added (underscored).
+    """The columns of docs with stream, block, slot, release, deadline, place and balanced added (underscored; columns of docs
+    that have one of these names are replaced, other columns may have any name).
 
     The prefix sums are taken in shards of each source, so a source with most rows spreads over `shards` tasks; the
     totals of the shards are few (sources with a weight times shards).
@@ -54,50 +56,44 @@ def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes:
     weights = {str(k): int(v) for k, v in weights.items()} | {REST: int(rest)}
     if min(weights.values()) < 0 or sum(weights.values()) < 1:
         raise ValueError("weights must not be negative, and one must be positive")
-    plan = F.broadcast(spark.createDataFrame(period_schedule(weights), "_s string, _j long, _r long, _d long, _t long"))
+    plan = F.broadcast(spark.createDataFrame(period_schedule(weights), "s string, j long, r long, d long, t long"))
     period = sum(weights.values())
     known = [s for s, w in weights.items() if s != REST]
-    digest = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string")))
+    fields = [c for c in docs.columns if c not in ADDED]
+    own = F.struct(*[F.col(f"`{c}`") for c in fields]).alias("row")  # nothing of docs can clash with the columns below
     rows = docs.select(
-        "*",
-        F.when(F.col("source").isin(known), F.col("source")).otherwise(F.lit(REST)).alias("_stream"),
-        digest.alias("_h"),
-        F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("_bytes"),
+        own,
+        F.when(F.col("source").isin(known), F.col("source")).otherwise(F.lit(REST)).alias("stream"),
+        F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string"))).alias("h"),
+        F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("bytes"),
     )
-    rows = rows.withColumn("_shard", F.pmod(F.conv(F.substring("_h", 1, 4), 16, 10).cast("long"), F.lit(shards)))
+    rows = rows.withColumn("shard", F.pmod(F.conv(F.substring("h", 1, 4), 16, 10).cast("long"), F.lit(shards)))
     # within a shard by hash; equal hashes (repeated ids) by size and content
-    order = Window.partitionBy("_stream", "_shard").orderBy("_h", "doc_id", "_bytes", F.md5(F.coalesce("text", F.lit(""))))
-    totals = rows.groupBy("_stream", "_shard").agg(F.sum("_bytes").alias("_total"))
-    before = totals.select("_stream", "_shard", (F.sum("_total").over(Window.partitionBy("_stream").orderBy("_shard")) - F.col("_total")).alias("_offset"))
-    ends = totals.groupBy("_stream").agg(F.sum("_total").alias("_all"))
+    order = Window.partitionBy("stream", "shard").orderBy("h", "row.doc_id", "bytes", F.md5(F.coalesce("row.text", F.lit(""))))
+    totals = rows.groupBy("stream", "shard").agg(F.sum("bytes").alias("total"))
+    before = totals.select("stream", "shard", (F.sum("total").over(Window.partitionBy("stream").orderBy("shard")) - F.col("total")).alias("offset"))
+    ends = totals.groupBy("stream").agg(F.sum("total").alias("all"))
     # the first slot after which some stream with a weight has nothing left
-    spent = ends.join(F.broadcast(spark.createDataFrame(list(weights.items()), "_stream string, _w long")), "_stream").where("_w > 0").agg(F.min(F.floor(F.col("_all") / F.lit(block_bytes)) / F.col("_w") * period).alias("_spent"))
-    within = rows.withColumn("_from", F.sum("_bytes").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("_bytes"))
-    placed = within.join(F.broadcast(before), ["_stream", "_shard"]).withColumn("_place", F.col("_from") + F.col("_offset"))
-    placed = placed.withColumn("_block", F.floor(F.col("_place") / F.lit(block_bytes)).cast("long"))
-    w = F.element_at(F.create_map(*[x for s, v in weights.items() for x in (F.lit(s), F.lit(max(v, 1)).cast("long"))]), F.col("_stream"))
-    placed = placed.withColumn("_s", F.col("_stream")).withColumn("_w", w).withColumn("_j", F.pmod("_block", "_w")).withColumn("_cycle", F.floor(F.col("_block") / F.col("_w")).cast("long"))
-    out = placed.join(plan, ["_s", "_j"], "left").crossJoin(F.broadcast(spent))
-    shift = F.col("_cycle") * period
+    spent = ends.join(F.broadcast(spark.createDataFrame(list(weights.items()), "stream string, w long")), "stream").where("w > 0").agg(F.min(F.floor(F.col("all") / F.lit(block_bytes)) / F.col("w") * period).alias("spent"))
+    within = rows.withColumn("from", F.sum("bytes").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("bytes"))
+    placed = within.join(F.broadcast(before), ["stream", "shard"]).withColumn("place", F.col("from") + F.col("offset"))
+    placed = placed.withColumn("block", F.floor(F.col("place") / F.lit(block_bytes)).cast("long"))
+    w = F.element_at(F.create_map(*[x for s, v in weights.items() for x in (F.lit(s), F.lit(max(v, 1)).cast("long"))]), F.col("stream"))
+    placed = placed.withColumn("s", F.col("stream")).withColumn("w", w).withColumn("j", F.pmod("block", "w")).withColumn("cycle", F.floor(F.col("block") / F.col("w")).cast("long"))
+    out = placed.join(plan, ["s", "j"], "left").crossJoin(F.broadcast(spent))
+    shift = F.col("cycle") * period
     # a stream of weight 0 has no slots: it follows after all others
-    return out.select(
-        *[F.col(c) for c in docs.columns],
-        F.col("_stream"),
-        F.col("_block"),
-        (F.col("_t") + shift).alias("_slot"),
-        (F.col("_r") + shift).alias("_release"),
-        (F.col("_d") + shift).alias("_deadline"),
-        F.col("_place"),
-        (F.coalesce(F.col("_t") + shift, F.lit(1 << 62)) < F.coalesce("_spent", F.lit(0.0))).alias("_balanced"),
-    )
+    added = [F.col("stream"), F.col("block"), F.col("t") + shift, F.col("r") + shift, F.col("d") + shift, F.col("place"), F.coalesce(F.col("t") + shift, F.lit(1 << 62)) < F.coalesce("spent", F.lit(0.0))]
+    return out.select(*[F.col(f"row.`{c}`").alias(c) for c in fields], *[c.alias(n) for c, n in zip(added, ADDED, strict=True)])
 
 
 def scheduled(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes: int = 1 << 20) -> DataFrame:
     """The rows of docs with slot and place, sorted by them; as columns, the order survives files that are read in any order.
 
-    Streams of weight 0 have the slot LAST.
+    Streams of weight 0 have the slot LAST. Columns of docs named slot or place are replaced.
     """
-    out = mixed(docs, weights, rest, block_bytes).select(*docs.columns, F.coalesce("_slot", F.lit(LAST)).alias("slot"), F.col("_place").alias("place"))
+    own = [F.col(f"`{c}`") for c in docs.columns if c not in ("slot", "place", *ADDED)]
+    out = mixed(docs, weights, rest, block_bytes).select(*own, F.coalesce("_slot", F.lit(LAST)).alias("slot"), F.col("_place").alias("place"))
     return out.repartitionByRange("slot", "place").sortWithinPartitions("slot", "place")
 
 

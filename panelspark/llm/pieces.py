@@ -20,6 +20,7 @@ of any length take memory in proportion to themselves. Repeated rows give repeat
 from __future__ import annotations
 
 import re
+from functools import cached_property
 from heapq import heapify, heappop, heappush
 
 import numpy as np
@@ -30,14 +31,14 @@ from pyspark.sql import functions as F
 from .common import shipped, texts
 
 MARK = "▁"
-CACHE = 400_000
+CACHE = 200_000
 SHORT = 40
+PIECE = 1 << 20
 NEVER = float("inf")
 
 
 class PieceCodec:
     def __init__(self, path: str):
-        import ahocorasick
         from sentencepiece import sentencepiece_model_pb2 as pb
 
         model = pb.ModelProto()
@@ -52,10 +53,7 @@ class PieceCodec:
         self.byte_of = {i: b for b, i in self.byte_ids.items()}
         self.unknown = next(i for i, p in enumerate(model.pieces) if p.type == 2)
         self.worst = min(s for _, _, s in normal) - 10.0
-        self.automaton = ahocorasick.Automaton()
-        for i, piece, score in normal:
-            self.automaton.add_word(piece, (len(piece), score, i))
-        self.automaton.make_automaton()
+        self.normal = normal
         kind = model.trainer_spec.model_type
         if kind not in (1, 2) or any(p.type in (4, 5) for p in model.pieces):
             raise ValueError("only models of scores or merges without user-defined or unused pieces are supported")
@@ -68,6 +66,17 @@ class PieceCodec:
         self.unit = re.compile((f"[{alone}]+|{MARK}*[^{MARK}{alone}]+|{MARK}+" if alone else f"{MARK}*[^{MARK}]+|{MARK}+") if decomposes else r"[\s\S]+")
         self.cache: dict[str, bytes] = {}
 
+    @cached_property
+    def automaton(self):
+        """Over all pieces; only the search by scores needs it."""
+        import ahocorasick
+
+        out = ahocorasick.Automaton()
+        for i, piece, score in self.normal:
+            out.add_word(piece, (len(piece), score, i))
+        out.make_automaton()
+        return out
+
     def best(self, unit: str) -> list[int]:
         """The ids of the segmentation with the greatest score."""
         n = len(unit)
@@ -143,18 +152,34 @@ class PieceCodec:
     def encode(self, text: str) -> np.ndarray:
         if not text:
             return np.zeros(0, np.int32)
-        units = self.unit.findall(self.prefix + text.replace(" ", MARK))
+        text = self.prefix + text.replace(" ", MARK)
+        if len(text) <= PIECE:
+            return np.frombuffer(self.joined(self.unit.findall(text)), np.int32)
+        parts, units = [], []
+        for m in self.unit.finditer(text):  # a long text's units are never held all at once
+            units.append(m.group())
+            if len(units) >= PIECE // 8:
+                parts.append(self.joined(units))
+                units = []
+        return np.frombuffer(b"".join([*parts, self.joined(units)]), np.int32)
+
+    def joined(self, units: list[str]) -> bytes:
+        """The ids of units, from the cache or searched. Long units are searched and not kept."""
         cache = self.cache
         found = list(map(cache.get, units))
         if None in found:
-            new = {u for u, f in zip(units, found, strict=True) if f is None}
-            if len(cache) + len(new) > CACHE:
+            if len(cache) + len(units) > CACHE:
                 cache.clear()
-                new = set(units)
-            for u in new:
-                cache[u] = np.array(self.search(u), np.int32).tobytes()
-            found = [cache[u] for u in units]
-        return np.frombuffer(b"".join(found), np.int32)
+                found = [None] * len(units)
+            for k, u in enumerate(units):
+                if found[k] is None:
+                    got = cache.get(u)
+                    if got is None:
+                        got = np.array(self.search(u), np.int32).tobytes()
+                        if len(u) <= 4 * SHORT:
+                            cache[u] = got
+                    found[k] = got
+        return b"".join(found)
 
     def decode(self, ids) -> str:
         ids = list(ids)
@@ -209,7 +234,9 @@ def decoded(batches, path: str):
 
 
 def encode(docs: DataFrame, model_path: str, check: bool = True, keep: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, n_pieces, ids and round_trip (decoding gave back the text) of each row of docs(doc_id, text), and the columns of `keep`. Narrow."""
+    """doc_id, n_pieces, ids and round_trip of each row of docs(doc_id, text), and the columns of `keep`. Narrow.
+
+    round_trip: decoding gave back the text, a literal word mark as a space (such a mark cannot come back)."""
     rows = docs.select("doc_id", "text", *keep)
     kept = "".join(f", `{c}` {rows.schema[c].dataType.simpleString()}" for c in keep)
     return rows.mapInArrow(shipped("panelspark.llm.pieces", "encoded", model_path, check), f"doc_id long, n_pieces long, ids array<int>, round_trip boolean{kept}")

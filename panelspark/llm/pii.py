@@ -40,7 +40,6 @@ NEEDS = {"email": "@", "ip": ".", "phone": "+"}
 REACH = 40
 
 _SPAN = "array<struct<kind: string, start: int, end: int, score: double>>"
-_FOUND = "struct<at: int, out: array<struct<start: int, end: int, hit: string, near: string>>>"
 
 
 def _digits(hit: Column) -> Column:
@@ -82,38 +81,54 @@ def _valid(kind: str, hit: Column) -> Column:
     return F.lit(True)
 
 
-def _places(kind: str, text: Column, hits: Column) -> Column:
-    """Start, end, content and what stands just before, of all matches of a kind."""
-    pieces = F.split(text, PATTERNS[kind], -1)
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start: int, end: int, hit: string, near: string>>").alias("out")).cast(_FOUND)
+def _running(sizes: Column, block: int = 256) -> Column:
+    """The sum of all sizes before each one. Blocks are summed first, so that no long array is copied once an element."""
+    acc = "struct<at: int, out: array<int>>"
 
-    def step(a: Column, x: Column) -> Column:
-        begin = (a["at"] + F.length(x["piece"])).cast("int")
-        end = (begin + F.length(x["hit"])).cast("int")
-        one = F.struct(begin.alias("start"), end.alias("end"), x["hit"].alias("hit"), F.lower(F.right(x["piece"], F.lit(REACH))).alias("near"))
-        return F.struct(end.alias("at"), F.concat(a["out"], F.array(one)).alias("out")).cast(_FOUND)
+    def before(part: Column, start: Column) -> Column:
+        first = F.struct(start.cast("int").alias("at"), F.array().cast("array<int>").alias("out")).cast(acc)
+        return F.aggregate(part, first, lambda a, x: F.struct((a["at"] + x).cast("int").alias("at"), F.concat(a["out"], F.array(a["at"])).alias("out")).cast(acc))["out"]
 
-    pairs = F.zip_with(F.slice(pieces, 1, F.size(hits)), hits, lambda p, h: F.struct(p.alias("piece"), h.alias("hit")))
-    return F.when(F.size(hits) > 0, F.aggregate(pairs, start, step)["out"]).otherwise(F.array().cast("array<struct<start: int, end: int, hit: string, near: string>>"))
+    parts = F.transform(F.sequence(F.lit(0), F.floor((F.size(sizes) - 1) / block).cast("int")), lambda k: F.slice(sizes, k * block + 1, F.lit(block)))
+    totals = F.transform(parts, lambda p: F.aggregate(p, F.lit(0), lambda a, x: (a + x).cast("int")))
+    many = F.flatten(F.zip_with(parts, before(totals, F.lit(0)), before))
+    return F.when(F.size(sizes) <= block, before(sizes, F.lit(0))).otherwise(many)
 
 
-def with_spans(docs: DataFrame) -> DataFrame:
-    """docs with `_pii`: an array of (kind, start, end, score) by kind, then start; code points, end exclusive."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    found = docs.withColumn("_t", text)
+def _found(rows: DataFrame, kind: str, text: str, hits: str, name: str) -> DataFrame:
+    """rows with `name`: start, end, content and what stands just before, of all matches of a kind."""
+    none = "array<struct<start: int, end: int, hit: string, near: string>>"
+    pieces = F.zip_with(F.slice(F.split(text, PATTERNS[kind], -1), 1, F.size(hits)), F.col(hits), lambda p, h: F.struct(F.length(p).alias("gap"), F.length(h).alias("size"), h.alias("hit"), F.lower(F.right(p, F.lit(REACH))).alias("near")))
+    rows = rows.withColumn(name, F.when(F.size(hits) > 0, pieces))
+    rows = rows.withColumn(f"{name}_from", F.when(F.size(hits) > 0, _running(F.transform(name, lambda m: m["gap"] + m["size"]))))
+    placed = F.zip_with(name, f"{name}_from", lambda m, at: F.struct((at + m["gap"]).alias("start"), (at + m["gap"] + m["size"]).alias("end"), m["hit"].alias("hit"), m["near"].alias("near")))
+    return rows.withColumn(name, F.coalesce(placed.cast(none), F.array().cast(none)))
+
+
+def _spanned(docs: DataFrame) -> DataFrame:
+    """(row, text, spans): all columns of docs as one struct, so that their names clash with nothing here."""
+    found = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
+    hits = {}
     for kind, pattern in PATTERNS.items():
-        hits = F.regexp_extract_all("_t", F.lit(pattern), F.lit(0))
+        hits[kind] = F.regexp_extract_all("text", F.lit(pattern), F.lit(0))
         if kind in NEEDS:
-            hits = F.when(F.instr("_t", NEEDS[kind]) > 0, hits).otherwise(F.array().cast("array<string>"))
-        found = found.withColumn(f"_hits_{kind}", hits)
-    found = found.withColumns({f"_at_{k}": _places(k, F.col("_t"), F.col(f"_hits_{k}")) for k in PATTERNS})
+            hits[kind] = F.when(F.instr("text", NEEDS[kind]) > 0, hits[kind]).otherwise(F.array().cast("array<string>"))
+    found = found.withColumns({f"hits_{k}": c for k, c in hits.items()})
+    for kind in PATTERNS:
+        found = _found(found, kind, "text", f"hits_{kind}", f"at_{kind}")
 
     def spans(kind: str) -> Column:
-        sound = F.filter(F.col(f"_at_{kind}"), lambda x: _valid(kind, x["hit"]))
+        sound = F.filter(F.col(f"at_{kind}"), lambda x: _valid(kind, x["hit"]))
         raised = F.least(F.lit(1.0), F.lit(SCORE[kind]) + F.lit(0.2))
         return F.transform(sound, lambda x: F.struct(F.lit(kind).alias("kind"), x["start"].alias("start"), x["end"].alias("end"), F.when(x["near"].rlike(CONTEXT[kind]), raised).otherwise(F.lit(SCORE[kind])).alias("score"))).cast(_SPAN)
 
-    return found.withColumn("_pii", F.concat(*[spans(k) for k in PATTERNS])).select(*docs.columns, "_pii")
+    return found.select("row", "text", F.concat(*[spans(k) for k in PATTERNS]).alias("spans"))
+
+
+def with_spans(docs: DataFrame) -> DataFrame:
+    """docs with `_pii`: an array of (kind, start, end, score) by kind, then start; code points, end exclusive. A column of
+    docs of that name is replaced; others may have any name."""
+    return _spanned(docs).select(*[F.col(f"row.`{c}`").alias(c) for c in docs.columns if c != "_pii"], F.col("spans").alias("_pii"))
 
 
 def _joined(spans: Column) -> Column:
@@ -138,25 +153,38 @@ def digest(docs: DataFrame) -> DataFrame:
 
 
 def redacted(docs: DataFrame, least: float = 0.0) -> DataFrame:
-    """docs with each span of at least that score replaced by its kind in angle brackets; n_chars follows the text."""
-    rows = with_spans(docs)
-    wanted = F.array_sort(F.transform(F.filter("_pii", lambda s: s["score"] >= least), lambda s: F.struct(s["start"].alias("start"), (-s["end"]).alias("back"), s["kind"].alias("kind"))))
-    acc = "struct<at: int, parts: array<string>>"
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("parts")).cast(acc)
-
-    def step(a: Column, s: Column) -> Column:
-        end = -s["back"]
-        fresh = F.concat(a["parts"], F.array(F.substring(F.col("text"), a["at"] + 1, s["start"] - a["at"]), F.concat(F.lit("<"), s["kind"], F.lit(">"))))
-        # a span that begins inside the one before adds nothing but its end
-        return F.struct(F.greatest(a["at"], end).cast("int").alias("at"), F.when(s["start"] >= a["at"], fresh).otherwise(a["parts"]).alias("parts")).cast(acc)
-
-    done = F.aggregate(F.col("_wanted"), start, step)
-    rows = rows.withColumn("_wanted", wanted).withColumn("_done", F.when(F.size("_wanted") > 0, done))
-    rest = F.substring(F.col("text"), F.col("_done")["at"] + 1, F.length("text"))
-    rows = rows.withColumn("text", F.when(F.col("_done").isNull(), F.col("text")).otherwise(F.concat(F.concat_ws("", F.col("_done")["parts"]), rest)))
+    """docs with each span of at least that score replaced by its kind in angle brackets; n_chars follows the text.
+
+    Overlapping spans become one cut, under the kind of the first (at one start, of the longest). The text is cut once: the
+    pieces between the cuts are found by running sums, each from its own place.
+    """
+    rows = _spanned(docs)
+    wanted = F.array_sort(F.transform(F.filter("spans", lambda s: s["score"] >= least), lambda s: F.struct(s["start"].alias("start"), (-s["end"]).alias("back"), s["kind"].alias("kind"))))
+    rows = rows.withColumn("wanted", wanted).withColumn("reach", F.when(F.size("wanted") > 0, _reached("wanted")))
+    # a span that begins inside what the ones before it reach is no cut of its own
+    marked = F.zip_with("wanted", "reach", lambda s, r: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), r.alias("before")))
+    rows = rows.withColumn("cuts", F.filter(marked, lambda m: m["start"] >= m["before"]))
+    whole = F.struct(F.length("text").alias("start"), F.lit("").alias("kind"), F.array_max(F.transform("wanted", lambda s: -s["back"])).alias("before"))
+    pieces = F.transform(F.concat(F.col("cuts"), F.array(whole)), lambda m: F.concat(F.substring("text", m["before"] + 1, m["start"] - m["before"]), F.when(m["kind"] == "", "").otherwise(F.concat(F.lit("<"), m["kind"], F.lit(">")))))
+    rows = rows.withColumn("done", F.when(F.col("reach").isNotNull(), F.array_join(pieces, "")))
+    out = {"text": F.coalesce("done", "row.text")}
     if "n_chars" in docs.columns:
-        rows = rows.withColumn("n_chars", F.when(F.col("_done").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
-    return rows.select(*docs.columns)
+        out["n_chars"] = F.when(F.col("done").isNull(), F.col("row.n_chars")).otherwise(F.length("done").cast(docs.schema["n_chars"].dataType))
+    return rows.select(*[out.get(c, F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
+
+
+def _reached(spans: str, block: int = 256) -> Column:
+    """Of spans in order of start: the largest end of those before each one; by blocks, as in _running."""
+    acc = "struct<at: int, out: array<int>>"
+
+    def before(part: Column, start: Column) -> Column:
+        first = F.struct(start.cast("int").alias("at"), F.array().cast("array<int>").alias("out")).cast(acc)
+        return F.aggregate(part, first, lambda a, x: F.struct(F.greatest(a["at"], x).cast("int").alias("at"), F.concat(a["out"], F.array(a["at"])).alias("out")).cast(acc))["out"]
+
+    ends = F.transform(spans, lambda s: (-s["back"]).cast("int"))
+    parts = F.transform(F.sequence(F.lit(0), F.floor((F.size(spans) - 1) / block).cast("int")), lambda k: F.slice(ends, k * block + 1, F.lit(block)))
+    many = F.flatten(F.zip_with(parts, before(F.transform(parts, F.array_max), F.lit(0)), before))
+    return F.when(F.size(spans) <= block, before(ends, F.lit(0))).otherwise(many)
 
 
 _PLAIN = {

@@ -4,8 +4,9 @@ Features are the hashed words, word pairs and skip-pairs (one word between) of t
 reads a bounded sample of labelled rows (`sample_rows`, those with the smallest hash of doc_id) in a fixed order, and
 the few weights that L1 leaves are broadcast to score every row.
 
-Empty and null texts score as the bias alone. A table without labels gives every row the score 0. Repeated
-labels of a document count as repeated rows. Results depend on the text only, so ties cannot arise.
+Empty and null texts score as the bias alone. A table without labels gives every row the score 0. Repeated equal
+labels of a document count once, and of documents with one id the smallest text counts, so that the driver never holds
+more than sample_rows rows. Results depend on the text only, so ties cannot arise.
 """
 
 from __future__ import annotations
@@ -104,8 +105,8 @@ def scored(batches, model: dict, threshold: float):
 
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = 12_000) -> dict:
     """The model from at most sample_rows labelled documents."""
-    wanted = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id", F.col("toxic").cast("int").alias("label")).orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(sample_rows)
-    rows = docs.select("doc_id", "text").join(F.broadcast(wanted), "doc_id").select("doc_id", "label", "text")
+    wanted = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id", F.col("toxic").cast("int").alias("label")).distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(sample_rows)
+    rows = docs.select("doc_id", "text").join(F.broadcast(wanted), "doc_id").groupBy("doc_id", "label").agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))
     got = rows.mapInArrow(shipped("panelspark.llm.toxicity", "featured"), "doc_id long, label int, features array<int>").toArrow().sort_by([("doc_id", "ascending"), ("label", "ascending")])
     return fit([(l, np.asarray(f.values)) for l, f in zip(got.column(1).to_pylist(), got.column(2), strict=True)])
 

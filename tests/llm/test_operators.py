@@ -6,7 +6,7 @@ import brute
 import pytest
 from pyspark.sql import functions as F
 
-from panelspark.llm import components, jaccard, media, mixing, neighbours, pieces, pii, queries, repeats, token_counts
+from panelspark.llm import components, jaccard, language, media, mixing, neighbours, pieces, pii, queries, repeats, token_counts, toxicity
 
 PASSAGE = "a long passage that many of the documents share with each other, word for word and byte for byte"
 BASE = " ".join(f"word{k}" for k in range(60))
@@ -97,6 +97,19 @@ def test_personal_data(spark):
     assert pii.digest(rows.limit(0)).count() == 0
 
 
+def test_personal_data_in_many_places_and_beside_clashing_columns(spark):
+    names = ["doc_id", "text", "n_chars", "row", "spans", "wanted", "reach", "cuts", "done", "hits_ip", "at_ip", "_t"]
+    many = " and ".join(f"a{k}@b.org +4930{k:06d} 10.0.{k % 256}.1 ip" for k in range(700))
+    texts = [many, "x" * 300 + many, None, "", "to 1.2.3.4@h.org +1 2.3.4.5678 9"]
+    rows = spark.createDataFrame([(k, t, len(t or ""), *["keep"] * 9) for k, t in enumerate(texts)], "doc_id long, text string, n_chars long, " + ", ".join(f"`{n}` string" for n in names[3:]))
+    for r in pii.digest(rows).collect():
+        assert [s for s in r["spans"].split(",") if s] == brute.base_spans(texts[r["doc_id"]])
+    out = {r["doc_id"]: r for r in pii.redacted(rows).collect()}
+    for k, t in enumerate(texts):
+        assert out[k]["text"] == brute.redacted(t) and out[k]["n_chars"] == len(out[k]["text"] or "") and all(out[k][n] == "keep" for n in names[3:])
+    assert pii.with_spans(rows).columns == [*names, "_pii"] and pii.redacted(rows.limit(0)).columns == names
+
+
 def test_token_counts_and_pieces(spark, docs):
     import sentencepiece
 
@@ -146,6 +159,60 @@ def test_media_columns(spark, docs):
     assert out[1]["media_type"] == "wav" and not out[1]["declared_ok"] and out[2]["declared_ok"] and out[3]["media_type"] == "unknown"
 
 
+def test_media_are_carved_with_their_bytes(spark):
+    gif = b"GIF89a\x01\x00\x01\x00\x00\x00\x00,\x00\x00\x00\x00\x01\x00\x01\x00\x00\x02\x02D\x01\x00;"
+    wave = media.stored(b"\x80" * 10)
+    values = [b"ab" + gif + b"cd" + wave + gif, gif, None, b"", wave + gif, gif]
+    rows = spark.createDataFrame([(k, None if v is None else bytearray(v), "extra") for k, v in enumerate(values)], "id long, body binary, content string")
+    got = sorted((r["id"], r["number"], r["media_type"], bytes(r["content"])) for r in media.carved(rows, "id", "body").collect())
+    assert got == [(0, 0, "gif", gif), (0, 1, "wav", wave), (0, 2, "gif", gif), (4, 0, "gif", gif)]
+    assert media.carved(rows.limit(0), "id", "body").count() == 0 and media.corrected(rows.limit(0), "id", "content", "body").count() == 0
+
+
+def test_media_digests_equal_plain_ones(spark, docs):
+    want = sorted(brute.media_digest(i, t) for i, t in pairs())
+    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256"]
+    got = sorted(tuple(r[n] for n in names) + (r["feature"].rpartition("/in=")[0],) for r in media.text_media(docs).collect())
+    assert got == want
+    assert media.text_media(docs.limit(0)).count() == 0
+
+
+def test_language_and_toxicity_of_odd_tables(spark):
+    rows = [(k, f"the house and the garden of number {k}", "en", "src") for k in range(30)] + [(100 + k, f"der garten und das haus mit nummer {k}", "de", None) for k in range(30)]
+    rows += [(7, "the house", "en", "x")] * 40 + [(None, "the same", "en", "x"), (500, None, "en", "x"), (501, "", None, "x"), (502, "12 34", "de", "x")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, lang string, h string").withColumn("bound", F.lit(1)).withColumn("r", F.lit(2))
+    sample = language.training_sample(frame, 20).collect()
+    assert len(sample) == len({(r["doc_id"], r["lang"]) for r in sample}) <= 40 and all(r["doc_id"] is not None and r["text"] is not None for r in sample)
+    out = language.predict(frame, language.train(frame, 20)).collect()
+    assert len(out) == len(rows) and {r["lang_pred"] for r in out if r["doc_id"] in (500, 501, 502)} == {"und"}
+    assert all(r["lang_pred"] == ("en" if r["doc_id"] < 100 else "de") for r in out if r["doc_id"] is not None and r["doc_id"] < 200)
+    assert {r["lang_pred"] for r in language.predict(frame, language.train(frame.limit(0), 20)).collect()} == {"und"}
+    labels = spark.createDataFrame([(k, int(k >= 100), 1) for k in [*range(30), *range(100, 130)]] + [(7, 0, 1)] * 50 + [(None, 1, 1), (9, None, 1)], "doc_id long, toxic int, quality int")
+    model = toxicity.train(frame, labels)
+    score = {(r["doc_id"], r["text"]): r for r in toxicity.score(frame, model).join(frame, "doc_id", "left").collect()}
+    assert len(toxicity.score(frame, model).collect()) == len(rows) and all(0 <= r["score"] <= 1 for r in score.values())
+    assert toxicity.kept(frame, model).columns == frame.columns and toxicity.kept(frame.limit(0), model).count() == 0
+    assert toxicity.kept(frame, toxicity.train(frame, labels.limit(0))).count() == len(rows)
+
+
+def test_mixing_beside_clashing_columns(spark):
+    rows = [(k, f"text {k}" * (k % 5), ["a", "b", None][k % 3], "keep", 1.5) for k in range(200)] + [(3, "again", "a", "keep", 1.5)] * 3 + [(None, None, "b", "keep", 1.5)]
+    plain = spark.createDataFrame([r[:3] for r in rows], "doc_id long, text string, source string")
+    clash = spark.createDataFrame(rows, "doc_id long, text string, source string, stream string, place double").withColumn("_h", F.lit(0)).withColumn("bytes", F.lit(0)).withColumn("row", F.lit("r"))
+    order = lambda f: [(r["doc_id"], r["slot"], r["text"]) for r in f.orderBy("slot", "doc_id", "text").collect()]
+    out = mixing.scheduled(clash, {"a": 2, "b": 1}, 1, 64)
+    assert order(out) == order(mixing.scheduled(plain, {"a": 2, "b": 1}, 1, 64)) and {r["stream"] for r in out.collect()} == {"keep"} and len(out.collect()) == len(rows)
+
+
+def test_pipeline_of_an_empty_table(spark, data):
+    import corpus_pipeline
+
+    empty = spark.read.parquet(f"{data}/documents.parquet").limit(0)
+    for _, stage in corpus_pipeline.STAGES:
+        empty = stage(spark, empty, data)
+        assert empty.count() == 0
+
+
 def test_pipeline(spark, data):
     import corpus_pipeline
 
