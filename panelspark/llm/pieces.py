@@ -28,10 +28,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shipped, texts
+from .common import byte_view, shipped, slices, texts
 
 MARK = "▁"
-CACHE = 200_000
+CACHE = 100_000
 SHORT = 40
 PIECE = 1 << 20
 NEVER = float("inf")
@@ -211,19 +211,23 @@ def codec(path: str) -> PieceCodec:
     return _CODECS[path]
 
 
-def encoded(batches, path: str, check: bool):
+def encoded(batches, path: str, check: bool, most: int = 1 << 21):
+    """Batches come back in slices of some megabytes of text, so that ids of a whole batch are never held."""
     c = codec(path)
-    for batch in batches:
-        ids, same = [], []
-        for t in texts(batch.column(1)):
-            found = c.encode(t)
-            ids.append(found)
-            same.append(c.decode(found.tolist()) == t.replace(MARK, " ") if check else None)
-        sizes = np.cumsum([0, *map(len, ids)]).astype(np.int32)
-        flat = pa.array(np.concatenate(ids) if ids else np.zeros(0, np.int32), pa.int32())
-        kept = range(2, batch.num_columns)
-        columns = [batch.column(0), pa.array(np.diff(sizes).astype(np.int64)), pa.ListArray.from_arrays(pa.array(sizes), flat), pa.array(same, pa.bool_()), *(batch.column(k) for k in kept)]
-        yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n_pieces", "ids", "round_trip", *(batch.schema.names[k] for k in kept)])
+    for whole in batches:
+        _, off = byte_view(whole.column(1))
+        for i, j in slices(off, most):
+            batch = whole.slice(i, j - i)
+            ids, same = [], []
+            for t in texts(batch.column(1)):
+                found = c.encode(t)
+                ids.append(found)
+                same.append(c.decode(found.tolist()) == t.replace(MARK, " ") if check else None)
+            sizes = np.cumsum([0, *map(len, ids)]).astype(np.int32)
+            flat = pa.array(np.concatenate(ids), pa.int32())
+            kept = range(2, batch.num_columns)
+            columns = [batch.column(0), pa.array(np.diff(sizes).astype(np.int64)), pa.ListArray.from_arrays(pa.array(sizes), flat), pa.array(same, pa.bool_()), *(batch.column(k) for k in kept)]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n_pieces", "ids", "round_trip", *(batch.schema.names[k] for k in kept)])
 
 
 def decoded(batches, path: str):

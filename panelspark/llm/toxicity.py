@@ -121,8 +121,11 @@ def kept(docs: DataFrame, model: dict, threshold: float = 0.3) -> DataFrame:
     return docs.mapInArrow(shipped("panelspark.llm.toxicity", "passed", model, threshold, docs.columns.index("text")), docs.schema)
 
 
-def passed(batches, model: dict, threshold: float, at: int):
-    for batch in batches:
-        one = pa.RecordBatch.from_arrays([pa.array(np.arange(batch.num_rows)), batch.column(at)], ["doc_id", "text"])
-        for result in scored([one], model, threshold):
-            yield batch.filter(pa.array(np.asarray(result.column(2)) == 0))
+def passed(batches, model: dict, threshold: float, at: int, most: int = 1 << 22):
+    for whole in batches:
+        _, off = byte_view(whole.column(at))
+        for i, j in slices(off, most):
+            batch = whole.slice(i, j - i)
+            one = pa.RecordBatch.from_arrays([pa.array(np.arange(batch.num_rows)), batch.column(at)], ["doc_id", "text"])
+            for result in scored([one], model, threshold):
+                yield batch.filter(pa.array(np.asarray(result.column(2)) == 0))
