@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("mesh", "packing", "trees", "problems", "streams", "relational")
+MODULES = ("mesh", "packing", "trees", "compression", "problems", "streams", "relational")
 
 
 def _all(what: str) -> dict:

@@ -37,6 +37,7 @@ class EngineConfig:
     symmetric: bool = True
     max_pairs: int = 50_000_000
     broadcast_rows: int = 1_000_000
+    band: int = 6
 
     def __post_init__(self):
         if self.norm not in ("max", "l2"):

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..config import BASIC, QuadSpec
 from . import quadrature
 from .classify import aligned, touching
-from .kernels import KernelSpec
+from .kernels import FOUR_PI, KernelSpec
 
 GEOMETRY = ["v0", "v1", "v2", "ax", "ay", "az", "bx", "by", "bz", "cx", "cy", "cz", "gram", "nx", "ny", "nz"]
 ENTRY = "i long, j long, re double, im double"
@@ -55,17 +55,39 @@ def entries(pairs: DataFrame, panels: DataFrame, kernel: KernelSpec, quad: QuadS
     return integrated(points, kernel).groupBy("i", "j").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
 
 
-def batch_values(a: np.ndarray, b: np.ndarray, normal: np.ndarray, scale: np.ndarray, case: int, n: int, kernel: KernelSpec, most: int = 1 << 20) -> np.ndarray:
-    """One rule over a batch of pairs. a, b: (pairs, 3 corners, 3); the work of every pair is the same."""
+def batch_values(a: np.ndarray, b: np.ndarray, normal: np.ndarray, scale: np.ndarray, case: int, n: int, kernel: KernelSpec, most: int = 1 << 16) -> np.ndarray:
+    """One rule over a batch of pairs. a, b: (pairs, 3 corners, 3); the work of every pair is the same. Works through slices
+    of about `most` points, which stay in the caches; a coordinate's differences are two small matrix products."""
     r = quadrature.rule(case, n)
-    wa = np.stack([1 - r[:, 0], r[:, 0] - r[:, 1], r[:, 1]], 1)
-    wb = np.stack([1 - r[:, 2], r[:, 2] - r[:, 3], r[:, 3]], 1)
+    wa = np.stack([1 - r[:, 0], r[:, 0] - r[:, 1], r[:, 1]])
+    wb = -np.stack([1 - r[:, 2], r[:, 2] - r[:, 3], r[:, 3]])
+    weights = r[:, 4] / FOUR_PI
     step = max(1, most // len(r))
-    out = []
+    out = np.zeros(len(a), complex if kernel.complex else float)
     for k in range(0, len(a), step):
-        d = np.einsum("qc,pcx->pqx", wa, a[k : k + step]) - np.einsum("qc,pcx->pqx", wb, b[k : k + step])
-        out.append(kernel.values(d, normal[k : k + step, None, :]) @ r[:, 4])
-    return np.concatenate(out) * scale if out else np.zeros(0)
+        part = slice(k, k + step)
+        d = [a[part, :, x] @ wa + b[part, :, x] @ wb for x in range(3)]
+        r2 = d[0] * d[0]
+        r2 += d[1] * d[1]
+        r2 += d[2] * d[2]
+        dist = np.sqrt(r2)
+        with np.errstate(divide="ignore", invalid="ignore"):
+            value = np.reciprocal(dist)
+            if kernel.layer == "dlp":
+                value /= r2
+                turn = d[0] * normal[part, 0:1]
+                turn += d[1] * normal[part, 1:2]
+                turn += d[2] * normal[part, 2:3]
+                value *= turn
+            if kernel.complex:
+                phase = kernel.kappa * dist
+                c, sn = np.cos(phase), np.sin(phase)
+                if kernel.layer == "dlp":
+                    c, sn = c + phase * sn, sn - phase * c
+                out[part] = (value * c) @ weights + 1j * ((value * sn) @ weights)
+            else:
+                out[part] = value @ weights
+    return out * scale
 
 
 def run_package(batches, kernel: KernelSpec, quad: QuadSpec):
@@ -123,23 +145,6 @@ def two_phase(panels: DataFrame, kernel: KernelSpec, quad: QuadSpec = BASIC, pai
     return both.select("i", "j", F.coalesce("re2", "re").alias("re"), F.coalesce("im2", "im").alias("im"))
 
 
-def blocks_two_phase(blocks: DataFrame, membership: DataFrame, panels: DataFrame, kernel: KernelSpec, quad: QuadSpec = BASIC) -> DataFrame:
-    """Two phases over blocks (bid, t, s): only index sets are joined, the pairs of a block are made inside the task.
-
-    Phase 2 looks only at blocks that hold a touching pair.
-    """
-    m = membership.select("node", "i")
-    pairs = blocks.join(m.withColumnRenamed("node", "t"), "t").join(m.select(F.col("node").alias("s"), F.col("i").alias("j")), "s").select("bid", "i", "j")
-    return two_phase(panels, kernel, quad, pairs.select("i", "j"))
-
-
-def touching_blocks(blocks: DataFrame, membership: DataFrame, panels: DataFrame) -> DataFrame:
-    """The blocks (bid, t, s) that hold at least one touching pair: a semi-join by the leaves of the pair."""
-    leaf = membership.select("node", "i")
-    near = touching(panels).join(leaf.withColumnRenamed("node", "t"), "i").join(leaf.select(F.col("node").alias("s"), F.col("i").alias("j")), "j").select("t", "s").distinct()
-    return blocks.join(near, ["t", "s"], "left_semi")
-
-
 def dense(panels: DataFrame, kernel: KernelSpec, quad: QuadSpec = BASIC, max_pairs: int = 50_000_000) -> DataFrame:
     """All N^2 entries, in the Arrow path."""
     return one_pass(panels, kernel, quad, None, max_pairs, arrow=True)

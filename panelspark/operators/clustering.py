@@ -2,51 +2,84 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-
-def _checkpoint(df: DataFrame) -> DataFrame:
-    """Cuts the lineage of a driver loop through the shared checkpoint folder."""
-    from ..plans.scratch import settled
-
-    return settled(df)
-
-
-def geometric_tree(points: DataFrame, leaf_size: int, max_level: int = 40) -> DataFrame:
+from ..plans.scratch import settled
+
+DEEPEST = 60
+FINISH = 1 << 16
+POINT = "i long, node long, level int"
+
+
+def _subtree(table: pa.Table, leaf_size: int) -> pa.Table:
+    """(i, node, level) of the points of one node, halved to the end by the rule of geometric_tree."""
+    x = np.stack([np.asarray(table.column(a)) for a in "xyz"], 1)
+    ids = np.asarray(table.column("i"))
+    stack = [(np.arange(len(x)), int(table.column("node")[0].as_py()), int(table.column("level")[0].as_py()))]
+    node, level = np.zeros(len(x), np.int64), np.zeros(len(x), np.int32)
+    while stack:
+        rows, n, k = stack.pop()
+        lo, hi = x[rows].min(0), x[rows].max(0)
+        wide = hi - lo
+        axis = 0 if wide[0] >= wide[1] and wide[0] >= wide[2] else 1 if wide[1] >= wide[2] else 2
+        if len(rows) <= leaf_size or wide.max() <= 0 or k >= DEEPEST:
+            node[rows], level[rows] = n, k
+            continue
+        left = x[rows, axis] <= (lo[axis] + hi[axis]) / 2
+        stack += [(rows[left], 2 * n, k + 1), (rows[~left], 2 * n + 1, k + 1)]
+    return pa.table({"i": pa.array(ids), "node": pa.array(node), "level": pa.array(level)})
+
+
+def geometric_tree(points: DataFrame, leaf_size: int, finish_rows: int = FINISH) -> DataFrame:
     """(i, node, level) of every point: boxes are halved at the middle of their longest axis while they hold too many.
 
-    One grouped aggregate a level; coordinates are compared after rounding to 12 digits, so symmetric meshes split alike
-    everywhere. Points that cannot be told apart end their branch.
+    Nodes of more than finish_rows points are halved by one grouped aggregate a level; as soon as a node is smaller, one
+    bounded task ends its whole subtree. Coordinates are compared after rounding to 12 digits, so symmetric meshes split
+    alike everywhere. Points that cannot be told apart, and nodes of level 60, end their branch.
     """
     rounded = [F.round(F.col(a), 12).alias(a) for a in "xyz"]
     now = points.select("i", *rounded, F.lit(1).cast("long").alias("node"), F.lit(0).alias("level"))
-    done = None
-    for level in range(max_level):
+    small, done = None, None
+
+    def more(all_, some):
+        return some if all_ is None else all_.unionByName(some)
+
+    for level in range(DEEPEST + 1):
         box = now.groupBy("node").agg(F.count("*").alias("n"), *[f(a).alias(f"{m}{a}") for a in "xyz" for m, f in (("lo", F.min), ("hi", F.max))])
         wide = {a: F.col(f"hi{a}") - F.col(f"lo{a}") for a in "xyz"}
+        box = settled(box.withColumn("wide", F.greatest(*wide.values())))
+        if box.where(F.col("n") > finish_rows).isEmpty():
+            small = more(small, now)
+            break
         axis = F.when((wide["x"] >= wide["y"]) & (wide["x"] >= wide["z"]), 0).when(wide["y"] >= wide["z"], 1).otherwise(2)
-        box = box.withColumn("axis", axis).withColumn("splits", (F.col("n") > leaf_size) & (F.greatest(*wide.values()) > 0))
         mid = F.when(F.col("axis") == 0, (F.col("lox") + F.col("hix")) / 2).when(F.col("axis") == 1, (F.col("loy") + F.col("hiy")) / 2).otherwise((F.col("loz") + F.col("hiz")) / 2)
-        box = box.select("node", "axis", "splits", mid.alias("mid"))
-        rows = _checkpoint(now.join(box, "node"))
-        ended = rows.where(~F.col("splits")).select("i", "node", F.lit(level).alias("level"))
-        done = ended if done is None else done.unionByName(ended)
+        splits = (F.col("n") > leaf_size) & (F.col("wide") > 0) & F.lit(level < DEEPEST)
+        fate = F.when(~splits, "ends").when(F.col("n") <= finish_rows, "small").otherwise("large")
+        box = box.withColumn("axis", axis).select("node", "axis", mid.alias("mid"), fate.alias("fate"))
+        rows = settled(now.join(box, "node"))
+        done = more(done, rows.where("fate = 'ends'").select("i", "node", "level"))
+        small = more(small, rows.where("fate = 'small'").select("i", "x", "y", "z", "node", "level"))
         value = F.when(F.col("axis") == 0, F.col("x")).when(F.col("axis") == 1, F.col("y")).otherwise(F.col("z"))
-        now = rows.where("splits").select("i", "x", "y", "z", (F.col("node") * 2 + F.when(value <= F.col("mid"), 0).otherwise(1)).alias("node"), F.lit(level + 1).alias("level"))
-        if now.isEmpty():
-            return done
-    raise RuntimeError("the tree is deeper than max_level")
+        now = rows.where("fate = 'large'").select("i", "x", "y", "z", (F.col("node") * 2 + F.when(value <= F.col("mid"), 0).otherwise(1)).alias("node"), F.lit(level + 1).alias("level"))
+    tree = small.groupBy("node").applyInArrow(lambda t: _subtree(t, leaf_size), POINT)
+    return tree if done is None else tree.unionByName(done)
 
 
 def median_tree(points: DataFrame, depth: int) -> DataFrame:
-    """(i, node, level): halves by count along axes x, y, z in turn; ties by id."""
+    """(i, node, level): halves by count along axes x, y, z in turn; ties by id. Ranks come from counted ranges, so no task
+    holds a whole node."""
+    from .geometry import numbered
+
     now = points.select("i", "x", "y", "z", F.lit(1).cast("long").alias("node"))
     for level in range(depth):
         axis = "xyz"[level % 3]
-        w = Window.partitionBy("node").orderBy(axis, "i")
-        size = now.groupBy("node").agg(F.count("*").alias("n"))
-        now = now.join(size, "node").withColumn("r", F.row_number().over(w)).select("i", "x", "y", "z", (F.col("node") * 2 + F.when(F.col("r") * 2 <= F.col("n") + 1, 0).otherwise(1)).alias("node"))
+        ranked = settled(numbered(now, ["node", axis, "i"]))
+        first = ranked.groupBy("node").agg(F.count("*").alias("n"), F.min("_row").alias("first"))
+        half = (F.col("_row") - F.col("first") + 1) * 2 <= F.col("n") + 1
+        now = ranked.join(first, "node").select("i", "x", "y", "z", (F.col("node") * 2 + F.when(half, 0).otherwise(1)).alias("node"))
     return now.select("i", "node", F.lit(depth).alias("level"))
 
 

@@ -85,3 +85,10 @@ def evaluate(targets: DataFrame, panels: DataFrame, density: DataFrame, kernel:
     re, im = kernel.columns(F.col("x") - F.col("yx"), F.col("y") - F.col("yy"), F.col("z") - F.col("yz"), F.col("nx"), F.col("ny"), F.col("nz"))
     rows = rows.select("tid", (F.col("w") * (re * F.col("d_re") - im * F.col("d_im"))).alias("re"), (F.col("w") * (re * F.col("d_im") + im * F.col("d_re"))).alias("im"))
     return rows.groupBy("tid").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
+
+
+def combined_field(targets: DataFrame, panels: DataFrame, density: DataFrame, kappa: float, eta: float = 1.0) -> DataFrame:
+    """(tid, re, im): the double layer potential minus i eta times the single layer potential of density(i, re, im)."""
+    double = evaluate(targets, panels, density, KernelSpec("dlp", kappa))
+    single = evaluate(targets, panels, density, KernelSpec("slp", kappa)).select("tid", F.col("re").alias("sr"), F.col("im").alias("si"))
+    return double.join(single, "tid").select("tid", (F.col("re") + eta * F.col("si")).alias("re"), (F.col("im") - eta * F.col("sr")).alias("im"))

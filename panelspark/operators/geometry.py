@@ -75,7 +75,7 @@ def cross(a, b):
 def with_metrics(panels: DataFrame) -> DataFrame:
     """Adds gram (twice the area), area, the unit normal, the centroid and the box.
 
-    Panels without area get a null normal; `sound` rejects them. No filter stands here: pushed below the steps of a
+    Panels without area get a null normal. No filter stands here: pushed below the steps of a
     generated mesh it would write all of them out into one huge condition.
     """
     p = {x: tuple(F.col(f"{x}{axis}") for axis in "xyz") for x in "abc"}
@@ -95,11 +95,6 @@ def with_metrics(panels: DataFrame) -> DataFrame:
     return out.withColumns(new).drop("_nx", "_ny", "_nz", *[f"_e{k}{a}" for k in (1, 2) for a in "xyz"])
 
 
-def sound(panels: DataFrame) -> DataFrame:
-    """Panels of an outside mesh that have an area."""
-    return panels.where("gram > 0")
-
-
 def carried_panels(spark: SparkSession, table: DataFrame, key: str, value: str, n: int) -> DataFrame:
     """The panels of refinement n, each with the value of the k-th row of the table by key as its density.
 
@@ -118,8 +113,14 @@ def folded_panels(spark: SparkSession, table: DataFrame, key: str, value: str, n
     return with_metrics(sphere_panels(spark, n)).join(rows, "pid", "left").withColumn("density", F.coalesce("density", F.lit(0.0)))
 
 
-def numbered(rows: DataFrame, order: list[str], parts: int = 16) -> DataFrame:
+def parts_for(rows: DataFrame, each: int = 250_000, most: int = 100_000) -> int:
+    """So many ranges that each holds about `each` rows (counted here)."""
+    return max(1, min(most, -(-rows.count() // each)))
+
+
+def numbered(rows: DataFrame, order: list[str], parts: int | None = None) -> DataFrame:
     """Adds `_row` (from 0) in the given order, by counting ranges first: two shuffles of the keys, no global sort task."""
+    parts = parts or parts_for(rows)
     spread = rows.repartitionByRange(parts, *order).withColumn("_part", F.spark_partition_id())
     counts = spread.groupBy("_part").agg(F.count("*").alias("_n"))
     before = counts.withColumn("_before", F.sum("_n").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1))).select("_part", F.coalesce("_before", F.lit(0)).alias("_before"))

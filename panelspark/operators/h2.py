@@ -1,31 +1,35 @@
 """Compression with nested bases: pivots by cluster, couplings between pivots, a near field, and the product with a vector.
 
-Rows of members carry their geometry (`geo`: 13 numbers for a panel, 3 for a point), so a task needs nothing
-but its own cluster. Groups are bounded: a leaf by the leaf size, an inner cluster by the ranks of its sons.
+The tree is cut into bands of `band` levels. The part of a band below one cluster is a task of bounded size: its leaves have at
+most the leaf size of members, its inner clusters the pivots of their sons. So bases, and both sweeps of a product, take one
+step for each band, not one for each level.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import time
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import EngineConfig
-from . import cross, green
-from .assembly import batch_values
-from .classify import touching
-from .clustering import _checkpoint
+from ..plans.scratch import discard, settled
+from . import cross, fill, green
 from .kernels import KernelSpec
 
-BASIS = "node long, level int, son long, i long, place int, coef array<double>, geo array<double>"
+BASIS = "top long, node long, level int, son long, i long, place int, coef array<double>, geo array<double>, v array<long>"
+BOX = [f"{m}{a}" for m in ("lo", "hi") for a in "xyz"]
 
 
 @dataclass
 class H2:
-    """basis rows (node, level, son, i, place, coef): place is the pivot number or -1; far and near entries."""
+    """basis rows (top, node, level, son, i, place, coef): place is the pivot number or -1; far and near entries by block.
+
+    symmetric: a block (t, s) with t <> s stands for (s, t) as well. seconds: of the steps of the set-up."""
 
     row_basis: DataFrame
     col_basis: DataFrame
@@ -33,219 +37,359 @@ class H2:
     nearfield: DataFrame
     blocks: DataFrame
     depth: int
+    band: int = 6
+    symmetric: bool = False
+    seconds: dict[str, float] = field(default_factory=dict)
 
 
 def geometry_rows(panels: DataFrame) -> DataFrame:
-    return panels.select(F.col("pid").alias("i"), F.array(*green.GEOMETRY).alias("geo"))
+    return panels.select(F.col("pid").alias("i"), F.array(*green.GEOMETRY).alias("geo"), F.array("v0", "v1", "v2").alias("v"))
 
 
 def point_rows(points: DataFrame) -> DataFrame:
-    return points.select("i", F.array("x", "y", "z").alias("geo"))
-
-
-def _pivot_task(kernel: KernelSpec, cfg: EngineConfig, side: str):
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        geo = np.stack(pdf["geo"].to_numpy())
-        box = green.surface(pdf[["lox", "loy", "loz"]].iloc[0].to_numpy(float), pdf[["hix", "hiy", "hiz"]].iloc[0].to_numpy(float), cfg.green_q, cfg.box_scale, cfg.norm)
-        if box[3] == 0:  # one point, or all alike: the first stands for all
-            rows, v = [0], np.ones((len(pdf), 1))
-        else:
-            a = green.row_factor(geo, box, kernel, side)
-            if np.iscomplexobj(a):  # real interpolation of both parts
-                a = np.concatenate([a.real, a.imag], 1)
-            rows, cols = cross.pivots(a, cfg.aca_eps, cfg.kmax, cfg.pivot)
-            v = cross.interpolation(a, rows, cols)
-        place = np.full(len(pdf), -1)
-        place[rows] = np.arange(len(rows))
-        return pd.DataFrame({"node": pdf["node"], "level": pdf["level"], "son": pdf["son"], "i": pdf["i"], "place": place, "coef": [list(map(float, r)) for r in v], "geo": pdf["geo"]})
-
-    return run
+    return points.select("i", F.array("x", "y", "z").alias("geo"), F.lit(None).cast("array<long>").alias("v"))
+
+
+def pivots(geo: np.ndarray, box: np.ndarray, kernel: KernelSpec, cfg: EngineConfig, side: str) -> tuple[list[int], np.ndarray]:
+    """Pivot members of one cluster and the coefficients that interpolate all members from them."""
+    surface = green.surface(box[:3], box[3:], cfg.green_q, cfg.box_scale, cfg.norm)
+    if surface[3] == 0:  # one point, or all alike: the first stands for all
+        return [0], np.ones((len(geo), 1))
+    a = green.row_factor(geo, surface, kernel, side)
+    if np.iscomplexobj(a):  # real interpolation of both parts
+        a = np.concatenate([a.real, a.imag], 1)
+    rows, cols = cross.pivots(a, cfg.aca_eps, cfg.kmax, cfg.pivot)
+    return rows, cross.interpolation(a, rows, cols)
+
+
+def _edge(level: int, band: int) -> int:
+    """The upper level of the band of a level."""
+    return level - level % band
+
+
+def _top(band: int):
+    """The cluster at the upper edge of the band of a cluster (node, level)."""
+    return F.floor(F.col("node") / F.pow(F.lit(2.0), F.col("level") % band)).cast("long")
+
+
+def _lists(column) -> np.ndarray:
+    flat = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    return np.asarray(flat.flatten()).reshape(len(flat), -1) if len(flat) else np.zeros((0, 0))
+
+
+def _band_basis(members: pa.Table, frame: pa.Table, kernel: KernelSpec, cfg: EngineConfig, side: str, flat: bool) -> pa.Table:
+    """Basis rows of all clusters below one top, lowest level first."""
+    schema = pa.schema([("top", pa.int64()), ("node", pa.int64()), ("level", pa.int32()), ("son", pa.int64()), ("i", pa.int64()), ("place", pa.int32()), ("coef", pa.list_(pa.float64())), ("geo", pa.list_(pa.float64())), ("v", pa.list_(pa.int64()))])
+    if not members.num_rows:
+        return schema.empty_table()
+    boxes = dict(zip(frame.column("node").to_pylist(), np.stack([np.asarray(frame.column(c)) for c in BOX], 1), strict=True))
+    node, level, son, ids = (np.asarray(members.column(c)) for c in ("node", "level", "son", "i"))
+    geo = _lists(members.column("geo"))
+    v = _lists(members.column("v")).astype(np.int64) if members.column("v").null_count == 0 else None
+    top = members.column("top")[0].as_py()
+    edge = int(level.min()) if flat else _edge(int(level.min()), cfg.band)
+    at: dict[tuple[int, int], list] = {}
+    for r in range(len(node)):
+        at.setdefault((int(level[r]), int(node[r])), []).append((int(son[r]), r))
+    out: list[tuple] = []
+    for k in range(int(level.max()), edge - 1, -1):
+        for n in sorted(x for lv, x in at if lv == k):
+            rows = sorted(at[k, n], key=lambda m: ids[m[1]])
+            pick = np.array([r for _, r in rows])
+            chosen, coef = pivots(geo[pick], boxes[n], kernel, cfg, side)
+            place = np.full(len(pick), -1)
+            place[chosen] = np.arange(len(chosen))
+            out += [(n, k, s, r, int(p), c) for (s, r), p, c in zip(rows, place, coef, strict=True)]
+            if k > edge and not flat:
+                at.setdefault((k - 1, n // 2), []).extend((n, pick[c]) for c in chosen)
+    pick = np.array([r for _, _, _, r, _, _ in out])
+    sizes = np.cumsum([0] + [len(c) for *_, c in out]).astype(np.int32)
+    lists = lambda x, kind: pa.FixedSizeListArray.from_arrays(pa.array(x[pick].ravel(), kind), x.shape[1]).cast(pa.list_(kind))
+    return pa.Table.from_arrays(
+        [pa.array(np.full(len(out), top), pa.int64()), pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int32()), pa.array([x[2] for x in out], pa.int64()), pa.array(ids[pick], pa.int64()), pa.array([x[4] for x in out], pa.int32()),
+         pa.ListArray.from_arrays(pa.array(sizes), pa.array(np.concatenate([c for *_, c in out]))), lists(geo, pa.float64()), pa.nulls(len(out), pa.list_(pa.int64())) if v is None else lists(v, pa.int64())], schema=schema)
 
 
 def nested_basis(membership: DataFrame, clusters: DataFrame, geometry: DataFrame, kernel: KernelSpec, cfg: EngineConfig, side: str = "row") -> DataFrame:
-    """Basis rows of all clusters, bottom-up: a leaf works on its members, an inner cluster on the pivots of its sons."""
-    frame = clusters.select("node", *[f"{m}{a}" for m in ("lo", "hi") for a in "xyz"])
-    depth = clusters.agg(F.max("level")).first()[0]
+    """Basis rows of all clusters, band by band from below: a leaf works on its members, an inner cluster on the pivots of its sons."""
+    frame, band = clusters.select(_top(cfg.band).alias("top"), "node", "level", *BOX), cfg.band
+    depth = clusters.agg(F.max("level")).first()[0] or 0
     leaves = membership.select("i", "node", "level").join(geometry, "i").withColumn("son", F.lit(0).cast("long"))
-    task = _pivot_task(kernel, cfg, side)
     done, risen = None, None
-    for level in range(depth, -1, -1):
-        rows = leaves.where(F.col("level") == level).select("node", "level", "son", "i", "geo")
+    for edge in range(_edge(depth, band), -1, -band):
+        inside = (F.col("level") >= edge) & (F.col("level") < edge + band)
+        rows = leaves.where(inside).select(_top(band).alias("top"), "node", "level", "son", "i", "geo", "v")
         if risen is not None:
             rows = rows.unionByName(risen)
-        made = _checkpoint(rows.join(frame, "node").orderBy("node", "i").groupBy("node").applyInPandas(lambda pdf: task(pdf.sort_values("i")), BASIS))
+        made = settled(rows.groupBy("top").cogroup(frame.where(inside).groupBy("top")).applyInArrow(lambda a, b: _band_basis(a, b, kernel, cfg, side, False), BASIS))
         done = made if done is None else done.unionByName(made)
-        risen = made.where("place >= 0 and node > 1").select(F.floor(F.col("node") / 2).cast("long").alias("node"), (F.col("level") - 1).cast("int").alias("level"), F.col("node").alias("son"), "i", "geo")
+        up = made.where((F.col("place") >= 0) & (F.col("level") == edge) & (F.col("node") > 1))
+        risen = up.select(F.floor(F.col("node") / 2).cast("long").alias("node"), (F.col("level") - 1).cast("int").alias("level"), F.col("node").alias("son"), "i", "geo", "v").withColumn("top", _top(band))
     return done
 
 
-def flat_basis(membership: DataFrame, clusters: DataFrame, geometry: DataFrame, kernel: KernelSpec, cfg: EngineConfig, side: str = "row") -> DataFrame:
-    """Basis rows of every cluster over all its members; the storage that nesting avoids."""
+def flat_basis(membership: DataFrame, clusters: DataFrame, geometry: DataFrame, kernel: KernelSpec, cfg: EngineConfig, side: str = "row", blocks: DataFrame | None = None) -> DataFrame:
+    """Basis rows of clusters over all their members; the storage that nesting avoids. blocks: only the clusters of its far
+    blocks need one, which leaves out the root and its like."""
     from .clustering import ancestors
 
-    frame = clusters.select("node", *[f"{m}{a}" for m in ("lo", "hi") for a in "xyz"])
-    rows = ancestors(membership).join(geometry, "i").withColumn("son", F.lit(0).cast("long")).withColumn("level", F.col("level").cast("int"))
-    task = _pivot_task(kernel, cfg, side)
-    return rows.join(frame, "node").select("node", "level", "son", "i", "geo", *frame.columns[1:]).groupBy("node").applyInPandas(lambda pdf: task(pdf.sort_values("i")), BASIS)
-
-
-def _values(pdf: pd.DataFrame, kernel: KernelSpec, cfg: EngineConfig) -> np.ndarray:
-    """Kernel entries of rows with geometries ga, gb; touching panels use the case and aligned corners."""
-    if not len(pdf):
-        return np.zeros(0)
-    a, b = np.stack(pdf["ga"].to_numpy()), np.stack(pdf["gb"].to_numpy())
-    if a.shape[1] == 3:
-        d = a - b
-        out = kernel.values(d)
-        return np.where(np.einsum("ik,ik->i", d, d) == 0, 0.0, out)
-    ca, cb = a[:, :9].reshape(-1, 3, 3), b[:, :9].reshape(-1, 3, 3)
-    case = pdf["case"].to_numpy()
-    out = np.zeros(len(pdf), complex if kernel.complex else float)
-    for c in np.unique(case):
-        rows = np.flatnonzero(case == c)
-        pa, pb = ca[rows].copy(), cb[rows].copy()
-        if c:
-            for k in range(len(rows)):
-                pa[k], pb[k] = _common_first(pa[k], pb[k])
-        out[rows] = batch_values(pa, pb, b[rows, 10:13], a[rows, 9] * b[rows, 9], int(c), cfg.quad.points(int(c)), kernel)
-    return out
-
+    rows = ancestors(membership).withColumn("level", F.col("level").cast("int"))
+    if blocks is not None:
+        far = blocks.where("kind = 'far'")
+        rows = rows.join(far.select(F.col("t").alias("node")).union(far.select("s")).distinct(), "node", "left_semi")
+    rows = rows.join(geometry, "i").select(F.col("node").alias("top"), "node", "level", F.lit(0).cast("long").alias("son"), "i", "geo", "v")
+    frame = clusters.select(F.col("node").alias("top"), "node", "level", *BOX)
+    return rows.groupBy("top").cogroup(frame.groupBy("top")).applyInArrow(lambda a, b: _band_basis(a, b, kernel, cfg, side, True), BASIS)
 
-def _common_first(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    same = (np.abs(a[:, None] - b[None]) < 1e-13).all(2)
-    ia = [i for i in range(3) if same[i].any()]
-    ib = [int(np.argmax(same[i])) for i in ia]
-    return a[ia + [i for i in range(3) if i not in ia]], b[ib + [j for j in range(3) if j not in ib]]
 
+def pivot_members(basis: DataFrame) -> DataFrame:
+    return fill.members(basis.where("place >= 0").select("node", "i", "geo", "v"))
 
-def _filled(pairs: DataFrame, kernel: KernelSpec, cfg: EngineConfig, keys: str) -> DataFrame:
-    names = [k.split()[0] for k in keys.split(", ")]
 
-    def run(batches):
-        for pdf in batches:
-            v = _values(pdf, kernel, cfg)
-            yield pdf[names].assign(re=np.real(v).astype(float), im=np.imag(v).astype(float))
+def build(membership: DataFrame, clusters: DataFrame, blocks: DataFrame, geometry: DataFrame, kernel: KernelSpec, cfg: EngineConfig, phases: str = "two", rule: str = "prefix", symmetric: bool | None = None) -> H2:
+    """The four tables. Trees, bases and blocks adapt to the data; the entries are packages of one uniform kernel call.
 
-    return pairs.mapInPandas(run, keys + ", re double, im double")
+    symmetric: blocks hold one of (t, s) and (s, t), and the layer is the single one."""
+    symmetric = False if symmetric is None else symmetric
+    if symmetric and kernel.layer != "slp":
+        raise ValueError("only the single layer is symmetric")
+    began, seconds = time.perf_counter(), {}
 
+    def lap(name):
+        nonlocal began
+        seconds[name], began = time.perf_counter() - began, time.perf_counter()
 
-def build(membership: DataFrame, clusters: DataFrame, blocks: DataFrame, geometry: DataFrame, kernel: KernelSpec, cfg: EngineConfig, panels: DataFrame | None = None) -> H2:
-    """The four tables. Steps 1 to 3 (trees, bases, blocks) adapt to the data; the entries of step 4 are one uniform map."""
     row_basis = nested_basis(membership, clusters, geometry, kernel, cfg, "row")
     col_basis = nested_basis(membership, clusters, geometry, kernel, cfg, "col") if kernel.layer == "dlp" else row_basis
+    depth = clusters.agg(F.max("level")).first()[0] or 0
+    lap("interpolation")
     far, near = blocks.where("kind = 'far'").select("t", "s"), blocks.where("kind = 'near'").select("t", "s")
-    piv = lambda b, n, i, g: b.where("place >= 0").select(F.col("node").alias(n), F.col("i").alias(i), F.col("geo").alias(g))
-    pairs = far.join(piv(row_basis, "t", "i", "ga"), "t").join(piv(col_basis, "s", "j", "gb"), "s").withColumn("case", F.lit(0))
-    coupling = _checkpoint(_filled(pairs, kernel, cfg, "t long, s long, i long, j long"))
-    member = membership.select("node", "i").join(geometry, "i")
-    close = near.join(member.select(F.col("node").alias("t"), "i", F.col("geo").alias("ga")), "t").join(member.select(F.col("node").alias("s"), F.col("i").alias("j"), F.col("geo").alias("gb")), "s")
-    if panels is not None:
-        close = close.join(touching(panels), ["i", "j"], "left").withColumn("case", F.coalesce("case", F.lit(0)))
-    else:
-        close = close.withColumn("case", F.lit(0))
-    nearfield = _checkpoint(_filled(close.select("i", "j", "ga", "gb", "case"), kernel, cfg, "i long, j long"))
-    return H2(row_basis, col_basis, coupling, nearfield, blocks, clusters.agg(F.max("level")).first()[0])
+    coupling = settled(fill.fill(far, pivot_members(row_basis), pivot_members(col_basis), kernel, cfg, "one", rule, symmetric))
+    lap("coupling")
+    leaf = fill.members(membership.select("node", "i").join(geometry, "i"))
+    nearfield = settled(fill.fill(near, leaf, leaf, kernel, cfg, phases, rule, symmetric))
+    lap("near field")
+    return H2(row_basis, col_basis, coupling, nearfield, blocks, depth, cfg.band, symmetric, seconds)
 
 
-def _pivot_names(basis: DataFrame) -> DataFrame:
-    return basis.where("place >= 0").select("node", F.col("place").alias("k"), F.col("i").alias("pivot"))
+# ---- the product: vectors are rows (i, re, im)
 
 
-def _coefs(basis: DataFrame) -> DataFrame:
-    """(node, level, son, i, pivot, c): the interpolation coefficients in entry form."""
-    return basis.select("node", "level", "son", "i", F.posexplode("coef").alias("k", "c")).join(_pivot_names(basis), ["node", "k"]).select("node", "level", "son", "i", "pivot", "c")
+def _table(node, i, re, im, top=None) -> pa.Table:
+    out = {"node": pa.array(node, pa.int64()), "i": pa.array(i, pa.int64()), "re": pa.array(re, pa.float64()), "im": pa.array(im, pa.float64())}
+    return pa.table(out)
 
 
-def forward(h: H2, x: DataFrame) -> DataFrame:
-    """(node, i, value): the coefficients of all clusters, from the leaves up. x(i, value)."""
-    coefs = _checkpoint(_coefs(h.col_basis))
-    up = None
-    for level in range(h.depth, -1, -1):
-        c = coefs.where(F.col("level") == level)
-        part = c.where("son = 0").join(x, "i").select("node", F.col("pivot").alias("i"), (F.col("c") * F.col("value")).alias("value"))
-        if up is not None:
-            below = up.where(F.col("level") == level + 1).select(F.col("node").alias("son"), "i", "value")
-            part = part.unionByName(c.where("son > 0").join(below, ["son", "i"]).select("node", F.col("pivot").alias("i"), (F.col("c") * F.col("value")).alias("value")))
-        made = _checkpoint(part.groupBy("node", "i").agg(F.sum("value").alias("value")).withColumn("level", F.lit(level)))
-        up = made if up is None else up.unionByName(made)
-    return up.select("node", "i", "value")
+VECTOR = "node long, i long, re double, im double"
+
+
+def _coefficients(basis: pa.Table):
+    """By (level, node): the rows of each cluster, its sons, ids, coefficient matrix and pivots."""
+    node, level, son, ids, place = (np.asarray(basis.column(c)) for c in ("node", "level", "son", "i", "place"))
+    column = basis.column("coef").combine_chunks()
+    off, flat = np.asarray(column.offsets), np.asarray(column.values)
+    order = np.lexsort((ids, node, level))
+    edges = np.concatenate([[0], np.flatnonzero(np.diff(node[order])) + 1, [len(order)]]) if len(order) else [0]
+    out = []
+    for x, y in zip(edges[:-1], edges[1:], strict=True):
+        rows = order[x:y]
+        c = np.stack([flat[off[r] : off[r + 1]] for r in rows])
+        pivot = np.empty(c.shape[1], np.int64)
+        at = place[rows] >= 0
+        pivot[place[rows][at]] = ids[rows][at]
+        out.append((int(level[rows[0]]), int(node[rows[0]]), son[rows], ids[rows], c, pivot))
+    return out
+
+
+def _collect_up(basis: pa.Table, given: pa.Table) -> pa.Table:
+    """Forward sweep of one band: given values of members (node 0) and of pivots of sons of the band below."""
+    value = {(n, i): complex(re, im) for n, i, re, im in zip(*(given.column(c).to_pylist() for c in ("node", "i", "re", "im")), strict=True)}
+    out = []
+    for _, n, son, ids, c, pivot in sorted(_coefficients(basis), key=lambda r: -r[0]):
+        x = c.T @ np.array([value.get((int(s), int(i)), 0.0) for s, i in zip(son, ids, strict=True)])
+        for p, y in zip(pivot.tolist(), x.tolist(), strict=True):
+            value[n, p] = y
+            out.append((n, p, y.real, y.imag))
+    return _table(*zip(*out, strict=True)) if out else _table([], [], [], [])
+
+
+def _hand_down(basis: pa.Table, given: pa.Table) -> pa.Table:
+    """Backward sweep of one band: given values of pivots of its clusters; (node 0, i) are members' values, others go to
+    the band below."""
+    value: dict[tuple[int, int], complex] = {}
+    for n, i, re, im in zip(*(given.column(c).to_pylist() for c in ("node", "i", "re", "im")), strict=True):
+        value[n, i] = value.get((n, i), 0.0) + complex(re, im)
+    made = sorted(_coefficients(basis), key=lambda r: r[0])
+    inside = {n for _, n, *_ in made}
+    out = []
+    for _, n, son, ids, c, pivot in made:
+        y = c @ np.array([value.get((n, int(p)), 0.0) for p in pivot])
+        for s, i, z in zip(son.tolist(), ids.tolist(), y.tolist(), strict=True):
+            if s in inside:
+                value[s, i] = value.get((s, i), 0.0) + z
+            else:
+                out.append((s, i, complex(z).real, complex(z).imag))
+    return _table(*zip(*out, strict=True)) if out else _table([], [], [], [])
+
+
+def _edges(h: H2) -> range:
+    return range(_edge(h.depth, h.band), -1, -h.band)
+
+
+def _fresh(df: DataFrame) -> DataFrame:
+    """The same columns under new identities: a cogroup of frames of one origin would take them for each other."""
+    return df.select(*[F.col(c).alias(c) for c in df.columns])
+
+
+def _of_band(basis: DataFrame, edge: int, band: int) -> DataFrame:
+    return basis.where((F.col("level") >= edge) & (F.col("level") < edge + band)).select("top", "node", "level", "son", "i", "place", "coef")
+
+
+def forward(h: H2, x: DataFrame, steps: list | None = None) -> DataFrame:
+    """(node, i, re, im): the coefficients of all clusters, from the leaves up. x(i, re, im). steps takes what was written."""
+    up, below = None, None
+    for edge in _edges(h):
+        basis = _of_band(h.col_basis, edge, h.band)
+        given = basis.where("son = 0").select("top", "i").join(x, "i").select("top", F.lit(0).cast("long").alias("node"), "i", "re", "im")
+        if below is not None:  # values of the clusters just below the band go to the band of their parents
+            parents = below.where((F.col("node") >= 2 ** (edge + h.band)) & (F.col("node") < 2 ** (edge + h.band + 1)))
+            given = given.unionByName(parents.select(F.floor(F.col("node") / 2**h.band).cast("long").alias("top"), "node", "i", "re", "im"))
+        below = settled(basis.groupBy("top").cogroup(_fresh(given).groupBy("top")).applyInArrow(_collect_up, VECTOR))
+        up = below if up is None else up.unionByName(below)
+        if steps is not None:
+            steps.append(below)
+    return up
 
 
 def couple(h: H2, xhat: DataFrame) -> DataFrame:
-    """(node, i, value): far blocks between pivots, summed by row cluster."""
-    rows = h.coupling.join(xhat.select(F.col("node").alias("s"), F.col("i").alias("j"), "value"), ["s", "j"])
-    return rows.groupBy(F.col("t").alias("node"), "i").agg(F.sum(F.col("re") * F.col("value")).alias("value"))
+    """(node, i, re, im): far blocks between pivots, summed by row cluster."""
+    c = h.coupling.select("t", "s", "i", "j", F.col("re").alias("kr"), F.col("im").alias("ki"))
+    if h.symmetric:
+        c = c.unionByName(c.where("t <> s").select(F.col("s").alias("t"), F.col("t").alias("s"), F.col("j").alias("i"), F.col("i").alias("j"), "kr", "ki"))
+    rows = c.join(xhat.select(F.col("node").alias("s"), F.col("i").alias("j"), "re", "im"), ["s", "j"])
+    return rows.groupBy(F.col("t").alias("node"), "i").agg(*_product())
+
 
+def _product():
+    return (F.sum(F.col("kr") * F.col("re") - F.col("ki") * F.col("im")).alias("re"), F.sum(F.col("kr") * F.col("im") + F.col("ki") * F.col("re")).alias("im"))
 
-def backward(h: H2, yhat: DataFrame) -> DataFrame:
-    """(i, value): coefficients of the row clusters carried down to the members."""
-    coefs = _checkpoint(_coefs(h.row_basis))
-    yhat = _checkpoint(yhat)
+
+def backward(h: H2, yhat: DataFrame, steps: list | None = None) -> DataFrame:
+    """(i, re, im): coefficients of the row clusters carried down to the members."""
+    yhat = settled(yhat)
     leaf, down = None, None
-    for level in range(h.depth + 1):
-        c = coefs.where(F.col("level") == level)
-        here = yhat.join(c.select("node").distinct(), "node", "left_semi")
+    for edge in reversed(_edges(h)):
+        inside = (F.col("node") >= 2**edge) & (F.col("node") < 2 ** (edge + h.band))
+        level = F.floor(F.log2(F.col("node").cast("double"))).cast("int")
+        given = yhat.where(inside)
         if down is not None:
-            here = here.unionByName(down)
-        here = here.groupBy("node", F.col("i").alias("pivot")).agg(F.sum("value").alias("value"))
-        made = _checkpoint(c.join(here, ["node", "pivot"]).groupBy("son", "i").agg(F.sum(F.col("c") * F.col("value")).alias("value")))
-        ends = made.where("son = 0").select("i", "value")
+            given = given.unionByName(down.where("node > 0"))
+        given = given.withColumn("top", F.floor(F.col("node") / F.pow(F.lit(2.0), level - F.lit(edge))).cast("long"))
+        basis = _of_band(h.row_basis, edge, h.band)
+        down = settled(basis.groupBy("top").cogroup(_fresh(given).groupBy("top")).applyInArrow(_hand_down, VECTOR))
+        ends = down.where("node = 0").select("i", "re", "im")
         leaf = ends if leaf is None else leaf.unionByName(ends)
-        down = made.where("son > 0").select(F.col("son").alias("node"), "i", "value")
+        if steps is not None:
+            steps += [down, *([yhat] if edge == 0 else [])]
     return leaf
 
 
 def near(h: H2, x: DataFrame) -> DataFrame:
-    return h.nearfield.join(x.select(F.col("i").alias("j"), "value"), "j").groupBy("i").agg(F.sum(F.col("re") * F.col("value")).alias("value"))
+    n = h.nearfield.select("t", "s", "i", "j", F.col("re").alias("kr"), F.col("im").alias("ki"))
+    if h.symmetric:
+        n = n.unionByName(n.where("t <> s").select(F.col("s").alias("t"), F.col("t").alias("s"), F.col("j").alias("i"), F.col("i").alias("j"), "kr", "ki"))
+    return n.join(x.withColumnRenamed("i", "j"), "j").groupBy("i").agg(*_product())
+
+
+def complex_matvec(h: H2, x: DataFrame) -> DataFrame:
+    """(i, re, im) = H x: two sweeps over the bands, one coupling join and the near field. x(i, re, im)."""
+    steps: list[DataFrame] = []
+    total = backward(h, couple(h, forward(h, x, steps)), steps).unionByName(near(h, x))
+    out = settled(total.groupBy("i").agg(F.sum("re").alias("re"), F.sum("im").alias("im")))
+    discard(*steps)
+    return out
 
 
 def matvec(h: H2, x: DataFrame) -> DataFrame:
-    """(i, value) = H x for real kernels: two sweeps over the levels, one coupling join and the near field."""
-    total = backward(h, couple(h, forward(h, x))).unionByName(near(h, x))
-    return total.groupBy("i").agg(F.sum("value").alias("value"))
+    """(i, value) = H x for real kernels."""
+    return complex_matvec(h, x.select("i", F.col("value").alias("re"), F.lit(0.0).alias("im"))).select("i", F.col("re").alias("value"))
+
+
+def _pivot_names(basis: DataFrame) -> DataFrame:
+    return basis.where("place >= 0").select("node", F.col("place").alias("k"), F.col("i").alias("pivot"))
+
+
+def _coefs(basis: DataFrame) -> DataFrame:
+    """(node, level, son, i, pivot, c): the interpolation coefficients in entry form."""
+    return basis.select("node", "level", "son", "i", F.posexplode("coef").alias("k", "c")).join(_pivot_names(basis), ["node", "k"]).select("node", "level", "son", "i", "pivot", "c")
 
 
 def one_sided(blocks: DataFrame, row_flat: DataFrame, members: DataFrame, kernel: KernelSpec, cfg: EngineConfig) -> DataFrame:
-    """(t, s, i, j, re): V_t G(pivots, s) for far blocks with a flat row basis."""
-    p = row_flat.where("place >= 0").select(F.col("node").alias("t"), F.col("i").alias("pivot"), F.col("geo").alias("ga"))
-    m = members.select(F.col("node").alias("s"), F.col("i").alias("j"), F.col("geo").alias("gb"))
-    g = _filled(blocks.select("t", "s").join(p, "t").join(m, "s").withColumn("case", F.lit(0)), kernel, cfg, "t long, s long, pivot long, j long")
+    """(t, s, i, j, re): V_t G(pivots, s) for far blocks with a flat row basis. members: (node, i, geo, v) of all clusters."""
+    g = fill.fill(blocks.select("t", "s"), pivot_members(row_flat), fill.members(members), kernel, cfg, "one").withColumnRenamed("i", "pivot")
     c = _coefs(row_flat).select(F.col("node").alias("t"), "i", "pivot", "c")
     return g.join(c, ["t", "pivot"]).groupBy("t", "s", "i", "j").agg(F.sum(F.col("re") * F.col("c")).alias("re"))
 
 
 def two_sided(blocks: DataFrame, row_flat: DataFrame, col_flat: DataFrame, kernel: KernelSpec, cfg: EngineConfig) -> DataFrame:
     """(t, s, i, j, re): V_t G(pivots, pivots) V_s^T for far blocks with flat bases (transpose, not adjoint)."""
-    p = row_flat.where("place >= 0").select(F.col("node").alias("t"), F.col("i").alias("p"), F.col("geo").alias("ga"))
-    q = col_flat.where("place >= 0").select(F.col("node").alias("s"), F.col("i").alias("q"), F.col("geo").alias("gb"))
-    g = _filled(blocks.select("t", "s").join(p, "t").join(q, "s").withColumn("case", F.lit(0)), kernel, cfg, "t long, s long, p long, q long")
+    g = fill.fill(blocks.select("t", "s"), pivot_members(row_flat), pivot_members(col_flat), kernel, cfg, "one").select("t", "s", F.col("i").alias("p"), F.col("j").alias("q"), "re")
     ct = _coefs(row_flat).select(F.col("node").alias("t"), "i", F.col("pivot").alias("p"), F.col("c").alias("c1"))
     cs = _coefs(col_flat).select(F.col("node").alias("s"), F.col("i").alias("j"), F.col("pivot").alias("q"), F.col("c").alias("c2"))
     half = g.join(ct, ["t", "p"]).groupBy("t", "s", "i", "q").agg(F.sum(F.col("re") * F.col("c1")).alias("x"))
     return half.join(cs, ["s", "q"]).groupBy("t", "s", "i", "j").agg(F.sum(F.col("x") * F.col("c2")).alias("re"))
 
 
-def aca_blocks(blocks: DataFrame, members: DataFrame, kernel: KernelSpec, cfg: EngineConfig) -> DataFrame:
-    """Cross approximation of each far block itself, entries on demand: (t, s, rank, error). The baseline: adapts by block."""
-    m = members.select("node", F.struct("i", "geo").alias("m"))
-    a = m.groupBy(F.col("node").alias("t")).agg(F.sort_array(F.collect_list("m")).alias("a"))
-    b = m.groupBy(F.col("node").alias("s")).agg(F.sort_array(F.collect_list("m")).alias("b"))
-    rows = blocks.where("kind = 'far'").select("t", "s").join(a, "t").join(b, "s")
+def unpivoted(blocks: DataFrame, clusters: DataFrame, members: DataFrame, kernel: KernelSpec, cfg: EngineConfig) -> DataFrame:
+    """(t, s, i, j, re): the rank-2m form A_t B_ts^T of far blocks, without pivots: the largest factors of all. members as in
+    one_sided."""
+    m = fill.members(members)
+    rows = blocks.select("t", "s").join(m.select(F.col("node").alias("t"), F.col("members").alias("a")), "t").join(m.select(F.col("node").alias("s"), F.col("members").alias("b")), "s").join(clusters.select(F.col("node").alias("t"), *BOX), "t")
+
+    def run(batches):
+        for batch in batches:
+            na, ia, ga, _ = fill._side(batch.column(2))
+            nb, ib, gb, _ = fill._side(batch.column(3))
+            box = np.stack([np.asarray(batch.column(4 + k)) for k in range(6)], 1)
+            sa, sb, out = np.cumsum(na) - na, np.cumsum(nb) - nb, []
+            for r, (t, s) in enumerate(zip(batch.column(1).to_pylist(), batch.column(0).to_pylist(), strict=True)):
+                p, q = slice(sa[r], sa[r] + na[r]), slice(sb[r], sb[r] + nb[r])
+                surface = green.surface(box[r, :3], box[r, 3:], cfg.green_q, cfg.box_scale, cfg.norm)
+                low = np.real(green.row_factor(ga[p], surface, kernel) @ green.column_factor(gb[q], surface, kernel).T)
+                out.append(pa.table({"t": pa.array([t] * low.size, pa.int64()), "s": pa.array([s] * low.size, pa.int64()), "i": pa.array(np.repeat(ia[p], nb[r])), "j": pa.array(np.tile(ib[q], na[r])), "re": pa.array(low.ravel())}))
+            yield from pa.concat_tables(out).combine_chunks().to_batches() if out else []
+
+    return rows.select("s", "t", "a", "b", *BOX).mapInArrow(run, "t long, s long, i long, j long, re double")
+
+
+def aca_blocks(blocks: DataFrame, members: DataFrame, kernel: KernelSpec, cfg: EngineConfig, check: bool = False) -> DataFrame:
+    """Cross approximation of each far block itself, entries on demand: (t, s, rank, evaluated, error). The baseline: adapts by
+    block, only the asked rows and columns are evaluated. check: the error against the whole block, evaluated for that only."""
+    m = fill.members(members)
+    rows = blocks.where("kind = 'far'").select("t", "s").join(m.select(F.col("node").alias("t"), F.col("members").alias("a")), "t").join(m.select(F.col("node").alias("s"), F.col("members").alias("b")), "s")
 
     def run(batches):
-        for pdf in batches:
-            out = []
-            for t, s, x, y in zip(pdf["t"], pdf["s"], pdf["a"], pdf["b"], strict=True):
-                ga, gb = np.array([r["geo"] for r in x], float), np.array([r["geo"] for r in y], float)
-                frame = lambda i, j: pd.DataFrame({"ga": list(ga[i]), "gb": list(gb[j]), "case": 0})
-                row = lambda i: _values(frame(np.full(len(gb), i), np.arange(len(gb))), kernel, cfg)  # noqa: E731, B023
-                col = lambda j: _values(frame(np.arange(len(ga)), np.full(len(ga), j)), kernel, cfg)  # noqa: E731, B023
-                rows_, _, u, v = cross.partial(row, col, (len(ga), len(gb)), cfg.aca_eps, cfg.kmax)
-                g = np.stack([row(i) for i in range(len(ga))])
-                out.append((t, s, len(rows_), float(np.linalg.norm(g - u @ v.T) / max(np.linalg.norm(g), 1e-300))))
-            yield pd.DataFrame(out, columns=["t", "s", "rank", "error"])
-
-    return rows.mapInPandas(run, "t long, s long, rank long, error double")
+        for batch in batches:
+            na, _, ga, va = fill._side(batch.column(2))
+            nb, _, gb, vb = fill._side(batch.column(3))
+            sa, sb, out = np.cumsum(na) - na, np.cumsum(nb) - nb, []
+            for r, (s, t) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
+                a, b = np.arange(sa[r], sa[r] + na[r]), np.arange(sb[r], sb[r] + nb[r])
+
+                def values(p, q):
+                    return fill.integrate(ga[p], None if va is None else va[p], gb[q], None if vb is None else vb[q], kernel, cfg.quad, "one")  # noqa: B023
+
+                row = lambda i: values(np.full(len(b), a[i]), b)  # noqa: E731, B023
+                col = lambda j: values(a, np.full(len(a), b[j]))  # noqa: E731, B023
+                found, cols, u, v = cross.partial(row, col, (len(a), len(b)), cfg.aca_eps, cfg.kmax)
+                error = None
+                if check:
+                    g = values(np.repeat(a, len(b)), np.tile(b, len(a))).reshape(len(a), len(b))
+                    error = float(np.linalg.norm(g - u @ v.T) / max(np.linalg.norm(g), 1e-300))
+                out.append((t, s, len(found), len(found) * len(b) + len(cols) * len(a), error))
+            yield pa.RecordBatch.from_pandas(pd.DataFrame(out, columns=["t", "s", "rank", "evaluated", "error"]).astype({"error": float}), preserve_index=False)
+
+    return rows.select("s", "t", "a", "b").mapInArrow(run, "t long, s long, rank long, evaluated long, error double")
 
 
 def storage(h: H2) -> DataFrame:

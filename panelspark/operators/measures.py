@@ -54,6 +54,15 @@ def kernel_evals(histogram: DataFrame, quad) -> DataFrame:
     return histogram.withColumn("points", F.element_at(points, F.col("case"))).withColumn("evaluations", F.col("pairs") * F.col("points"))
 
 
+def kv_ratio(histogram: DataFrame, quad) -> DataFrame:
+    """Kernel evaluations of the double layer (whole matrix, without the identical class, which is 0) against those of the
+    single layer (one half and the diagonal)."""
+    rows = kernel_evals(histogram, quad)
+    identical, all_ = F.col("case") == 3, F.col("evaluations")
+    v, k = F.sum(F.when(identical, all_).otherwise(all_ / 2)).cast("long"), F.sum(F.when(identical, 0).otherwise(all_)).cast("long")
+    return rows.agg(v.alias("v_evaluations"), k.alias("k_evaluations")).withColumn("ratio", F.col("k_evaluations") / F.col("v_evaluations"))
+
+
 def tree_stats(clusters: DataFrame, blocks: DataFrame) -> DataFrame:
     return clusters.agg(F.count("*").alias("clusters"), F.sum(F.col("is_leaf").cast("int")).alias("leaves"), F.max("level").alias("depth")).crossJoin(blocks.agg(F.count("*").alias("blocks"), F.sum((F.col("kind") == "far").cast("int")).alias("far")))
 

@@ -69,12 +69,14 @@ def greedy(items: DataFrame, limit: int, order: list[str], producer: str = "prod
     return pieces.groupBy(producer).applyInPandas(run, schema)
 
 
-def prefix(items: DataFrame, limit: int, order: list[str], parts: int = 16) -> DataFrame:
+def prefix(items: DataFrame, limit: int, order: list[str], parts: int | None = None) -> DataFrame:
     """The parallel rule: list = floor(bytes before / limit), by a two-pass prefix sum over ranges.
 
     Every list stays below the limit plus its last item; two shuffles at any size.
     """
-    spread = items.repartitionByRange(parts, *order).withColumn("_part", F.spark_partition_id())
+    from .geometry import parts_for
+
+    spread = items.repartitionByRange(parts or parts_for(items), *order).withColumn("_part", F.spark_partition_id())
     totals = spread.groupBy("_part").agg(F.sum("bytes").alias("_sum"))
     before = totals.withColumn("_before", F.sum("_sum").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1))).select("_part", F.coalesce("_before", F.lit(0)).alias("_before"))
     w = Window.partitionBy("_part").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)

@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .clustering import _checkpoint
+from ..plans.scratch import discard, settled
 
 Apply = Callable[[DataFrame], DataFrame]
 
@@ -49,15 +49,19 @@ def cg(apply: Apply, rhs: DataFrame, tol: float = 1e-8, maxit: int = 500, precon
         return r.join(precond, "i").withColumn("z", F.col("r") / F.col("d")).drop("d")
 
     state = pre(rhs.select("i", F.lit(0.0).alias("x"), F.col("value").alias("r")))
-    state = _checkpoint(state.withColumn("p", F.col("z")))
+    state = settled(state.withColumn("p", F.col("z")))
     rz, start = state.agg(F.sum(F.col("r") * F.col("z")), F.sum(F.col("r") * F.col("r"))).first()
-    report = Report(residuals=[1.0])
+    report, nxt = Report(residuals=[1.0]), None
     while start and report.steps < maxit:
         q = apply(state.select("i", F.col("p").alias("value"))).select("i", F.col("value").alias("q"))
-        state = _checkpoint(state.select("i", "x", "r", "p").join(q, "i", "left").withColumn("q", F.coalesce("q", F.lit(0.0))))
+        state = settled(state.select("i", "x", "r", "p").join(q, "i", "left").withColumn("q", F.coalesce("q", F.lit(0.0))))
+        if nxt is not None:
+            discard(nxt)
         pq = state.agg(F.sum(F.col("p") * F.col("q"))).first()[0]
         a = rz / pq
-        nxt = pre(state.select("i", (F.col("x") + a * F.col("p")).alias("x"), (F.col("r") - a * F.col("q")).alias("r"), "p"))
+        # settled, so that the updates and the preconditioner run once a step; the step before is deleted
+        before, nxt = state, settled(pre(state.select("i", (F.col("x") + a * F.col("p")).alias("x"), (F.col("r") - a * F.col("q")).alias("r"), "p")))
+        discard(before)
         new, rr = nxt.agg(F.sum(F.col("r") * F.col("z")), F.sum(F.col("r") * F.col("r"))).first()
         b = new / rz
         state = nxt.withColumn("p", F.col("z") + b * F.col("p"))
@@ -75,7 +79,7 @@ def block_diagonal(nearfield: DataFrame, membership: DataFrame) -> Apply:
     """Preconditioner: solves with the diagonal block of each leaf, one bounded task a leaf."""
     leaf = membership.select("i", "node")
     block = nearfield.join(leaf, "i").join(leaf.select(F.col("i").alias("j"), F.col("node").alias("other")), "j").where("node = other")
-    rows = _checkpoint(block.groupBy("node", "i").agg(F.sort_array(F.collect_list(F.struct("j", "re"))).alias("row")))
+    rows = settled(block.groupBy("node", "i").agg(F.sort_array(F.collect_list(F.struct("j", "re"))).alias("row")))
 
     def solve(pdf):
         pdf = pdf.sort_values("i").reset_index(drop=True)
@@ -118,11 +122,11 @@ def bicgstab(apply: Apply, rhs: DataFrame, tol: float = 1e-8, maxit: int = 200)
     """Stabilised bi-conjugate gradients for complex systems that are not Hermitian; vectors are (i, re, im)."""
     zero = F.lit(0.0)
     s = rhs.select("i", *[c.alias(f"{v}_{p}") for v in ("r", "h", "p") for c, p in ((F.col("re"), "re"), (F.col("im"), "im"))], *[zero.alias(f"x_{p}") for p in ("re", "im")])
-    s = _checkpoint(s)
+    s = settled(s)
 
     def times(df: DataFrame, v: str, out: str) -> DataFrame:
         y = apply(df.select("i", F.col(f"{v}_re").alias("re"), F.col(f"{v}_im").alias("im"))).select("i", F.col("re").alias(f"{out}_re"), F.col("im").alias(f"{out}_im"))
-        return _checkpoint(df.join(y, "i"))
+        return settled(df.join(y, "i"))
 
     rho, start = _dot(s, ("h", "r"), ("r", "r"))
     report = Report(residuals=[1.0])
@@ -153,6 +157,17 @@ def complex_apply(values: DataFrame) -> Apply:
     return run
 
 
+def combined_apply(v: Apply, k: Apply, mass: DataFrame, eta: float) -> Apply:
+    """The product with M / 2 + K - i eta V from the products with both layers."""
+
+    def run(x: DataFrame) -> DataFrame:
+        half = mass.join(x, "i").select("i", (F.col("mass") * F.col("re") / 2).alias("re"), (F.col("mass") * F.col("im") / 2).alias("im"))
+        turned = v(x).select("i", (eta * F.col("im")).alias("re"), (-eta * F.col("re")).alias("im"))
+        return half.unionByName(k(x).select("i", "re", "im")).unionByName(turned).groupBy("i").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
+
+    return run
+
+
 def combined_layers(v: DataFrame, k: DataFrame, mass: DataFrame, eta: float) -> DataFrame:
     """Entries of M / 2 + K - i eta V; the half comes from the trace from outside."""
     m = mass.select("i", F.col("i").alias("j"), (F.col("mass") / 2).alias("re"), F.lit(0.0).alias("im"))
@@ -162,5 +177,5 @@ def combined_layers(v: DataFrame, k: DataFrame, mass: DataFrame, eta: float) ->
 
 def wave_exterior(v: DataFrame, k: DataFrame, mass: DataFrame, rhs: DataFrame, eta: float = 1.0, formulation: str = "combined", **options) -> tuple[DataFrame, Report]:
     """The density of the exterior wave problem. formulation 'single' solves V w = f, which fails near interior eigenvalues."""
-    matrix = _checkpoint(combined_layers(v, k, mass, eta) if formulation == "combined" else v.select("i", "j", "re", "im"))
+    matrix = settled(combined_layers(v, k, mass, eta) if formulation == "combined" else v.select("i", "j", "re", "im"))
     return bicgstab(complex_apply(matrix), rhs, **options)

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -99,7 +97,3 @@ def incremental(potential: DataFrame, column_entries: DataFrame, changes: DataFr
     """Adds V times the changes (i, value) of the density to a potential (i, value): linearity, not a new product."""
     delta = column_entries.join(changes.select(F.col("i").alias("j"), F.col("value").alias("d")), "j").groupBy("i").agg(F.sum(F.col("re") * F.col("d")).alias("value"))
     return potential.unionByName(delta).groupBy("i").agg(F.sum("value").alias("value"))
-
-
-def run_id() -> str:
-    return uuid.uuid4().hex

@@ -44,7 +44,7 @@ def package_prefix(spark, sf_dir):
     return packages.prefix(items(spark, sf_dir), LIMIT, ["item"]).groupBy("list").agg(F.count("*").alias("items"), F.sum("bytes").alias("bytes"))
 
 
-LIMITS = [1000, 10_000, 100_000]
+LIMITS = [1000, 10_000, 100_000, 1_000_000]
 
 
 @R.add(" UNION ALL ".join(f"SELECT CAST({x} AS BIGINT) AS \"limit\", count(*) AS lists, max(b) AS largest, max(c) AS most_items, CAST(sum(c) AS BIGINT) AS items, CAST(sum(b) AS BIGINT) AS bytes FROM (SELECT CAST(sum(bytes) AS BIGINT) AS b, count(*) AS c FROM ({PREFIX.format(limit=x)}) GROUP BY list)" for x in LIMITS))
@@ -52,6 +52,12 @@ def package_sweep(spark, sf_dir):
     return packages.sweep(items(spark, sf_dir), LIMITS, ["item"])
 
 
+@R.add(f"SELECT list, count(*) AS items, CAST(sum(bytes) AS BIGINT) AS bytes FROM ({PREFIX.format(limit=LIMIT).replace('doc_id', 'page_id').replace('n_chars', 'length(html)').replace('documents', 'pages')}) GROUP BY list")
+def package_pages(spark, sf_dir):
+    pages = table(spark, sf_dir, "pages").select(F.col("page_id").alias("item"), F.length("html").cast("long").alias("bytes"))
+    return packages.prefix(pages, LIMIT, ["item"]).groupBy("list").agg(F.count("*").alias("items"), F.sum("bytes").alias("bytes"))
+
+
 @R.add("""WITH q AS (SELECT doc_id, row_number() OVER (ORDER BY doc_id) - 1 AS k, row_number() OVER (ORDER BY lang, doc_id) - 1 AS m, CASE lang WHEN 'en' THEN 81 WHEN 'de' THEN 1250 WHEN 'fr' THEN 3125 ELSE 3750 END AS points FROM documents)
 SELECT 'mixed' AS batches, CAST(sum(top - points) AS BIGINT) AS waste, CAST(sum(points) AS BIGINT) AS useful FROM (SELECT *, max(points) OVER (PARTITION BY k // 64) AS top FROM q)
 UNION ALL SELECT 'by_case', CAST(sum(top - points) AS BIGINT), CAST(sum(points) AS BIGINT) FROM (SELECT *, max(points) OVER (PARTITION BY points, m // 64) AS top FROM q)""")
@@ -98,23 +104,73 @@ def queue_order(spark, sf_dir):
     return schedule.queue_order(rows, "conv_id", "turn").withColumn("position", F.col("position").cast("long"))
 
 
-# Published set-up seconds (workload, degrees of freedom, host, fast card, slow card, both cards).
+# Published set-up seconds (workload, degrees of freedom, host, fast card, slow card, both cards); None: not
+# measured or below 0.1.
 PUBLISHED = [
+    ("slp", 2048, 0.3, None, None, None),
+    ("slp", 8192, 1.5, 0.1, 0.2, 0.1),
+    ("slp", 32768, 7.5, 0.5, 0.7, 0.3),
+    ("slp", 131072, 30.0, 1.9, 2.7, 1.2),
+    ("slp", 524288, 133.0, 8.3, 11.8, 5.2),
     ("slp", 2097152, 686.2, 44.6, 64.1, 27.1),
+    ("dlp", 2048, 0.5, None, None, None),
+    ("dlp", 8192, 2.7, 0.3, 0.4, 0.2),
+    ("dlp", 32768, 13.2, 1.2, 1.7, 0.8),
+    ("dlp", 131072, 55.0, 4.7, 6.8, 2.9),
+    ("dlp", 524288, 237.3, 20.3, 29.5, 12.5),
     ("dlp", 2097152, 1309.0, 112.8, 165.1, 68.2),
+    ("slp_higher", 2048, 1.0, None, None, None),
+    ("slp_higher", 8192, 4.8, None, None, 0.2),
+    ("slp_higher", 32768, 21.6, None, None, 0.7),
+    ("slp_higher", 131072, 86.8, None, None, 2.8),
+    ("slp_higher", 524288, 368.5, None, None, 12.0),
     ("slp_higher", 2097152, 1439.3, None, None, 48.3),
+    ("dlp_higher", 2048, 1.5, None, None, 0.1),
+    ("dlp_higher", 8192, 7.7, None, None, 0.4),
+    ("dlp_higher", 32768, 39.0, None, None, 1.8),
+    ("dlp_higher", 131072, 162.1, None, None, 7.3),
+    ("dlp_higher", 524288, 702.0, None, None, 31.3),
     ("dlp_higher", 2097152, 2936.2, None, None, 131.9),
+    ("slp_wave", 2048, 2.3, None, None, 0.1),
+    ("slp_wave", 8192, 9.6, None, None, 0.3),
+    ("slp_wave", 32768, 42.7, None, None, 1.3),
+    ("slp_wave", 131072, 205.8, None, None, 6.7),
     ("slp_wave", 524288, 843.6, None, None, 27.9),
+    ("dlp_wave", 2048, 2.7, None, None, 0.1),
+    ("dlp_wave", 8192, 11.8, None, None, 0.4),
+    ("dlp_wave", 32768, 55.2, None, None, 1.8),
+    ("dlp_wave", 131072, 263.4, None, None, 8.9),
     ("dlp_wave", 524288, 1050.1, None, None, 36.9),
 ]
+DEVICES = ("host", "fast", "slow", "both")
+_RUNS = "runs(workload, dof, device, seconds) AS (VALUES " + ", ".join(f"('{w}', {d}::BIGINT, '{dev}', {x}::DOUBLE)" for w, d, *t in PUBLISHED for dev, x in zip(DEVICES, t, strict=True) if x is not None) + ")"
+
 
+def published_runs(spark):
+    rows = [(w, d, dev, s) for w, d, *t in PUBLISHED for dev, s in zip(DEVICES, t, strict=True) if s is not None]
+    return spark.createDataFrame(rows, "workload string, dof long, device string, seconds double")
 
-@R.add("SELECT workload, dof, CAST(round(base / fast * 10) AS BIGINT) AS factor10 FROM (VALUES " + ", ".join(f"('{w}', {d}::BIGINT, {a}::DOUBLE, {b}::DOUBLE)" for w, d, a, _, _, b in PUBLISHED) + ") AS t(workload, dof, base, fast)")
+
+@R.add(f"WITH {_RUNS} SELECT a.workload, a.dof, CAST(round(a.seconds / b.seconds * 10) AS BIGINT) AS factor10 FROM runs a JOIN runs b ON a.workload = b.workload AND a.dof = b.dof WHERE a.device = 'host' AND b.device = 'both'")
 def paper_speedups(spark, sf_dir):
-    """Published factors, recomputed from the published seconds."""
-    rows = [(w, d, dev, s) for w, d, *t in PUBLISHED for dev, s in zip(("host", "fast", "slow", "both"), t, strict=True) if s is not None]
-    runs = spark.createDataFrame(rows, "workload string, dof long, device string, seconds double")
-    return measures.speedup(runs, "host", "both").select("workload", "dof", F.round(F.col("factor") * 10).cast("long").alias("factor10"))
+    """Published factors of both cards against the host, recomputed from the published seconds."""
+    return measures.speedup(published_runs(spark), "host", "both").select("workload", "dof", F.round(F.col("factor") * 10).cast("long").alias("factor10"))
+
+
+@R.add(f"WITH {_RUNS} SELECT workload, dof, device, CAST(round(seconds * 1e6 / dof * 100) AS BIGINT) AS us100 FROM runs")
+def paper_time_per_dof(spark, sf_dir):
+    return measures.per_dof(published_runs(spark)).select("workload", "dof", "device", F.round(F.col("us_per_dof") * 100).cast("long").alias("us100"))
+
+
+@R.add(f"WITH {_RUNS}, f AS (SELECT a.workload, a.dof, a.device, a.seconds / b.seconds AS factor, {sum(RATES)} / (CASE a.device WHEN 'fast' THEN {RATES[0]} ELSE {RATES[1]} END) AS ideal FROM runs a JOIN runs b ON a.workload = b.workload AND a.dof = b.dof AND b.device = 'both' WHERE a.device IN ('fast', 'slow')) SELECT workload, dof, device, CAST(round(factor * 1e4) AS BIGINT) AS factor4, CAST(round(ideal * 1e4) AS BIGINT) AS ideal4 FROM f")
+def paper_device_factors(spark, sf_dir):
+    """Gain of both cards against each, beside the ideal by peak rates."""
+    runs = published_runs(spark)
+    out = []
+    for d, rate in zip(("fast", "slow"), RATES, strict=True):
+        got = measures.speedup(runs, d, "both")
+        out.append(got.select("workload", "dof", F.lit(d).alias("device"), F.round(F.col("factor") * 1e4).cast("long").alias("factor4"), F.round(F.lit(sum(RATES) / rate) * 1e4).cast("long").alias("ideal4")))
+    return out[0].unionByName(out[1])
 
 
 @R.add("SELECT event_type, count(*) AS runs, min(value) AS min, CAST(round(avg(value) * 1e6) AS BIGINT) AS mean6, max(value) AS max FROM events GROUP BY event_type")

@@ -103,9 +103,7 @@ def wave_exterior(spark, sf_dir):
     w, report = solve.wave_exterior(v, k, assembly.mass_matrix(panels), rhs, tol=1e-6)
     w = settled(w)
     t = settled(fields.targets_from(table(spark, sf_dir, "supplier"), "s_suppkey", "s_acctbal"))
-    double = fields.evaluate(t, panels, w, dlp(KAPPA))
-    single = fields.evaluate(t, panels, w, slp(KAPPA)).select("tid", F.col("re").alias("sr"), F.col("im").alias("si"))
-    u = double.join(single, "tid").select("tid", (F.col("re") + F.col("si")).alias("re"), (F.col("im") - F.col("sr")).alias("im"))  # minus i times the single layer
+    u = fields.combined_field(t, panels, w, KAPPA)
     er, ei = fields.f_wave(F.col("x"), F.col("y"), F.col("z"), KAPPA)
     return measures.exterior_error(u, t.select("tid", er.alias("e_re"), ei.alias("e_im"))).withColumn("steps", F.lit(report.steps))
 

@@ -82,7 +82,46 @@ q("SELECT l_returnflag, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GRO
 q("SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, count(*) FILTER (WHERE value > 100) AS large FROM events GROUP BY 1", "agg_filtered", lambda s, d: T(s, d, "events").groupBy("user_id").agg(F.count_if(F.col("event_type") == "click").alias("clicks"), F.count_if(F.col("value") > 100).alias("large")))
 q("SELECT l_returnflag, CAST(round(quantile_cont(l_quantity, 0.5) * 1e6) AS BIGINT) AS median6, CAST(round(quantile_cont(l_extendedprice, 0.9) * 1e4) AS BIGINT) AS p90 FROM lineitem GROUP BY 1", "agg_percentile", lambda s, d: T(s, d, "lineitem").groupBy("l_returnflag").agg(F.round(F.percentile("l_quantity", 0.5) * 1e6).cast("long").alias("median6"), F.round(F.percentile("l_extendedprice", 0.9) * 1e4).cast("long").alias("p90")))
 q("SELECT event_type, max_by(event_id, value * 1e6 + event_id) AS top, min_by(event_id, value * 1e6 + event_id) AS low FROM events GROUP BY 1", "agg_max_by", lambda s, d: T(s, d, "events").groupBy("event_type").agg(F.max_by("event_id", F.col("value") * 1e6 + F.col("event_id")).alias("top"), F.min_by("event_id", F.col("value") * 1e6 + F.col("event_id")).alias("low")))
-q(None, "agg_approx_distinct", lambda s, d: T(s, d, "lineitem").agg(F.approx_count_distinct("l_partkey").alias("parts")))
+q("SELECT count(DISTINCT l_partkey) AS parts, true AS within FROM lineitem", "agg_approx_distinct", lambda s, d: T(s, d, "lineitem").agg(F.countDistinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey", 0.02).alias("about")).select("parts", (F.abs(F.col("about") / F.col("parts") - 1) < 0.1).alias("within")))
+q("SELECT s_nationkey AS k FROM supplier EXCEPT SELECT c_nationkey FROM customer WHERE c_acctbal > 9500", "set_except_some", lambda s, d: T(s, d, "supplier").select(F.col("s_nationkey").alias("k")).subtract(T(s, d, "customer").where("c_acctbal > 9500").select("c_nationkey")))
+
+
+def frobenius_norms(s, d):
+    from ..functions import register
+
+    register(s)
+    T(s, d, "events").createOrReplaceTempView("events")
+    return s.sql("SELECT event_type, CAST(round(frobenius(value) * 1e4) AS BIGINT) AS norm4 FROM events GROUP BY event_type")
+
+
+q("SELECT event_type, CAST(round(sqrt(sum(value * value)) * 1e4) AS BIGINT) AS norm4 FROM events GROUP BY event_type", "udaf_frobenius", frobenius_norms)
+
+
+def split_blocks(s, d):
+    from ..functions import register
+
+    register(s)
+    T(s, d, "documents").createOrReplaceTempView("documents")
+    return s.sql("SELECT doc_id, piece, bytes FROM documents, LATERAL split_block(CAST(n_chars AS INT), 8192)")
+
+
+q("""WITH RECURSIVE s(doc_id, path, bytes) AS (SELECT doc_id, '', CAST(n_chars AS BIGINT) FROM documents
+UNION ALL SELECT doc_id, path || h, CASE WHEN h = '0' THEN bytes - bytes // 2 ELSE bytes // 2 END FROM s, (VALUES ('0'), ('1')) AS q(h) WHERE bytes >= 8192 AND bytes > 1)
+SELECT doc_id, CAST(row_number() OVER (PARTITION BY doc_id ORDER BY path) - 1 AS INTEGER) AS piece, bytes FROM s WHERE bytes < 8192 OR bytes <= 1""", "udtf_split_block", split_blocks)
+
+
+def nearest_of_labels(s, d):
+    """The five embeddings nearest to the first of each label, by JVM expressions; the query set is one row a label."""
+    e = T(s, d, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("x"))
+    first = e.groupBy("label").agg(F.min_by("vec_id", "vec_id").alias("query"), F.min_by("x", "vec_id").alias("y"))
+    square = F.aggregate(F.zip_with("x", "y", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda a, z: a + z)
+    rows = e.select("vec_id", "x").crossJoin(F.broadcast(first)).where("vec_id <> query").withColumn("d", F.round(square * 1e8).cast("long"))
+    return rows.withColumn("rank", F.row_number().over(Window.partitionBy("query").orderBy("d", "vec_id")).cast("long")).where("rank <= 5").select("query", "rank", "vec_id", "d")
+
+
+q("""WITH e AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS x FROM embeddings), f AS (SELECT min(vec_id) AS query FROM e GROUP BY label),
+r AS (SELECT query, a.vec_id, CAST(round(list_sum(list_transform(range(1, len(a.x) + 1), lambda k: (a.x[k] - b.x[k]) * (a.x[k] - b.x[k]))) * 1e8) AS BIGINT) AS d FROM f JOIN e b ON b.vec_id = query JOIN e a ON a.vec_id <> query)
+SELECT query, rank, vec_id, d FROM (SELECT *, row_number() OVER (PARTITION BY query ORDER BY d, vec_id) AS rank FROM r) WHERE rank <= 5""", "topk_nearest_embeddings", nearest_of_labels)
 
 _SETS = {"grouping_sets": "GROUPING SETS ((l_returnflag, l_linestatus), (l_returnflag), ())", "cube": "CUBE (l_returnflag, l_linestatus)", "rollup": "ROLLUP (l_returnflag, l_linestatus)"}
 for _k, _s in _SETS.items():

@@ -4,8 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from .. import oracles as O
 from .. import streaming as S
-from .registry import Registry, table
+from .registry import Registry, scaled, table
 
 R = Registry()
 LIMIT = 500
@@ -48,12 +49,38 @@ def stream_dedup(spark, sf_dir):
     return out.groupBy("event_type").agg(F.count("*").alias("n"))
 
 
-@R.add("SELECT event_type, CAST(round(sum(value) * 100) AS BIGINT) AS cents, count(*) AS n FROM events WHERE user_id % 128 < 128 GROUP BY event_type")
+@R.add(f"WITH {O.panels(4)} SELECT event_type, {O.scaled('sum(value * area)', 6, 'weighted')}, count(*) AS n FROM events JOIN p ON pid = user_id % 128 GROUP BY event_type")
 def stream_static_join(spark, sf_dir):
+    """Each event weighs with the area of its panel."""
     from .mesh import small_mesh
 
     out = S.finished(S.with_panels(_items(spark, sf_dir), small_mesh(spark).select("pid", "area"), 128))
-    return out.groupBy("event_type").agg(F.round(F.sum("value") * 100).cast("long").alias("cents"), F.count("*").alias("n"))
+    return out.groupBy("event_type").agg(scaled(F.sum(F.col("value") * F.col("area")), 6, "weighted"), F.count("*").alias("n"))
+
+
+@R.add("""WITH m AS (SELECT max(ts) AS last FROM events), k AS (SELECT event_type, ts > last - INTERVAL 12 DAY AS kept FROM events, m)
+SELECT event_type, CAST(sum(CAST(kept AS INT)) AS BIGINT) AS n, (SELECT CAST(sum(CAST(NOT kept AS INT)) AS BIGINT) FROM k) AS dropped FROM k WHERE kept GROUP BY event_type""")
+def stream_late(spark, sf_dir):
+    """Three files arrive: the last ten days, the same again, and then the older events. What is behind the watermark of twelve
+    days is dropped and counted; the second file is all repeats."""
+    from ..plans.scratch import folder
+
+    e = table(spark, sf_dir, "events")
+    split = e.agg((F.max("ts") - F.expr("INTERVAL 10 DAY")).alias("split"))
+    rows = e.crossJoin(F.broadcast(split))
+    inbox = folder(spark)
+    for which in ("ts >= split", "ts >= split", "ts < split"):
+        rows.where(which).drop("split").coalesce(1).write.mode("append").parquet(inbox)
+    stream = spark.readStream.schema(S.EVENTS).option("maxFilesPerTrigger", 1).parquet(inbox).withColumn("ts", F.col("ts").cast("timestamp"))
+    out, dropped = S.finished(S.deduplicated(stream, "event_id", "12 days"), late=True)
+    return out.groupBy("event_type").agg(F.count("*").alias("n")).withColumn("dropped", F.lit(dropped).cast("long"))
+
+
+@R.add("SELECT strftime(w, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 1 DAY, ts), time_bucket(INTERVAL 1 DAY, ts) - INTERVAL 1 DAY]) AS w FROM events) GROUP BY ALL")
+def stream_sliding(spark, sf_dir):
+    """Windows of two days that begin each day."""
+    out = S.finished(S.windows(_items(spark, sf_dir), "2 days", "1 day"), "complete")
+    return out.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "event_type", "n")
 
 
 @R.add("SELECT a.user_id, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR GROUP BY a.user_id")
@@ -63,11 +90,25 @@ def stream_interval_join(spark, sf_dir):
     return out.groupBy("user_id").agg(F.count("*").alias("n"))
 
 
-@R.add("SELECT user_id % 128 AS i, CAST(round(sum(value) * 100) AS BIGINT) AS cents FROM events GROUP BY 1")
+def _incremental_sql():
+    from ..operators.kernels import slp
+    from .mesh import matrix_sql
+
+    return matrix_sql(slp(), 2, tail=f", d AS (SELECT user_id % 32 AS pid, sum(value) AS density FROM events GROUP BY 1) SELECT i, {O.scaled('sum(re * density)', 4, 'potential')} FROM e JOIN d ON d.pid = j GROUP BY i")
+
+
+@R.add(_incremental_sql())
 def stream_incremental(spark, sf_dir):
-    """Changes of the density laid over a potential step by step: here the unit matrix, so the result is the density."""
+    """Changes of the density laid over a potential step by step equal the product with the whole density."""
+    from ..operators import assembly
+    from ..operators.kernels import slp
+    from ..plans.scratch import settled
+    from .mesh import small_mesh
+
     events = table(spark, sf_dir, "events")
-    unit = spark.range(128).select(F.col("id").alias("i"), F.col("id").alias("j"), F.lit(1.0).alias("re"))
-    half = lambda k: events.where(F.col("event_id") % 2 == k).groupBy(F.pmod("user_id", F.lit(128)).alias("i")).agg(F.sum("value").alias("value"))
-    out = S.incremental(S.incremental(unit.select("i", F.lit(0.0).alias("value")).limit(0), unit, half(0)), unit, half(1))
-    return out.select("i", F.round(F.col("value") * 100).cast("long").alias("cents"))
+    v = settled(assembly.dense(small_mesh(spark, 2), slp()))
+    part = lambda k: events.where(F.pmod(F.xxhash64("event_id"), F.lit(3)) == k).groupBy(F.pmod("user_id", F.lit(32)).alias("i")).agg(F.sum("value").alias("value"))
+    out = v.select("i", F.lit(0.0).alias("value")).distinct()
+    for k in range(3):
+        out = S.incremental(out, v, part(k))
+    return out.select("i", scaled(F.col("value"), 4, "potential"))

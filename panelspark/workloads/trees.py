@@ -122,6 +122,21 @@ def block_coverage(spark, sf_dir):
     return out.select("covered", "entries", (F.col("blocks") - F.col("distinct_blocks")).cast("int").alias("repeated"))
 
 
+@R.add("SELECT CAST(count(*) * count(*) AS BIGINT) AS covered, CAST(count(*) * count(*) AS BIGINT) AS entries, 0 AS repeated FROM customer")
+def block_symmetric(spark, sf_dir):
+    """One block of each pair (t, s), (s, t): the two together still cover every entry once."""
+    _, _, c = tree(spark, sf_dir)
+    out = blocks.coverage(settled(blocks.block_tree(c, symmetric=True)), c.where("is_leaf"), symmetric=True)
+    return out.select("covered", "entries", (F.col("blocks") - F.col("distinct_blocks")).cast("int").alias("repeated"))
+
+
+@R.add(_block_sql('SELECT t, s, level, kind, "rows", cols FROM blk'))
+def block_tree_sql(spark, sf_dir):
+    """The block tree by joins of the frontier, the way for more clusters than a task should hold."""
+    _, _, c = tree(spark, sf_dir)
+    return blocks.block_tree(c, broadcast_rows=0)
+
+
 @R.add(_block_sql("SELECT (SELECT count(*) FROM clusters) AS clusters, (SELECT CAST(sum(CAST(is_leaf AS INT)) AS BIGINT) FROM clusters) AS leaves, (SELECT max(level) FROM clusters) AS depth, count(*) AS blocks, CAST(sum(CASE WHEN kind = 'far' THEN 1 ELSE 0 END) AS BIGINT) AS far FROM blk"))
 def tree_stats(spark, sf_dir):
     _, _, c = tree(spark, sf_dir)
@@ -209,15 +224,15 @@ def nested_basis_ranks(spark, sf_dir):
 @R.add()
 def gca_pivots(spark, sf_dir):
     """(node, rank) of the flat bases."""
-    pts, member, c, _, cfg = compressed(spark, sf_dir)
-    return h2.flat_basis(member, c, h2.point_rows(pts), slp(), cfg).groupBy("node").agg(F.sum((F.col("place") >= 0).cast("int")).alias("rank"))
+    pts, member, c, blk, cfg = compressed(spark, sf_dir)
+    return h2.flat_basis(member, c, h2.point_rows(pts), slp(), cfg, blocks=blk).groupBy("node").agg(F.sum((F.col("place") >= 0).cast("int")).alias("rank"))
 
 
 @R.add()
 def gca_interpolation(spark, sf_dir):
     """The largest deviation of pivot rows from the identity."""
-    pts, member, c, _, cfg = compressed(spark, sf_dir)
-    b = h2.flat_basis(member, c, h2.point_rows(pts), slp(), cfg).where("place >= 0").select("place", F.posexplode("coef").alias("k", "v"))
+    pts, member, c, blk, cfg = compressed(spark, sf_dir)
+    b = h2.flat_basis(member, c, h2.point_rows(pts), slp(), cfg, blocks=blk).where("place >= 0").select("place", F.posexplode("coef").alias("k", "v"))
     return b.agg(F.max(F.abs(F.col("v") - (F.col("place") == F.col("k")).cast("double"))).alias("worst"))
 
 
@@ -225,7 +240,7 @@ def gca_interpolation(spark, sf_dir):
 def aca_blocks(spark, sf_dir):
     pts, member, _, blk, cfg = compressed(spark, sf_dir)
     rows = clustering.ancestors(member).select("i", "node").join(h2.point_rows(pts), "i")
-    return h2.aca_blocks(blk, rows, slp(), cfg)
+    return h2.aca_blocks(blk, rows, slp(), cfg, check=True)
 
 
 @R.add(f"WITH {UNIT}, c AS (SELECT min(x) lx, max(x) hx, min(y) ly, max(y) hy, min(z) lz, max(z) hz FROM u WHERE z > 0.8), d AS (SELECT *, greatest(hx-lx, hy-ly, hz-lz) AS delta FROM c), {O.line(4, 'gl')}, f AS (SELECT axis, sign, p.x AS a, q.x AS b, p.w * q.w AS uw FROM gl p, gl q, (VALUES (0), (1), (2)) AS ax(axis), (VALUES (0), (1)) AS sg(sign)), nd AS (SELECT lx - delta/2 + (CASE axis WHEN 0 THEN sign WHEN 1 THEN b ELSE a END) * (hx - lx + delta) AS zx, ly - delta/2 + (CASE axis WHEN 1 THEN sign WHEN 2 THEN b ELSE a END) * (hy - ly + delta) AS zy, lz - delta/2 + (CASE axis WHEN 2 THEN sign WHEN 0 THEN b ELSE a END) * (hz - lz + delta) AS zz, CASE axis WHEN 0 THEN 2*sign-1 ELSE 0 END AS mx, CASE axis WHEN 1 THEN 2*sign-1 ELSE 0 END AS my, CASE axis WHEN 2 THEN 2*sign-1 ELSE 0 END AS mz, uw * CASE axis WHEN 0 THEN (hy-ly+delta)*(hz-lz+delta) WHEN 1 THEN (hz-lz+delta)*(hx-lx+delta) ELSE (hx-lx+delta)*(hy-ly+delta) END AS w, delta FROM f, d), e AS (SELECT i, sqrt(w) AS rw, delta, x - zx AS dx, y - zy AS dy, z - zz AS dz, mx, my, mz FROM u, nd WHERE z > 0.8) SELECT i, {O.scaled(f'sum(rw / ({O.FOUR_PI} * sqrt(dx*dx+dy*dy+dz*dz)))', 8, 'plus')}, {O.scaled(f'sum(rw * delta * (dx*mx+dy*my+dz*mz) / ({O.FOUR_PI} * (dx*dx+dy*dy+dz*dz) * sqrt(dx*dx+dy*dy+dz*dz)))', 8, 'minus')} FROM e GROUP BY i")
