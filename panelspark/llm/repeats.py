@@ -6,8 +6,9 @@ A match of `length` bytes is a repeat where the same bytes also start in a docum
    inside it. Equal windows have equal keys, and neighbouring windows mostly share theirs, so a document becomes short
    runs of windows with one key. A group sends each key once, and hears which keys another document holds too.
 2. The stretches of text under those keys meet by key; a group sends each distinct content once, with the smallest
-   document that holds it there. For each batch of contents the index is built: the transform as runs, text positions
-   sampled at the ends of the runs, and runs of rows with the smallest document of their first `length` bytes.
+   document that holds it there. For each batch of contents that share a key with another one the index is built: the
+   transform as runs, text positions sampled at the ends of the runs, and runs of rows with the smallest document of their
+   first `length` bytes.
 3. Each content streams its matching statistics from nothing, from right to left, many in step: a last-to-first step on
    runs where the byte agrees, else a jump to the nearest sampled run end that carries it. Windows whose match is long
    enough and that a smaller document holds are marked.
@@ -427,13 +428,21 @@ def marked(table: pa.Table, length: int) -> pa.Table:
     np.minimum.at(owner, np.concatenate(same), np.concatenate(holder))
     text = np.frombuffer(b"".join(number), np.uint8)
     sizes = np.fromiter(map(len, number), np.int64, len(number))
-    index = RunLengthIndex(text, sizes, owner, length)
     flag = np.zeros((len(sizes), int(sizes.max()) - length + 1), bool)
-    for lanes, at, matched, row in index.statistics(text, sizes):
-        long_ = np.flatnonzero((at + length <= sizes[lanes]) & (matched >= length))
-        if len(long_):
-            who = lanes[long_]
-            flag[who, at[long_]] = index.first_owner(row[long_]) < owner[who]
+    # windows of two contents can only be equal under one key: contents whose key is theirs alone stay out of the index
+    key, _, _, row = window_runs(text, np.concatenate([[0], np.cumsum(sizes)]), length)
+    _, place, count = np.unique(key, return_inverse=True, return_counts=True)
+    some = np.zeros(len(sizes), bool)
+    some[row[count[place] > 1]] = True
+    if some.any():
+        some_text, some_sizes, some_owner = text[np.repeat(some, sizes)], sizes[some], owner[some]
+        some = np.flatnonzero(some)
+        index = RunLengthIndex(some_text, some_sizes, some_owner, length)
+        for lanes, at, matched, row in index.statistics(some_text, some_sizes):
+            long_ = np.flatnonzero((at + length <= some_sizes[lanes]) & (matched >= length))
+            if len(long_):
+                who = lanes[long_]
+                flag[some[who], at[long_]] = index.first_owner(row[long_]) < some_owner[who]
     blobs = []
     for number_, held in zip(same, holder, strict=True):
         first = owner[number_]
