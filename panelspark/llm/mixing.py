@@ -1,6 +1,6 @@
 """Mixing sources to target weights by proportionate-fair scheduling.
 
-The documents of a source, in a hashed order, form a stream of blocks of `block_bytes`. With share w the j-th block
+The documents of a source, in order of a hash, form a stream of blocks of `block_bytes`. With share w the j-th block
 (from 0) of a source may not start before slot floor(j / w) and must be done by slot ceil((j + 1) / w). Earliest
 deadline first over the released blocks keeps every source, at every slot, less than one block off its share.
 Whole-number weights repeat with their sum as period, so one period is scheduled once (it has as many rows as the sum
@@ -45,12 +45,12 @@ def period_schedule(weights: dict[str, int]) -> list[tuple[str, int, int, int, i
     return out
 
 
-def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes: int = 1 << 20, shards: int = 256, seed: int = 0) -> DataFrame:
+def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes: int = 1 << 20, shard_bytes: int = 64 << 20, seed: int = 0) -> DataFrame:
     """The columns of docs with stream, block, slot, release, deadline, place and balanced added (underscored; columns of docs
     that have one of these names are replaced, other columns may have any name).
 
-    The prefix sums are taken in shards of each source, so a source with most rows spreads over `shards` tasks; the
-    totals of the shards are few (sources with a weight times shards).
+    The prefix sums are taken in ranges of the hash, one for about `shard_bytes` of all texts, so a source with most rows
+    spreads over as many tasks as its bytes ask for; the totals of the ranges are few. Their number changes no order.
     """
     spark = docs.sparkSession
     weights = {str(k): int(v) for k, v in weights.items()} | {REST: int(rest)}
@@ -67,7 +67,8 @@ def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes:
         F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string"))).alias("h"),
         F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("bytes"),
     )
-    rows = rows.withColumn("shard", F.pmod(F.conv(F.substring("h", 1, 4), 16, 10).cast("long"), F.lit(shards)))
+    shards = 16 + int(rows.agg(F.coalesce(F.sum("bytes"), F.lit(0))).first()[0]) // shard_bytes
+    rows = rows.withColumn("shard", F.floor(F.conv(F.substring("h", 1, 8), 16, 10).cast("long") * shards / F.lit(1 << 32)).cast("long"))
     # within a shard by hash; equal hashes (repeated ids) by size and content
     order = Window.partitionBy("stream", "shard").orderBy("h", "row.doc_id", "bytes", F.md5(F.coalesce("row.text", F.lit(""))))
     totals = rows.groupBy("stream", "shard").agg(F.sum("bytes").alias("total"))
@@ -102,7 +103,7 @@ def interleaved(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_b
     return scheduled(docs, weights, rest, block_bytes).select(*docs.columns)
 
 
-def oracle(weights: dict[str, int], rest: int, block_bytes: int, shards: int = 256, seed: int = 0) -> str:
+def oracle(weights: dict[str, int], rest: int, block_bytes: int, seed: int = 0) -> str:
     """The schedule of `documents` in SQL; only the period of the schedule, a table of the weights, is given."""
     weights = {**weights, REST: rest}
     period = sum(weights.values())
@@ -111,7 +112,7 @@ def oracle(weights: dict[str, int], rest: int, block_bytes: int, shards: int = 2
     each = ", ".join(f"('{s}', {w})" for s, w in weights.items())
     return f"""WITH plan(s, j, r, d, t) AS (VALUES {plan}), shares(s, w) AS (VALUES {each}),
 a AS (SELECT doc_id, CASE WHEN source IN ({named}) THEN source ELSE '{REST}' END AS stream, md5('{seed}:' || doc_id) AS h, coalesce(strlen(text), 0) AS bytes, md5(coalesce(text, '')) AS m FROM documents),
-b AS (SELECT *, CAST(sum(bytes) OVER (PARTITION BY stream ORDER BY CAST('0x' || substr(h, 1, 4) AS BIGINT) % {shards}, h, doc_id, bytes, m ROWS UNBOUNDED PRECEDING) - bytes AS BIGINT) AS place FROM a),
+b AS (SELECT *, CAST(sum(bytes) OVER (PARTITION BY stream ORDER BY h, doc_id, bytes, m ROWS UNBOUNDED PRECEDING) - bytes AS BIGINT) AS place FROM a),
 spent AS (SELECT min(floor(total / {block_bytes}) / w * {period}) AS spent FROM (SELECT stream, sum(bytes) AS total FROM a GROUP BY stream) JOIN shares ON s = stream WHERE w > 0),
 c AS (SELECT *, place // {block_bytes} AS block FROM b JOIN shares ON s = stream)
 SELECT doc_id, stream, block, t + block // w * {period} AS slot, r + block // w * {period} AS release, d + block // w * {period} AS deadline, place, t + block // w * {period} < spent AS balanced
