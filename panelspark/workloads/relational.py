@@ -80,7 +80,21 @@ q("WITH p AS (SELECT doc_id, source, doc_id * 100 AS a, doc_id * 100 + n_chars A
 
 q("SELECT l_returnflag, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY 1", "agg_distinct", lambda s, d: T(s, d, "lineitem").groupBy("l_returnflag").agg(F.countDistinct("l_suppkey").alias("suppliers")))
 q("SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, count(*) FILTER (WHERE value > 100) AS large FROM events GROUP BY 1", "agg_filtered", lambda s, d: T(s, d, "events").groupBy("user_id").agg(F.count_if(F.col("event_type") == "click").alias("clicks"), F.count_if(F.col("value") > 100).alias("large")))
-q("SELECT l_returnflag, CAST(round(quantile_cont(l_quantity, 0.5) * 1e6) AS BIGINT) AS median6, CAST(round(quantile_cont(l_extendedprice, 0.9) * 1e4) AS BIGINT) AS p90 FROM lineitem GROUP BY 1", "agg_percentile", lambda s, d: T(s, d, "lineitem").groupBy("l_returnflag").agg(F.round(F.percentile("l_quantity", 0.5) * 1e6).cast("long").alias("median6"), F.round(F.percentile("l_extendedprice", 0.9) * 1e4).cast("long").alias("p90")))
+def quantiles(s, d):
+    """Exact quantiles by rank: rows are numbered by counted ranges, so no task holds all values of a flag."""
+    from ..operators.geometry import numbered
+
+    def at(value, p, digits, name):
+        rows = numbered(T(s, d, "lineitem").select("l_returnflag", value), ["l_returnflag", value])
+        ends = rows.groupBy("l_returnflag").agg(F.min("_row").alias("first"), F.count("*").alias("n"))
+        spot = F.col("first") + p * (F.col("n") - 1)
+        near = rows.join(F.broadcast(ends), "l_returnflag").where((F.col("_row") >= F.floor(spot)) & (F.col("_row") <= F.ceil(spot)))
+        return near.groupBy("l_returnflag").agg(F.round((F.min(value) + (F.max(value) - F.min(value)) * (F.first(spot) - F.floor(F.first(spot)))) * 10.0**digits).cast("long").alias(name))
+
+    return at("l_quantity", 0.5, 6, "median6").join(at("l_extendedprice", 0.9, 4, "p90"), "l_returnflag")
+
+
+q("SELECT l_returnflag, CAST(round(quantile_cont(l_quantity, 0.5) * 1e6) AS BIGINT) AS median6, CAST(round(quantile_cont(l_extendedprice, 0.9) * 1e4) AS BIGINT) AS p90 FROM lineitem GROUP BY 1", "agg_percentile", quantiles)
 q("SELECT event_type, max_by(event_id, value * 1e6 + event_id) AS top, min_by(event_id, value * 1e6 + event_id) AS low FROM events GROUP BY 1", "agg_max_by", lambda s, d: T(s, d, "events").groupBy("event_type").agg(F.max_by("event_id", F.col("value") * 1e6 + F.col("event_id")).alias("top"), F.min_by("event_id", F.col("value") * 1e6 + F.col("event_id")).alias("low")))
 q("SELECT count(DISTINCT l_partkey) AS parts, true AS within FROM lineitem", "agg_approx_distinct", lambda s, d: T(s, d, "lineitem").agg(F.countDistinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey", 0.02).alias("about")).select("parts", (F.abs(F.col("about") / F.col("parts") - 1) < 0.1).alias("within")))
 q("SELECT s_nationkey AS k FROM supplier EXCEPT SELECT c_nationkey FROM customer WHERE c_acctbal > 9500", "set_except_some", lambda s, d: T(s, d, "supplier").select(F.col("s_nationkey").alias("k")).subtract(T(s, d, "customer").where("c_acctbal > 9500").select("c_nationkey")))
