@@ -105,6 +105,24 @@ def test_index_jumps_and_its_memory_follows_runs():
     assert sizes[1][0] == 20 * sizes[0][0] and sizes[1][1] < 7 * sizes[0][1]  # the text grows, the runs hardly do
 
 
+def test_groups_send_a_common_passage_once():
+    rng = np.random.default_rng(3)
+    letters = lambda n: bytes(rng.integers(97, 123, n, dtype=np.uint8)).decode()
+    passage = letters(300)
+    texts = [letters(80) + passage + letters(60) for _ in range(200)]
+    docs = pa.table({"doc_id": pa.array(range(200)), "doc": pa.array(range(200)), "tid": pa.array(range(200)), "text": pa.array(texts), "grp": pa.array([0] * 200, pa.int32())})
+    keys = repeats.group_keys(docs, 50, 1)
+    told = repeats.shared_keys(keys)
+    found = repeats.stretches(docs, told, 50, 1, 1)
+    sent, size, _, holder = repeats._unpack(found.column("blob")[0].as_py(), np.uint8, np.uint8, np.int64, np.int64)
+    group = repeats._stretches(docs, told, 50, 1)
+    assert len(group.key) > 2500 and len(size) < 1000  # runs of windows under shared keys, and what is sent: ends differ, the inside is one
+    assert set(holder.tolist()) >= {0} and len(sent) == size.astype(int).sum()
+    out = repeats.removed(docs, pa.concat_tables([told, repeats.marked(found, 50)]), 50, 1, 1, True)
+    want = brute.without_repeats(list(enumerate(texts)), 50)
+    assert sorted(zip(*(out.column(c).to_pylist() for c in ("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")), strict=True)) == want
+
+
 def test_window_keys_depend_on_content_only():
     rng = np.random.default_rng(1)
     text = rng.integers(97, 101, 400, dtype=np.uint8)
@@ -326,6 +344,53 @@ def test_svm_separates_and_ties_are_stable():
     assert language.fit([])["families"] == {}
 
 
+def plain_proximal(rows, epochs, l1, alpha=1.0, beta=1.0):
+    """Follow the regularised leader, one coordinate at a time."""
+    import math
+
+    z, n = {}, {}
+    bias = "bias"
+
+    def weight(k):
+        pull = 0.0 if k == bias else l1
+        x = z.get(k, 0.0)
+        return 0.0 if abs(x) <= pull else -(x - math.copysign(pull, x)) / ((beta + math.sqrt(n.get(k, 0.0))) / alpha)
+
+    order = np.random.default_rng(11)
+    for _ in range(epochs):
+        for i in order.permutation(len(rows)):
+            label, features = rows[i]
+            at = [*features, bias]
+            w = {k: weight(k) for k in at}
+            g = 1 / (1 + math.exp(-max(-35, min(35, sum(w.values()))))) - label
+            for k in at:
+                before = n.get(k, 0.0)
+                z[k] = z.get(k, 0.0) + g - (math.sqrt(before + g * g) - math.sqrt(before)) / alpha * w[k]
+                n[k] = before + g * g
+    return {k: weight(k) for k in z}
+
+
+def test_toxicity_learner_equals_a_plain_one():
+    rng = random.Random(4)
+    rows = [(int(k % 5 == 0), sorted({rng.randrange(60) for _ in range(8)} | ({99} if k % 5 == 0 else set()))) for k in range(120)]
+    model = toxicity.fit([(label, np.array(f)) for label, f in rows])
+    want = plain_proximal(rows, 4, float(np.clip(sum(r[0] for r in rows) / 20, 1.5, 10.0)))
+    got = dict(zip(model["at"].tolist(), model["w"].tolist(), strict=True))
+    assert got == pytest.approx({k: w for k, w in want.items() if k != "bias" and w}) and model["bias"] == pytest.approx(want["bias"])
+    assert got[99] > 1
+
+
+def test_toxicity_features_equal_plain_ones():
+    def plain(text):
+        words = "".join(c if c.isalnum() or c == "'" else " " for c in text.lower()).split()
+        pairs = [(a, b, g) for g in (1, 2) for a, b in zip(words, words[g:], strict=False)]
+        return len(set(words)) + len(set(pairs))
+
+    for text in ("You, you are AWFUL. you are!", "a b a b a b", "", "one", "it's  a 'test' of 2 words-in-one"):
+        b = np.frombuffer(text.encode(), np.uint8)
+        assert len(np.unique(toxicity.feature_ids(b, np.array([0, len(b)]))[0])) == plain(text)
+
+
 def test_toxicity_learns_sparse_weights():
     rng = random.Random(1)
     words = [f"w{k}" for k in range(200)]
