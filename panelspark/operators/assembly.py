@@ -121,13 +121,22 @@ def all_pairs(panels: DataFrame, max_pairs: int) -> DataFrame:
 
 
 def one_pass(panels: DataFrame, kernel: KernelSpec, quad: QuadSpec = BASIC, pairs: DataFrame | None = None, max_pairs: int = 50_000_000, arrow: bool = False, skip_coplanar: bool = False) -> DataFrame:
-    """Each pair is classified first and integrated once by the rule of its class."""
+    """Each pair is classified first and integrated once by the rule of its class.
+
+    arrow: all classes as packages; else the many pairs without a common vertex as generated expressions, and the few
+    others, whose rules have a thousand points and more, as packages.
+    """
     pairs = all_pairs(panels, max_pairs) if pairs is None else pairs
     known = pairs.join(touching(panels), ["i", "j"], "left").withColumn("case", F.coalesce("case", F.lit(0)))
+    zero = None
     if skip_coplanar and kernel.layer == "dlp":  # x - y is orthogonal to the normal within one panel
         zero = known.where("case = 3").select("i", "j", F.lit(0.0).alias("re"), F.lit(0.0).alias("im"))
-        return (package_entries if arrow else entries)(known.where("case < 3"), panels, kernel, quad).unionByName(zero)
-    return (package_entries if arrow else entries)(known, panels, kernel, quad)
+        known = known.where("case < 3")
+    if arrow:
+        out = package_entries(known, panels, kernel, quad)
+    else:
+        out = entries(known.where("case = 0"), panels, kernel, quad).unionByName(package_entries(known.where("case > 0"), panels, kernel, quad))
+    return out if zero is None else out.unionByName(zero)
 
 
 def regular_only(panels: DataFrame, kernel: KernelSpec, quad: QuadSpec = BASIC, pairs: DataFrame | None = None, max_pairs: int = 50_000_000) -> DataFrame:
@@ -140,7 +149,7 @@ def two_phase(panels: DataFrame, kernel: KernelSpec, quad: QuadSpec = BASIC, pai
     """Regular rule everywhere first, then touching pairs again by their own rules, laid over the first values."""
     pairs = all_pairs(panels, max_pairs) if pairs is None else pairs
     first = regular_only(panels, kernel, quad, pairs)
-    fixes = entries(touching(panels).join(pairs, ["i", "j"], "left_semi"), panels, kernel, quad).select("i", "j", F.col("re").alias("re2"), F.col("im").alias("im2"))
+    fixes = package_entries(touching(panels).join(pairs, ["i", "j"], "left_semi"), panels, kernel, quad).select("i", "j", F.col("re").alias("re2"), F.col("im").alias("im2"))
     both = first.join(fixes, ["i", "j"], "left")
     return both.select("i", "j", F.coalesce("re2", "re").alias("re"), F.coalesce("im2", "im").alias("im"))
 

@@ -6,7 +6,9 @@ integer lattice point of a vertex is its identity, so shared vertices never depe
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 COORDS = ("ax", "ay", "az", "bx", "by", "bz", "cx", "cy", "cz")
@@ -17,44 +19,35 @@ def refinement(rows: int) -> int:
     return max(1, int((rows / 8) ** 0.5 + 1e-9))
 
 
-def _lattice(rows: DataFrame, n: int) -> DataFrame:
-    """Adds the three signed lattice points p0a .. p2c of panel `pid`, oriented outward. Stepwise, so that no expression
-    is written out more than once in the plan."""
-    rows = rows.withColumn("face", F.floor(F.col("pid") / (n * n)).cast("long"))
-    rows = rows.withColumn("k", F.col("pid") - F.col("face") * (n * n))
-    rows = rows.withColumn("r", F.floor(F.sqrt(F.col("k").cast("double"))).cast("long"))
-    rows = rows.withColumn("slot", F.col("k") - F.col("r") * F.col("r"))
-    signs = {f"s{x}": 1 - 2 * F.pmod(F.floor(F.col("face") / d).cast("long"), F.lit(2)) for x, d in zip("abc", (1, 2, 4), strict=True)}
-    rows = rows.withColumns({"m": F.floor(F.col("slot") / 2).cast("long"), "up": F.col("slot") % 2 == 0, **signs})
-    r, m, up = F.col("r"), F.col("m"), F.col("up")
-    odd = F.col("sa") * F.col("sb") * F.col("sc") < 0
-    rows = rows.withColumns({
-        "second": F.when(up, F.array(r + 1 - m, m, n - r - 1)).otherwise(F.array(r - m, m + 1, n - r - 1)),
-        "third": F.when(up, F.array(r - m, m + 1, n - r - 1)).otherwise(F.array(r - m - 1, m + 1, n - r)),
-        "odd": odd,
-    })
-    first = (r - m, m, n - r)
-    out = {}
-    for j, name in enumerate("abc"):
-        s, second, third = F.col(f"s{name}"), F.col("second")[j], F.col("third")[j]
-        out[f"p0{name}"] = first[j] * s
-        out[f"p1{name}"] = F.when(F.col("odd"), third).otherwise(second) * s
-        out[f"p2{name}"] = F.when(F.col("odd"), second).otherwise(third) * s
-    return rows.withColumns(out)
+def decoded_panels(pid: np.ndarray, n: int, project: bool = True) -> tuple[np.ndarray, np.ndarray]:
+    """Vertex ids (panels, 3) and corners (panels, 3, 3) of panels by number, oriented outward."""
+    face, k = pid // (n * n), pid % (n * n)
+    r = np.floor(np.sqrt(k.astype(float))).astype(np.int64)
+    m, up = (k - r * r) // 2, (k - r * r) % 2 == 0
+    sign = np.stack([1 - 2 * (face // d % 2) for d in (1, 2, 4)], 1)
+    first = np.stack([r - m, m, n - r], 1)
+    second = np.where(up[:, None], np.stack([r + 1 - m, m, n - r - 1], 1), np.stack([r - m, m + 1, n - r - 1], 1))
+    third = np.where(up[:, None], np.stack([r - m, m + 1, n - r - 1], 1), np.stack([r - m - 1, m + 1, n - r], 1))
+    odd = (sign.prod(1) < 0)[:, None]
+    points = np.stack([first, np.where(odd, third, second), np.where(odd, second, third)], 1) * sign[:, None, :]
+    side = 2 * n + 1
+    ids = ((points[..., 0] + n) * side + points[..., 1] + n) * side + points[..., 2] + n
+    d = points.astype(float)
+    size = np.sqrt(d[..., 0] * d[..., 0] + d[..., 1] * d[..., 1] + d[..., 2] * d[..., 2])[..., None] if project else float(n)
+    return ids, d / size + 0.0
 
 
 def sphere_panels(spark: SparkSession, n: int, project: bool = True) -> DataFrame:
-    """8 n^2 panels: pid, v0..v2 (vertex ids) and the nine coordinates; narrow over a range."""
-    side = 2 * n + 1
-    rows = _lattice(spark.range(8 * n * n).withColumnRenamed("id", "pid"), n)
-    size, ids, coordinates = {}, {}, {}
-    for j, name in enumerate("abc"):
-        p = [F.col(f"p{j}{x}") for x in "abc"]
-        d = [x.cast("double") for x in p]
-        ids[f"v{j}"] = ((p[0] + n) * side * side + (p[1] + n) * side + (p[2] + n)).cast("long")
-        size[f"size{j}"] = F.sqrt(d[0] * d[0] + d[1] * d[1] + d[2] * d[2]) if project else F.lit(float(n))
-        coordinates |= {f"{name}{axis}": q / F.col(f"size{j}") + 0.0 for q, axis in zip(d, "xyz", strict=True)}
-    return rows.withColumns({**size, **ids}).withColumns(coordinates).select("pid", "v0", "v1", "v2", *COORDS)
+    """8 n^2 panels: pid, v0..v2 (vertex ids) and the nine coordinates; narrow over a range. Decoded in one step, since the
+    same arithmetic as expressions makes plans of which each query spends seconds on optimising and compiling."""
+
+    def run(batches):
+        for batch in batches:
+            ids, x = decoded_panels(np.asarray(batch.column(0)), n, project)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(np.ascontiguousarray(ids[:, k])) for k in range(3)), *(pa.array(np.ascontiguousarray(x[:, k, a])) for k in range(3) for a in range(3))], names)
+
+    names = ["pid", "v0", "v1", "v2", *COORDS]
+    return spark.range(8 * n * n).withColumnRenamed("id", "pid").mapInArrow(run, "pid long, v0 long, v1 long, v2 long, " + ", ".join(f"{c} double" for c in COORDS))
 
 
 def vertices(panels: DataFrame) -> DataFrame:
@@ -75,8 +68,7 @@ def cross(a, b):
 def with_metrics(panels: DataFrame) -> DataFrame:
     """Adds gram (twice the area), area, the unit normal, the centroid and the box.
 
-    Panels without area get a null normal. No filter stands here: pushed below the steps of a
-    generated mesh it would write all of them out into one huge condition.
+    Panels without area get a null normal.
     """
     p = {x: tuple(F.col(f"{x}{axis}") for axis in "xyz") for x in "abc"}
     e1 = tuple(q - r for q, r in zip(p["b"], p["a"], strict=True))
