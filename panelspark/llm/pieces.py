@@ -31,12 +31,31 @@ from pyspark.sql import functions as F
 from .common import byte_view, shipped, slices, texts
 
 MARK = "▁"
-CACHE = 100_000
+CACHE = 200_000
 SHORT = 40
 PIECE = 1 << 20
 NEVER = float("inf")
 
 
+class _Units(dict):
+    """The ids of units that were met. The newest CACHE of them, and the CACHE before those; what is met again moves to the
+    newest. Long units are not kept."""
+
+    def __init__(self, search, kind):
+        self.search, self.kind, self.before = search, kind, {}
+
+    def __missing__(self, unit: str) -> bytes:
+        ids = self.before.get(unit)
+        if ids is None:
+            ids = np.array(self.search(unit.replace(" ", MARK)), self.kind).tobytes()
+        if len(unit) <= 4 * SHORT:
+            if len(self) >= CACHE:
+                self.before = dict(self)
+                self.clear()
+            self[unit] = ids
+        return ids
+
+
 class PieceCodec:
     def __init__(self, path: str):
         from sentencepiece import sentencepiece_model_pb2 as pb
@@ -48,6 +67,7 @@ class PieceCodec:
         if model.normalizer_spec.name != "identity" or model.normalizer_spec.remove_extra_whitespaces:
             raise ValueError("only models with the identity normaliser are supported")
         self.pieces = [p.piece for p in model.pieces]
+        self.kind = np.uint16 if len(self.pieces) < 1 << 16 else np.uint32  # as the cache keeps ids
         normal = [(i, p.piece, p.score) for i, p in enumerate(model.pieces) if p.type == 1]
         self.byte_ids = {int(p.piece[3:5], 16): i for i, p in enumerate(model.pieces) if p.type == 6}
         self.byte_of = {i: b for b, i in self.byte_ids.items()}
@@ -63,8 +83,9 @@ class PieceCodec:
         held = [p for _, p, _ in normal]
         decomposes = not any(MARK in p.lstrip(MARK) for p in held)
         alone = "\n\t\r" if not any(c in p for p in held for c in "\n\t\r") else ""
-        self.unit = re.compile((f"[{alone}]+|{MARK}*[^{MARK}{alone}]+|{MARK}+" if alone else f"{MARK}*[^{MARK}]+|{MARK}+") if decomposes else r"[\s\S]+")
-        self.cache: dict[str, bytes] = {}
+        # units are cut from the text with plain spaces for word marks: most are then short strings of one byte a letter
+        self.unit = re.compile((f"[{alone}]+| *[^ {alone}]+| +" if alone else " *[^ ]+| +") if decomposes else r"[\s\S]+")
+        self.cache = _Units(self.search, self.kind)
 
     @cached_property
     def automaton(self):
@@ -106,7 +127,7 @@ class PieceCodec:
 
     def merged(self, unit: str) -> list[int]:
         """The ids that the merges end with."""
-        rank = self.rank
+        rank, ids = self.rank, self.ids
         part = list(unit) if len(unit) <= SHORT else self.heaped(unit)
         ranks = [rank(a + b, NEVER) for a, b in zip(part, part[1:])] if len(unit) <= SHORT else []
         while ranks:
@@ -114,18 +135,21 @@ class PieceCodec:
             if best == NEVER:
                 break
             k = ranks.index(best)
-            part[k] += part.pop(k + 1)
+            joined = part[k] + part[k + 1]
+            part[k : k + 2] = (joined,)
             del ranks[k]
             if k:
-                ranks[k - 1] = rank(part[k - 1] + part[k], NEVER)
+                ranks[k - 1] = rank(part[k - 1] + joined, NEVER)
             if k < len(ranks):
-                ranks[k] = rank(part[k] + part[k + 1], NEVER)
-        out, ids = [], self.ids
-        for p in part:
-            if p in ids:
-                out.append(ids[p])
-            else:
-                out.extend(self.byte_ids.get(b, self.unknown) for b in p.encode())
+                ranks[k] = rank(joined + part[k + 1], NEVER)
+        out = list(map(ids.get, part))
+        if None in out:
+            out = []
+            for p in part:
+                if p in ids:
+                    out.append(ids[p])
+                else:
+                    out.extend(self.byte_ids.get(b, self.unknown) for b in p.encode())
         return out
 
     def heaped(self, unit: str) -> list[str]:
@@ -152,41 +176,27 @@ class PieceCodec:
     def encode(self, text: str) -> np.ndarray:
         if not text:
             return np.zeros(0, np.int32)
-        text = self.prefix + text.replace(" ", MARK)
+        text = (self.prefix + text).replace(MARK, " ")
         if len(text) <= PIECE:
-            return np.frombuffer(self.joined(self.unit.findall(text)), np.int32)
+            return np.frombuffer(self.joined(self.unit.findall(text)), self.kind).astype(np.int32)
         parts, units = [], []
         for m in self.unit.finditer(text):  # a long text's units are never held all at once
             units.append(m.group())
             if len(units) >= PIECE // 8:
                 parts.append(self.joined(units))
                 units = []
-        return np.frombuffer(b"".join([*parts, self.joined(units)]), np.int32)
+        return np.frombuffer(b"".join([*parts, self.joined(units)]), self.kind).astype(np.int32)
 
     def joined(self, units: list[str]) -> bytes:
-        """The ids of units, from the cache or searched. Long units are searched and not kept."""
-        cache = self.cache
-        found = list(map(cache.get, units))
-        if None in found:
-            if len(cache) + len(units) > CACHE:
-                cache.clear()
-                found = [None] * len(units)
-            for k, u in enumerate(units):
-                if found[k] is None:
-                    got = cache.get(u)
-                    if got is None:
-                        got = np.array(self.search(u), np.int32).tobytes()
-                        if len(u) <= 4 * SHORT:
-                            cache[u] = got
-                    found[k] = got
-        return b"".join(found)
+        """The ids of units, from the cache or searched."""
+        return b"".join(map(self.cache.__getitem__, units))
 
     def decode(self, ids) -> str:
-        ids = list(ids)
+        ids = ids if isinstance(ids, list) else list(ids)
         out, raw = [], bytearray()
         byte_of, pieces = self.byte_of, self.pieces
         if byte_of.keys().isdisjoint(ids):
-            text = "".join([pieces[i] for i in ids])
+            text = "".join(map(pieces.__getitem__, ids))
         else:
             for i in ids:
                 if i in byte_of:
