@@ -19,10 +19,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import U, byte_view, lowered, mix, shipped, slices
+from .common import U, byte_view, lowered, mix, settled, shipped, slices
 
 BITS = 15
 ORDERS = (1, 2, 3, 4)
+MANY = 10_000
 # Language codes by family.
 FAMILIES = {
     "germanic": ["en", "de", "nl", "sv", "da", "no", "is", "af"],
@@ -72,15 +73,19 @@ def training_sample(docs: DataFrame, per_language: int) -> DataFrame:
     """(doc_id, lang, text): at most per_language documents of each language, those whose ids have the smallest hashes.
 
     A hash bound from the number of ids of a language leaves about four times as many as wanted, so no task ever sees all
-    rows of a language. The few ids are broadcast to fetch their texts; of an id's texts in one language, the smallest counts.
+    rows of a language. The bounds, and the ids to fetch texts with, are broadcast while the languages are at most MANY (a
+    counted table); of an id's texts in one language, the smallest counts.
     """
     rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
-    counts = rows.groupBy("lang").agg((4.0 * per_language / F.approx_count_distinct("doc_id") - 0.5).alias("bound"))
+    counts = settled(rows.groupBy("lang").agg((4.0 * per_language / F.approx_count_distinct("doc_id") - 0.5).alias("bound")))
+    counts = F.broadcast(counts) if counts.count() <= MANY else counts
     hashed = rows.select("doc_id", "lang", F.xxhash64("doc_id").alias("h"))
     near = hashed.join(counts, "lang").where(F.col("h") / float(2**64) < F.col("bound")).distinct()
     order = Window.partitionBy("lang").orderBy("h", "doc_id")
     picked = near.withColumn("r", F.row_number().over(order)).where(F.col("r") <= per_language).select("doc_id", "lang")
-    return rows.select("doc_id", "lang", "text").join(F.broadcast(picked), ["doc_id", "lang"]).groupBy("doc_id", "lang").agg(F.min("text").alias("text"))
+    picked = settled(picked)
+    picked = F.broadcast(picked) if picked.count() <= MANY * 20 else picked
+    return rows.select("doc_id", "lang", "text").join(picked, ["doc_id", "lang"]).groupBy("doc_id", "lang").agg(F.min("text").alias("text"))
 
 
 def linear_svm(rows: list, sign: np.ndarray, rounds: int = 30, cost: float = 8.0) -> np.ndarray:
