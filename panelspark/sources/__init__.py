@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -9,9 +11,12 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 MESH = "pid long, v0 long, v1 long, v2 long, ax double, ay double, az double, bx double, by double, bz double, cx double, cy double, cz double"
 
 
-class _Face(InputPartition):
-    def __init__(self, face: int):
-        self.face = face
+EACH = 1 << 20
+
+
+class _Range(InputPartition):
+    def __init__(self, first: int, last: int):
+        self.first, self.last = first, last
 
 
 class _MeshReader(DataSourceReader):
@@ -19,30 +24,23 @@ class _MeshReader(DataSourceReader):
         self.n = n
 
     def partitions(self):
-        return [_Face(f) for f in range(8)]
+        """Ranges of panels: at least one an octant, at most EACH panels."""
+        total = 8 * self.n * self.n
+        parts = 8 * max(1, -(-total // (8 * EACH)))
+        return [_Range(total * k // parts, total * (k + 1) // parts) for k in range(parts)]
 
     def read(self, partition):
-        n = self.n
-        side = 2 * n + 1
-        sign = [1 - 2 * ((partition.face >> k) & 1) for k in range(3)]
-        flip = sign[0] * sign[1] * sign[2] < 0
-        for r in range(n):
-            for slot in range(2 * r + 1):
-                m, down = divmod(slot, 2)
-                if down:
-                    tri = [(r - m, m, n - r), (r - m, m + 1, n - r - 1), (r - m - 1, m + 1, n - r)]
-                else:
-                    tri = [(r - m, m, n - r), (r + 1 - m, m, n - r - 1), (r - m, m + 1, n - r - 1)]
-                if flip:
-                    tri[1], tri[2] = tri[2], tri[1]
-                tri = [tuple(s * q for s, q in zip(sign, p, strict=True)) for p in tri]
-                ids = [(a + n) * side * side + (b + n) * side + c + n for a, b, c in tri]
-                size = [float(a * a + b * b + c * c) ** 0.5 for a, b, c in tri]
-                yield (partition.face * n * n + r * r + slot, *ids, *[q / z + 0.0 for p, z in zip(tri, size, strict=True) for q in p])
+        from panelspark.operators.geometry import decoded_panels
+
+        names = [c.split()[0] for c in MESH.split(", ")]
+        for lo in range(partition.first, partition.last, 1 << 14):
+            pid = np.arange(lo, min(lo + (1 << 14), partition.last))
+            ids, x = decoded_panels(pid, self.n)
+            yield pa.RecordBatch.from_arrays([pa.array(pid), *(pa.array(np.ascontiguousarray(ids[:, k])) for k in range(3)), *(pa.array(np.ascontiguousarray(x[:, k, a])) for k in range(3) for a in range(3))], names)
 
 
 class SphereMesh(DataSource):
-    """spark.read.format("sphere_mesh").option("n", 8).load(): one partition an octant."""
+    """spark.read.format("sphere_mesh").option("n", 8).load(): Arrow batches, partitions by ranges of panels."""
 
     @classmethod
     def name(cls):
@@ -80,3 +78,19 @@ def write_off(panels: DataFrame, path: str) -> None:
 def save_blocks(blocks: DataFrame, path: str) -> None:
     """Blocks partitioned by kind and level, so that scans of either prune."""
     blocks.write.mode("overwrite").partitionBy("kind", "level").parquet(path)
+
+
+def write_mesh(panels: DataFrame, path: str, form: str) -> None:
+    """The mesh columns of panels as csv (with a header), json or parquet."""
+    rows = panels.select(*[c.split()[0] for c in MESH.split(", ")])
+    (rows.write.mode("overwrite").option("header", True) if form == "csv" else rows.write.mode("overwrite")).format(form).save(path)
+
+
+def read_mesh(spark: SparkSession, path: str, form: str) -> DataFrame:
+    reader = spark.read.schema(MESH).format(form)
+    return (reader.option("header", True) if form == "csv" else reader).load(path)
+
+
+def save_bucketed(rows: DataFrame, name: str, key: str, buckets: int) -> None:
+    """A table bucketed and sorted by a cluster column: joins of two such tables by it need no shuffle."""
+    rows.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
