@@ -1,7 +1,7 @@
 """Personal data in texts, with DataFrame functions only.
 
 Patterns propose spans, validators confirm them (parts of an address, Luhn for cards, digit counts for phones, the
-remainder modulo 97 for bank accounts), and words just before a span raise its score. The places of the matches
+remainder modulo 97 for bank accounts, a digit in the value of a named secret), and words just before a span raise its score. The places of the matches
 come from the lengths of the pieces between them: splitting and extracting by one pattern see the same matches.
 
 Possessive repeats and the look-behinds only spare work: they forbid starts inside a run whose first start failed
@@ -24,6 +24,7 @@ PATTERNS = {
     "card": r"[0-9](?:[\x20-]?[0-9])++",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
     "iban": r"[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}",
+    "secret": r"(?i:token|api_?key|secret|password)\x20*[=:]\x20*[\"']?[A-Za-z0-9+/_-]{16,}+",
 }
 BASE = ("email", "ip", "card", "phone")
 # Words that make a kind likelier, and the scores without them.
@@ -33,8 +34,9 @@ CONTEXT = {
     "card": "card|visa|master|credit|pay",
     "phone": "phone|tel|call|mobile|fax",
     "iban": "iban|account|bank|konto|compte|cuenta",
+    "secret": "auth|login|config|access",
 }
-SCORE = {"email": 0.9, "ip": 0.6, "card": 0.8, "phone": 0.5, "iban": 0.9}
+SCORE = {"email": 0.9, "ip": 0.6, "card": 0.8, "phone": 0.5, "iban": 0.9, "secret": 0.8}
 # A character without which a kind cannot occur: a cheap test before the pattern.
 NEEDS = {"email": "@", "ip": ".", "phone": "+"}
 REACH = 40
@@ -78,6 +80,8 @@ def _valid(kind: str, hit: Column) -> Column:
         return F.length(_digits(hit)).between(8, 15)
     if kind == "iban":
         return _mod97(hit)
+    if kind == "secret":
+        return hit.rlike("[0-9]")
     return F.lit(True)
 
 
@@ -146,6 +150,7 @@ def digest(docs: DataFrame) -> DataFrame:
     return rows.select(
         "doc_id",
         *[number(k).alias(f"n_{k}") for k in PATTERNS],
+        F.size("_pii").cast("long").alias("n_spans"),
         F.sha2(_joined(base), 256).alias("base_sha256"),
         _joined(F.col("_pii")).alias("spans"),
         F.concat_ws(",", F.transform("_pii", lambda s: F.format_number(s["score"], 1))).alias("scores"),
@@ -193,6 +198,7 @@ _PLAIN = {
     "card": r"[0-9](?:[ -]?[0-9])+",
     "phone": r"\+[0-9][ ().0-9-]+[0-9]",
     "iban": PATTERNS["iban"],
+    "secret": "(?i:token|api_?key|secret|password) *[=:] *[\"'']?[A-Za-z0-9+/_-]{16,}",
 }
 
 
@@ -206,6 +212,7 @@ def oracle() -> str:
         "card": f"CASE WHEN length(dg) BETWEEN 16 AND 19 THEN {luhn} ELSE false END",
         "phone": "length(dg) BETWEEN 8 AND 15",
         "iban": mod97,
+        "secret": "regexp_matches(hit, '[0-9]')",
     }
     ctes = ["d AS (SELECT doc_id, coalesce(text, '') AS t, row_number() OVER () AS rid FROM documents)"]
     for k, p in _PLAIN.items():
@@ -215,6 +222,7 @@ def oracle() -> str:
         ctes.append(f"v_{k} AS (SELECT rid, count(*) AS n, string_agg('{k}:' || CAST(s AS BIGINT) || ':' || (CAST(s AS BIGINT) + length(hit)), ',' ORDER BY s) AS j, string_agg(CASE WHEN regexp_matches(near, '{CONTEXT[k]}') THEN '{raised}' ELSE '{plain}' END, ',' ORDER BY s) AS c FROM u_{k} WHERE {valid[k]} GROUP BY rid)")
     joins = " ".join(f"LEFT JOIN v_{k} USING (rid)" for k in PATTERNS)
     counts = ", ".join(f"CAST(coalesce(v_{k}.n, 0) AS BIGINT) AS n_{k}" for k in PATTERNS)
+    counts += ", CAST(" + " + ".join(f"coalesce(v_{k}.n, 0)" for k in PATTERNS) + " AS BIGINT) AS n_spans"
     base = "concat_ws(',', " + ", ".join(f"v_{k}.j" for k in BASE) + ")"
     every = "concat_ws(',', " + ", ".join(f"v_{k}.j" for k in PATTERNS) + ")"
     scores = "concat_ws(',', " + ", ".join(f"v_{k}.c" for k in PATTERNS) + ")"

@@ -95,11 +95,16 @@ def best_score(unit, pieces, worst):
     return best[-1]
 
 
+def secrets(text):
+    hits = re.finditer(r"(?:token|api_?key|secret|password) *[=:] *[\"']?[A-Za-z0-9+/_-]{16,}", text or "", re.IGNORECASE)
+    return [f"secret:{m.start()}:{m.end()}" for m in hits if re.search("[0-9]", m.group())]
+
+
 def redacted(text):
     """Spans one after the other; one that begins inside those before it only lengthens the cut."""
     if text is None:
         return None
-    spans = sorted((int(a), -int(b), k) for k, a, b in (s.split(":") for s in base_spans(text)))
+    spans = sorted((int(a), -int(b), k) for k, a, b in (s.split(":") for s in base_spans(text) + secrets(text)))
     out, at = [], 0
     for start, back, kind in spans:
         if start >= at:

@@ -100,10 +100,11 @@ def test_personal_data(spark):
 def test_personal_data_in_many_places_and_beside_clashing_columns(spark):
     names = ["doc_id", "text", "n_chars", "row", "spans", "wanted", "reach", "cuts", "done", "hits_ip", "at_ip", "_t"]
     many = " and ".join(f"a{k}@b.org +4930{k:06d} 10.0.{k % 256}.1 ip" for k in range(700))
-    texts = [many, "x" * 300 + many, None, "", "to 1.2.3.4@h.org +1 2.3.4.5678 9"]
+    texts = [many, "x" * 300 + many, None, "", "to 1.2.3.4@h.org +1 2.3.4.5678 9", "Token = \"24be64439e3e49cf46b2\" API_key:'abcdefghijklmnop' secret=abcdefghijklmnop1 password: short1"]
     rows = spark.createDataFrame([(k, t, len(t or ""), *["keep"] * 9) for k, t in enumerate(texts)], "doc_id long, text string, n_chars long, " + ", ".join(f"`{n}` string" for n in names[3:]))
     for r in pii.digest(rows).collect():
-        assert [s for s in r["spans"].split(",") if s] == brute.base_spans(texts[r["doc_id"]])
+        assert [s for s in r["spans"].split(",") if s] == brute.base_spans(texts[r["doc_id"]]) + brute.secrets(texts[r["doc_id"]])
+        assert r["n_spans"] == len([s for s in r["spans"].split(",") if s])
     out = {r["doc_id"]: r for r in pii.redacted(rows).collect()}
     for k, t in enumerate(texts):
         assert out[k]["text"] == brute.redacted(t) and out[k]["n_chars"] == len(out[k]["text"] or "") and all(out[k][n] == "keep" for n in names[3:])
