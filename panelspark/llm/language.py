@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import U, byte_view, lowered, mix, settled, shipped, slices
+from .common import U, byte_view, lowered, mix, settled, shipped
 
 BITS = 15
 ORDERS = (1, 2, 3, 4)

@@ -20,7 +20,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import shipped
 
 SCHEMA = "query_id long, vec_id long, score double"
 LEAF = 48
