@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from .. import oracles as O
 from ..operators import measures, packages, schedule
 from .registry import Registry, table
 
