@@ -289,3 +289,18 @@ def monopole_far(spark, sf_dir):
     r = F.sqrt(sum(((F.col(a) - F.col(f"m{a}")) ** 2 for a in "xyz"), F.lit(0.0)))
     exact = pts.crossJoin(b).where("i <> j").groupBy("i").agg(F.sum(F.lit(1.0) / (4 * 3.141592653589793 * r)).alias("exact"))
     return y.join(exact, "i").agg(F.max(F.abs(F.col("value") / F.col("exact") - 1)).alias("worst"), F.count("*").alias("points"))
+
+
+@R.add("SELECT count(*) AS points, true AS second_order_is_nearer FROM embeddings WHERE pow(embedding[1], 2) + pow(embedding[2], 2) + pow(embedding[3], 2) > 0")
+def multipole_orders(spark, sf_dir):
+    """Far fields up to order 2 against order 0: the mean error of all points falls (direct sum of all pairs as the truth)."""
+    pts, member, _, blk, _ = compressed(spark, sf_dir)
+    p = settled(pts.withColumn("charge", F.lit(1.0)))
+    moments = settled(baselines.multipoles(member, p))
+    zero = baselines.monopole_potential(blk, member, p, moments.select("node", "q", "x", "y", "z")).select("i", F.col("value").alias("zero"))
+    two = baselines.multipole_potential(blk, member, p, moments).select("i", F.col("value").alias("two"))
+    b = F.broadcast(pts.select(F.col("i").alias("j"), *[F.col(a).alias(f"m{a}") for a in "xyz"]))
+    r = F.sqrt(sum(((F.col(a) - F.col(f"m{a}")) ** 2 for a in "xyz"), F.lit(0.0)))
+    exact = pts.crossJoin(b).where("i <> j").groupBy("i").agg(F.sum(F.lit(1.0) / (4 * 3.141592653589793 * r)).alias("exact"))
+    off = lambda c: F.avg(F.abs(F.col(c) / F.col("exact") - 1))
+    return zero.join(two, "i").join(exact, "i").agg(F.count("*").alias("points"), (off("two") < off("zero") / 3).alias("second_order_is_nearer"))
