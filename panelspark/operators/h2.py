@@ -38,6 +38,7 @@ class H2:
     blocks: DataFrame
     depth: int
     band: int = 6
+    top: int = 0
     symmetric: bool = False
     seconds: dict[str, float] = field(default_factory=dict)
 
@@ -62,14 +63,21 @@ def pivots(geo: np.ndarray, box: np.ndarray, kernel: KernelSpec, cfg: EngineConf
     return rows, cross.interpolation(a, rows, cols)
 
 
-def _edge(level: int, band: int) -> int:
-    """The upper level of the band of a level."""
-    return level - level % band
+def _edge(level: int, band: int, top: int) -> int:
+    """The upper level of the band of a level; bands begin at level `top`."""
+    return level - (level - top) % band
 
 
-def _top(band: int):
+def _top(band: int, top: int):
     """The cluster at the upper edge of the band of a cluster (node, level)."""
-    return F.floor(F.col("node") / F.pow(F.lit(2.0), F.col("level") % band)).cast("long")
+    return F.floor(F.col("node") / F.pow(F.lit(2.0), (F.col("level") - top) % band)).cast("long")
+
+
+def top_level(blocks: DataFrame) -> int:
+    """The smallest level of a cluster with a far block: no cluster above it needs a basis."""
+    far = blocks.where("kind = 'far'")
+    lowest = far.agg(F.min(F.least("t", "s"))).first()[0]
+    return int(lowest).bit_length() - 1 if lowest else 0
 
 
 def _lists(column) -> np.ndarray:
@@ -77,7 +85,7 @@ def _lists(column) -> np.ndarray:
     return np.asarray(flat.flatten()).reshape(len(flat), -1) if len(flat) else np.zeros((0, 0))
 
 
-def _band_basis(members: pa.Table, frame: pa.Table, kernel: KernelSpec, cfg: EngineConfig, side: str, flat: bool) -> pa.Table:
+def _band_basis(members: pa.Table, frame: pa.Table, kernel: KernelSpec, cfg: EngineConfig, side: str, flat: bool, above: int = 0) -> pa.Table:
     """Basis rows of all clusters below one top, lowest level first."""
     schema = pa.schema([("top", pa.int64()), ("node", pa.int64()), ("level", pa.int32()), ("son", pa.int64()), ("i", pa.int64()), ("place", pa.int32()), ("coef", pa.list_(pa.float64())), ("geo", pa.list_(pa.float64())), ("v", pa.list_(pa.int64()))])
     if not members.num_rows:
@@ -87,7 +95,7 @@ def _band_basis(members: pa.Table, frame: pa.Table, kernel: KernelSpec, cfg: Eng
     geo = _lists(members.column("geo"))
     v = _lists(members.column("v")).astype(np.int64) if members.column("v").null_count == 0 else None
     top = members.column("top")[0].as_py()
-    edge = int(level.min()) if flat else _edge(int(level.min()), cfg.band)
+    edge = int(level.min()) if flat else _edge(int(level.min()), cfg.band, above)
     at: dict[tuple[int, int], list] = {}
     for r in range(len(node)):
         at.setdefault((int(level[r]), int(node[r])), []).append((int(son[r]), r))
@@ -110,21 +118,24 @@ def _band_basis(members: pa.Table, frame: pa.Table, kernel: KernelSpec, cfg: Eng
          pa.ListArray.from_arrays(pa.array(sizes), pa.array(np.concatenate([c for *_, c in out]))), lists(geo, pa.float64()), pa.nulls(len(out), pa.list_(pa.int64())) if v is None else lists(v, pa.int64())], schema=schema)
 
 
-def nested_basis(membership: DataFrame, clusters: DataFrame, geometry: DataFrame, kernel: KernelSpec, cfg: EngineConfig, side: str = "row") -> DataFrame:
-    """Basis rows of all clusters, band by band from below: a leaf works on its members, an inner cluster on the pivots of its sons."""
-    frame, band = clusters.select(_top(cfg.band).alias("top"), "node", "level", *BOX), cfg.band
-    depth = clusters.agg(F.max("level")).first()[0] or 0
+def nested_basis(membership: DataFrame, clusters: DataFrame, geometry: DataFrame, kernel: KernelSpec, cfg: EngineConfig, side: str = "row", above: int = 0) -> DataFrame:
+    """Basis rows of all clusters of level `above` and below, band by band from below: a leaf works on its members, an inner
+    cluster on the pivots of its sons."""
+    band = cfg.band
+    clusters = clusters.where(F.col("level") >= above)
+    frame = clusters.select(_top(band, above).alias("top"), "node", "level", *BOX)
+    depth = max(above, clusters.agg(F.max("level")).first()[0] or 0)
     leaves = membership.select("i", "node", "level").join(geometry, "i").withColumn("son", F.lit(0).cast("long"))
     done, risen = None, None
-    for edge in range(_edge(depth, band), -1, -band):
+    for edge in range(_edge(depth, band, above), above - 1, -band):
         inside = (F.col("level") >= edge) & (F.col("level") < edge + band)
-        rows = leaves.where(inside).select(_top(band).alias("top"), "node", "level", "son", "i", "geo", "v")
+        rows = leaves.where(inside).select(_top(band, above).alias("top"), "node", "level", "son", "i", "geo", "v")
         if risen is not None:
             rows = rows.unionByName(risen)
-        made = settled(rows.groupBy("top").cogroup(frame.where(inside).groupBy("top")).applyInArrow(lambda a, b: _band_basis(a, b, kernel, cfg, side, False), BASIS))
+        made = settled(rows.groupBy("top").cogroup(frame.where(inside).groupBy("top")).applyInArrow(lambda a, b: _band_basis(a, b, kernel, cfg, side, False, above), BASIS))
         done = made if done is None else done.unionByName(made)
-        up = made.where((F.col("place") >= 0) & (F.col("level") == edge) & (F.col("node") > 1))
-        risen = up.select(F.floor(F.col("node") / 2).cast("long").alias("node"), (F.col("level") - 1).cast("int").alias("level"), F.col("node").alias("son"), "i", "geo", "v").withColumn("top", _top(band))
+        up = made.where((F.col("place") >= 0) & (F.col("level") == edge))
+        risen = up.select(F.floor(F.col("node") / 2).cast("long").alias("node"), (F.col("level") - 1).cast("int").alias("level"), F.col("node").alias("son"), "i", "geo", "v").withColumn("top", _top(band, above))
     return done
 
 
@@ -159,8 +170,9 @@ def build(membership: DataFrame, clusters: DataFrame, blocks: DataFrame, geometr
         nonlocal began
         seconds[name], began = time.perf_counter() - began, time.perf_counter()
 
-    row_basis = nested_basis(membership, clusters, geometry, kernel, cfg, "row")
-    col_basis = nested_basis(membership, clusters, geometry, kernel, cfg, "col") if kernel.layer == "dlp" else row_basis
+    above = top_level(blocks)
+    row_basis = nested_basis(membership, clusters, geometry, kernel, cfg, "row", above)
+    col_basis = nested_basis(membership, clusters, geometry, kernel, cfg, "col", above) if kernel.layer == "dlp" else row_basis
     depth = clusters.agg(F.max("level")).first()[0] or 0
     lap("interpolation")
     far, near = blocks.where("kind = 'far'").select("t", "s"), blocks.where("kind = 'near'").select("t", "s")
@@ -169,7 +181,7 @@ def build(membership: DataFrame, clusters: DataFrame, blocks: DataFrame, geometr
     leaf = fill.members(membership.select("node", "i").join(geometry, "i"))
     nearfield = settled(fill.fill(near, leaf, leaf, kernel, cfg, phases, rule, symmetric))
     lap("near field")
-    return H2(row_basis, col_basis, coupling, nearfield, blocks, depth, cfg.band, symmetric, seconds)
+    return H2(row_basis, col_basis, coupling, nearfield, blocks, max(above, depth), cfg.band, above, symmetric, seconds)
 
 
 # ---- the product: vectors are rows (i, re, im)
@@ -233,7 +245,7 @@ def _hand_down(basis: pa.Table, given: pa.Table) -> pa.Table:
 
 
 def _edges(h: H2) -> range:
-    return range(_edge(h.depth, h.band), -1, -h.band)
+    return range(_edge(h.depth, h.band, h.top), h.top - 1, -h.band)
 
 
 def _fresh(df: DataFrame) -> DataFrame:
@@ -290,7 +302,7 @@ def backward(h: H2, yhat: DataFrame, steps: list | None = None) -> DataFrame:
         ends = down.where("node = 0").select("i", "re", "im")
         leaf = ends if leaf is None else leaf.unionByName(ends)
         if steps is not None:
-            steps += [down, *([yhat] if edge == 0 else [])]
+            steps += [down, *([yhat] if edge == h.top else [])]
     return leaf
 
 
