@@ -60,17 +60,18 @@ def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes:
     period = sum(weights.values())
     known = [s for s, w in weights.items() if s != REST]
     fields = [c for c in docs.columns if c not in ADDED]
-    own = F.struct(*[F.col(f"`{c}`") for c in fields]).alias("row")  # nothing of docs can clash with the columns below
+    own = {c: f"own_{k}" for k, c in enumerate(fields)}  # nothing of docs can clash with the columns below
     rows = docs.select(
-        own,
+        *[F.col(f"`{c}`").alias(name) for c, name in own.items()],
         F.when(F.col("source").isin(known), F.col("source")).otherwise(F.lit(REST)).alias("stream"),
         F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string"))).alias("h"),
         F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("bytes"),
+        F.md5(F.coalesce("text", F.lit(""))).alias("content"),
     )
     shards = 16 + int(rows.agg(F.coalesce(F.sum("bytes"), F.lit(0))).first()[0]) // shard_bytes
     rows = rows.withColumn("shard", F.floor(F.conv(F.substring("h", 1, 8), 16, 10).cast("long") * shards / F.lit(1 << 32)).cast("long"))
     # within a shard by hash; equal hashes (repeated ids) by size and content
-    order = Window.partitionBy("stream", "shard").orderBy("h", "row.doc_id", "bytes", F.md5(F.coalesce("row.text", F.lit(""))))
+    order = Window.partitionBy("stream", "shard").orderBy("h", own["doc_id"], "bytes", "content")
     totals = rows.groupBy("stream", "shard").agg(F.sum("bytes").alias("total"))
     before = totals.select("stream", "shard", (F.sum("total").over(Window.partitionBy("stream").orderBy("shard")) - F.col("total")).alias("offset"))
     ends = totals.groupBy("stream").agg(F.sum("total").alias("all"))
@@ -85,7 +86,7 @@ def mixed(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes:
     shift = F.col("cycle") * period
     # a stream of weight 0 has no slots: it follows after all others
     added = [F.col("stream"), F.col("block"), F.col("t") + shift, F.col("r") + shift, F.col("d") + shift, F.col("place"), F.coalesce(F.col("t") + shift, F.lit(1 << 62)) < F.coalesce("spent", F.lit(0.0))]
-    return out.select(*[F.col(f"row.`{c}`").alias(c) for c in fields], *[c.alias(n) for c, n in zip(added, ADDED, strict=True)])
+    return out.select(*[F.col(name).alias(c) for c, name in own.items()], *[c.alias(n) for c, n in zip(added, ADDED, strict=True)])
 
 
 def scheduled(docs: DataFrame, weights: dict[str, int], rest: int = 1, block_bytes: int = 1 << 20) -> DataFrame:
