@@ -89,6 +89,22 @@ def window_runs(data: np.ndarray, offsets: np.ndarray, length: int):
     return mix(m[starts].view(np.uint64)) >> U(16), starts, stops - starts, np.searchsorted(offsets, starts, side="right") - 1
 
 
+def window_repeats(text: np.ndarray, size: np.ndarray, length: int) -> np.ndarray:
+    """For each of many texts of at least `length` bytes, whether one of its windows has the hash of another window."""
+    size = size.astype(np.int64)
+    windows = size - length + 1
+    row = np.repeat(np.arange(len(size)), windows)
+    at = np.arange(len(row)) - np.repeat(np.cumsum(windows) - windows, windows) + np.repeat(np.cumsum(size) - size, windows)
+    w = words64(text)
+    h = np.zeros(max(len(text) - length + 1, 0), np.uint64)
+    for k in (*range(0, length - 8, 8), length - 8):
+        h = mix(h ^ w[k : k + len(h)]) * U(0x9E3779B97F4A7C15)
+    _, place, count = np.unique(h[at], return_inverse=True, return_counts=True)
+    out = np.zeros(len(size), bool)
+    out[row[count[place] > 1]] = True
+    return out
+
+
 def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
     """Ranges of keys, so that sorted keys of a bucket differ by little."""
     return ((keys >> U(16)) * U(buckets) >> U(32)).astype(np.int64)
@@ -434,6 +450,8 @@ def marked(table: pa.Table, length: int) -> pa.Table:
     _, place, count = np.unique(key, return_inverse=True, return_counts=True)
     some = np.zeros(len(sizes), bool)
     some[row[count[place] > 1]] = True
+    # most of these only share a short string: a content none of whose windows has the hash of another window stays out too
+    some[np.flatnonzero(some)] = window_repeats(text[np.repeat(some, sizes)], sizes[some], length)
     if some.any():
         some_text, some_sizes, some_owner = text[np.repeat(some, sizes)], sizes[some], owner[some]
         some = np.flatnonzero(some)
