@@ -1,8 +1,9 @@
 """Nearest neighbours with vantage-point trees, one for each shard of the vectors.
 
 Each shard groups equal vectors, picks a vantage point, splits the others at the median distance to it, and so on
-down to small leaves. A block of queries descends at once: the near side first, then the far side for those
-queries where the triangle inequality, relaxed by `factor`, still allows a better neighbour. With factor 1 no
+down to small leaves. A block of queries descends at once. First each goes down its near sides to one leaf, whose
+distances bound what it can still need; then the tree is walked once, and a node is met by all queries together for
+which the triangle inequality, relaxed by `factor` on the far side, still allows a better neighbour. With factor 1 no
 possible neighbour is left out; a smaller factor prunes more, and `tuned_factor` finds the smallest one of a grid that
 reaches a recall on a bounded sample. How much is pruned depends on the vectors: where all distances are nearly alike
 (many dimensions without structure), exact search looks at nearly all of a shard. The k best of all shards are merged
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -24,6 +26,8 @@ from pyspark.sql import functions as F
 SCHEMA = "query_id long, vec_id long, score double"
 LEAF = 48
 SPARE = 8
+# Distances from products of vectors are off by some 1e-8 of the vectors' lengths where they are small.
+OFF = 1e-7
 
 
 class VantageTree:
@@ -35,8 +39,9 @@ class VantageTree:
         self.nodes: list[tuple] = []
         self.root = self._build(np.arange(len(vectors))) if len(vectors) else -1
 
-    def _distance(self, q: np.ndarray, rows: np.ndarray) -> np.ndarray:
-        d = np.einsum("ij,ij->i", q, q)[:, None] + self.norm[rows][None] - 2.0 * (q @ self.x[rows].T)
+    def _distance(self, q: np.ndarray, rows: np.ndarray, square: np.ndarray | None = None) -> np.ndarray:
+        square = np.einsum("ij,ij->i", q, q) if square is None else square
+        d = square[:, None] + self.norm[rows][None] - 2.0 * (q @ self.x[rows].T)
         return np.sqrt(np.maximum(d, 0.0))
 
     def _build(self, rows: np.ndarray) -> int:
@@ -62,69 +67,103 @@ class VantageTree:
         """Distances and row indices of distinct vectors: k and some to spare, so that near ties are seen."""
         best_d = np.full((len(queries), k + SPARE), np.inf)
         best_i = np.full((len(queries), k + SPARE), -1)
-        if self.root >= 0:
-            self._visit(self.root, queries, np.arange(len(queries)), best_d, best_i, factor)
+        if self.root >= 0 and len(queries):
+            square = np.einsum("ij,ij->i", queries, queries)
+            bound = self._near_leaf(queries, square, k + SPARE)
+            self._visit(self.root, queries, square, np.arange(len(queries)), best_d, best_i, bound, factor)
         return best_d, best_i
 
-    def _offer(self, q, active, rows, best_d, best_i):
-        d = self._distance(q[active], rows)
+    def _near_leaf(self, q, square, width):
+        """For each query, the largest of the `width` least distances it meets on the way down its near sides."""
+        met = np.full((len(q), width), np.inf)
+        todo = [(self.root, np.arange(len(q)))]
+        while todo:
+            at, active = todo.pop()
+            node = self.nodes[at]
+            d = self._distance(q[active], node[0], square[active])
+            self.computed += d.size
+            met[active] = np.partition(np.concatenate([met[active], d], 1), width - 1, axis=1)[:, :width]
+            if len(node) > 1:
+                _, inner, outer, (_, hi1, lo2, _) = node
+                near_inner = d[:, 0] < (hi1 + lo2) / 2
+                todo += [(child, active[side]) for child, side in ((inner, near_inner), (outer, ~near_inner)) if side.any()]
+        return met.max(1)
+
+    def _offer(self, q, square, active, rows, best_d, best_i, bound):
+        d = self._distance(q[active], rows, square[active])
         self.computed += d.size
-        width = best_d.shape[1]
-        all_d = np.concatenate([best_d[active], d], 1)
-        all_i = np.concatenate([best_i[active], np.broadcast_to(rows, d.shape)], 1)
-        keep = np.argpartition(all_d, width - 1, axis=1)[:, :width]
-        best_d[active] = np.take_along_axis(all_d, keep, 1)
-        best_i[active] = np.take_along_axis(all_i, keep, 1)
+        limit = bound[active] + OFF * (np.sqrt(square[active]) + bound[active])
+        hit = np.flatnonzero(d.min(1) <= limit)
+        if len(hit):
+            at, width = active[hit], best_d.shape[1]
+            all_d = np.concatenate([best_d[at], d[hit]], 1)
+            all_i = np.concatenate([best_i[at], np.broadcast_to(rows, (len(hit), len(rows)))], 1)
+            keep = np.argpartition(all_d, width - 1, axis=1)[:, :width]
+            best_d[at] = np.take_along_axis(all_d, keep, 1)
+            best_i[at] = np.take_along_axis(all_i, keep, 1)
+            bound[at] = np.minimum(bound[at], best_d[at].max(1))
         return d
 
-    def _visit(self, at, q, active, best_d, best_i, factor):
+    def _visit(self, at, q, square, active, best_d, best_i, bound, factor):
         node = self.nodes[at]
-        d = self._offer(q, active, node[0], best_d, best_i)
+        d = self._offer(q, square, active, node[0], best_d, best_i, bound)
         if len(node) == 1:
             return
         d = d[:, 0]
         _, inner, outer, (lo1, hi1, lo2, hi2) = node
         near_inner = d < (hi1 + lo2) / 2
-        for group, first, second, lo, hi in ((near_inner, inner, outer, lo2, hi2), (~near_inner, outer, inner, lo1, hi1)):
-            if group.any():
-                self._visit(first, q, active[group], best_d, best_i, factor)
-                reach = best_d[active[group]].max(1) * factor + 1e-7
-                dd = d[group]
-                open_ = (dd + reach >= lo) & (dd - reach <= hi)
-                if open_.any():
-                    self._visit(second, q, active[group][open_], best_d, best_i, factor)
+        for near, child, lo, hi in ((near_inner, inner, lo1, hi1), (~near_inner, outer, lo2, hi2)):
+            need = bound[active]
+            off = OFF * (np.sqrt(square[active]) + d + need)
+            reach = np.where(near, need, need * factor) + off
+            open_ = (d + reach >= lo) & (d - reach <= hi)
+            if open_.any():
+                self._visit(child, q, square, active[open_], best_d, best_i, bound, factor)
+
+
+def matrices(rows: pa.Table) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    """The ids and the vectors of the rows, by the length of the vectors."""
+    ids, lists = rows.column("vec_id").combine_chunks(), rows.column("embedding").combine_chunks()
+    lengths = np.asarray(pc.list_value_length(lists))
+    out = {}
+    for width in np.unique(lengths).tolist():
+        at = pa.array(np.flatnonzero(lengths == width))
+        flat = np.asarray(pc.list_flatten(lists.take(at)), np.float64)
+        out[width] = np.asarray(ids.take(at), np.int64), flat.reshape(len(at), width) + 0.0  # no -0.0: equal vectors have equal bytes
+    return out
+
+
+def distinct_vectors(ids: np.ndarray, x: np.ndarray, most: int) -> tuple[np.ndarray, list[np.ndarray]]:
+    """The distinct vectors, and of each the `most` smallest ids of the rows that hold it."""
+    _, first, member = np.unique(np.ascontiguousarray(x).view(f"V{8 * x.shape[1]}").ravel(), return_index=True, return_inverse=True)
+    order = np.lexsort((ids, member))
+    ids, member = ids[order], member[order]
+    new = np.ones(len(ids), bool)
+    new[1:] = (np.diff(member) != 0) | (np.diff(ids) != 0)
+    ids, member = ids[new], member[new]
+    starts = np.append(np.flatnonzero(np.diff(member, prepend=-1)), len(ids))
+    return x[first], [ids[a : min(b, a + most)] for a, b in zip(starts[:-1], starts[1:], strict=True)]
 
 
 def shard_search(key, rows: pa.Table, queries: pa.Table, k: int, factor: float) -> pa.Table:
     """The k best of one shard for each query of one block."""
     if not rows.num_rows or not queries.num_rows:
         return pa.table({"query_id": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
-    by_width: dict[int, list] = {}
-    for i, v in zip(rows.column("vec_id").to_pylist(), rows.column("embedding").to_pylist(), strict=True):
-        by_width.setdefault(len(v), []).append((i, v))
-    q_ids, q_rows = queries.column("vec_id").to_pylist(), queries.column("embedding").to_pylist()
     out_q, out_v, out_d = [], [], []
-    for width, found in by_width.items():
-        chosen = [j for j, v in enumerate(q_rows) if len(v) == width]
-        if not chosen:
+    asked = matrices(queries)
+    for width, (ids, x) in matrices(rows).items():
+        if width not in asked:
             continue
-        x = np.array([v for _, v in found], np.float64)
-        ids = np.array([i for i, _ in found], np.int64)
-        distinct, member = np.unique(x, axis=0, return_inverse=True)
-        member = member.ravel()
-        order = np.lexsort((ids, member))
-        groups = np.split(ids[order], np.flatnonzero(np.diff(member[order])) + 1)
+        own, q = asked[width]
         # a query needs at most k of the rows that hold one vector: those with the smallest ids, its own left out
-        groups = [np.unique(g)[: k + 1] for g in groups]
-        q = np.array([q_rows[j] for j in chosen], np.float64)
-        own = np.array([q_ids[j] for j in chosen], np.int64)
+        distinct, groups = distinct_vectors(ids, x, k + 1)
         tree = VantageTree(distinct, groups)
         _, best_i = tree.search(q, own, k, factor)
-        for a in range(len(chosen)):
+        for a in range(len(q)):
             near = best_i[a][best_i[a] >= 0]
             exact = np.sqrt(((distinct[near] - q[a]) ** 2).sum(1))
             cand = sorted((e, i) for e, n in zip(exact, near, strict=True) for i in groups[n] if i != own[a])[:k]
-            if len(near) == k + SPARE and cand and cand[-1][0] >= exact.max() - 1e-6:
+            if len(near) == k + SPARE and cand and cand[-1][0] >= exact.max() - 10 * OFF * (np.sqrt(q[a] @ q[a]) + exact.max()):
                 # more vectors tie with the last place than were kept: this query looks at all that are as near
                 exact = np.sqrt(((distinct - q[a]) ** 2).sum(1))
                 near = np.flatnonzero(exact <= cand[-1][0])
